@@ -84,14 +84,32 @@ def op6_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return full.select("doc_id", of(0).alias("n_assign"), of(1).alias("n_access"), of(2).alias("n_hex"), F.sha2(joined_spans(F.array_sort("base")).cast("binary"), 256).alias("base_sha256"), joined_spans(F.col("spans")).alias("spans"))
 
 
+def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from stripmatch.llm.shingles import jaccard_components
+
+    return jaccard_components(read_table(spark, sf_dir, "documents"), k=4, percent=85)
+
+
+def op8_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from stripmatch.llm.repeats import remove_repeats
+
+    return remove_repeats(read_table(spark, sf_dir, "documents"))
+
+
 def op9_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from stripmatch.llm.vectors import near_vectors
 
     return near_vectors(read_table(spark, sf_dir, "embeddings"))
 
 
+def op10_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from stripmatch.llm.kneser_ney import score_documents
+
+    return score_documents(read_table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_token_counts, op2_sentencepiece, op3_quality_rules, op4_mixing, op5_quality_classifier, op6_secret_scans, op9_embedding_near_dedup)}
+    return {f.__name__: f for f in (op1_token_counts, op2_sentencepiece, op3_quality_rules, op4_mixing, op5_quality_classifier, op6_secret_scans, op7_jaccard_join, op8_substring_dedup, op9_embedding_near_dedup, op10_lm_scoring)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -84,6 +84,31 @@ def _map(path: str) -> np.ndarray:
         return np.zeros(0, np.uint8)
 
 
+class Held:
+    """Sorted key columns of a map task, packed by range whenever HELD entries have come together.
+
+    pack(columns) turns what has come together (lists of arrays by name) into the rows to send.
+    """
+
+    def __init__(self, pack: Callable[[dict[str, np.ndarray]], list], names: list[str]):
+        self.pack, self.names, self.n = pack, names, 0
+        self.parts: dict[str, list] = {n: [] for n in names}
+
+    def add(self, **columns: np.ndarray) -> Iterator[pa.RecordBatch]:
+        for n in self.names:
+            self.parts[n].append(columns[n])
+        self.n += len(columns[self.names[0]])
+        if self.n >= HELD:
+            yield from self.flush()
+
+    def flush(self) -> Iterator[pa.RecordBatch]:
+        if self.n:
+            rows = self.pack({n: np.concatenate(v) for n, v in self.parts.items()})
+            self.parts, self.n = {n: [] for n in self.names}, 0
+            for i in range(0, len(rows), 64):
+                yield packed_rows(rows[i : i + 64])
+
+
 class Store:
     """Sorted 64-bit keys with fixed-width columns, one file per range and column."""
 
@@ -98,14 +123,14 @@ class Store:
         return self.open[name]
 
     def find(self, probe: np.ndarray) -> tuple[np.ndarray, dict[str, np.ndarray]]:
-        """Which probes are keys, and their columns (0 where absent)."""
+        """Which probes are keys, and their columns (0 where absent); `at`: the place within the range."""
         there = np.zeros(len(probe), bool)
-        out = {c: np.zeros(len(probe), k) for c, k in self.columns.items()}
+        out = {c: np.zeros(len(probe), k) for c, k in self.columns.items()} | {"at": np.zeros(len(probe), np.int64)}
         if not len(probe):
             return there, out
         q, back = np.unique(probe, return_inverse=True)
         hit = np.zeros(len(q), bool)
-        got = {c: np.zeros(len(q), k) for c, k in self.columns.items()}
+        got = {c: np.zeros(len(q), k) for c in out for k in [out[c].dtype]}
         cut = np.searchsorted(q, np.arange(1 << self.bits, dtype=U) << U(64 - self.bits)) if self.bits else np.array([0])
         cut = np.append(cut, len(q))
         for r in np.flatnonzero(np.diff(cut)).tolist():
@@ -116,6 +141,7 @@ class Store:
             at = np.minimum(np.searchsorted(keys, q[part]), len(keys) - 1)
             ok = keys[at] == q[part]
             hit[part] = ok
+            got["at"][part] = at
             for c, k in self.columns.items():
                 got[c][part] = np.where(ok, self._array(r, c, k)[at], 0)
         for c in out:

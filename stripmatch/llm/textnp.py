@@ -100,8 +100,8 @@ class Chunk:
         return np.diff(total[self.off])
 
 
-def chunks(texts: pa.Array, size: int = CHUNK) -> Iterator[Chunk]:
-    """Consecutive texts of about size bytes; a longer text comes alone."""
+def chunks(texts: pa.Array, size: int = CHUNK, most: int = 1000) -> Iterator[Chunk]:
+    """Consecutive texts of about size bytes, most texts at once; a longer text comes alone."""
     if isinstance(texts, pa.ChunkedArray):
         texts = texts.combine_chunks()
     if texts.null_count:
@@ -114,7 +114,7 @@ def chunks(texts: pa.Array, size: int = CHUNK) -> Iterator[Chunk]:
     lo = 0
     while lo < len(texts):
         hi = max(lo + 1, int(np.searchsorted(off, off[lo] + size, "right")) - 1)
-        hi = min(hi, len(texts))
+        hi = min(hi, len(texts), lo + most)
         yield Chunk(data[off[lo] : off[hi]], off[lo : hi + 1] - off[lo], lo)
         lo = hi
 
@@ -138,3 +138,12 @@ def join_hash(parts: list[np.ndarray], seed: int = 0) -> np.ndarray:
     for j, p in enumerate(parts):
         total = total + p * _MULT[j]
     return mix(total)
+
+
+def unmix(x: np.ndarray) -> np.ndarray:
+    """The inverse of mix."""
+    x = x ^ (x >> U(31)) ^ (x >> U(62))
+    x = x * U(pow(0x94D049BB133111EB, -1, 1 << 64))
+    x = x ^ (x >> U(27)) ^ (x >> U(54))
+    x = x * U(pow(0xBF58476D1CE4E5B9, -1, 1 << 64))
+    return x ^ (x >> U(30)) ^ (x >> U(60))
