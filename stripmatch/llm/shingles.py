@@ -1,20 +1,21 @@
 """N-gram Jaccard join by prefix tree, and the components of its links.
 
 A document's set holds the hashes of its k-word shingles. All sets are ordered alike: shingles rarer than FREQUENT
-documents first, by hash, then the frequent ones from rare to frequent, by counts over all documents. Equal sets fall
-together first. If two sets reach the threshold, their prefixes (the first n - ceil(t n) + 1 in that order) share a
+documents first, by hash, then the frequent ones from rare to frequent, by counts over all documents (from CLASSES - 1
+on by hash alone). Equal sets fall together first. If two sets reach the threshold, their prefixes (the first n - ceil(t n) + 1 in that order) share a
 shingle, so each shingle of a prefix is a meeting place; sizes too far apart never meet.
 
-Candidates are verified against the whole sets: a probe's candidates, in blocks, stand in a prefix tree (sorted sets,
-each hanging from its predecessor at their common prefix), which is walked with the probe: a shared prefix's overlap
-is counted once, and a branch goes when its overlap so far and what is left can't reach the threshold.
+A probe's candidates, in blocks, stand in a prefix tree (sorted sets, each hanging from its predecessor at their common
+prefix), which is walked with the probe: a shared prefix's overlap is counted once, and a branch goes when its overlap
+so far and what is left can't reach the threshold. The walk is made first over the prefixes in the global order, where
+most candidates go, and then, for the rest, over the whole sets.
 
 No meeting place emits all its pairs. Each first links its members to one of them (small ones compare all); what is
 then connected needs no more comparison, and only members that are still in different components meet pair by pair.
 So the components are exact, and the work on a group of copies is linear.
 
 Defined cases: null or empty text has the empty set and links with nothing; a text of fewer than k words is one
-shingle; a null doc_id links with nothing; rows of one doc_id count as one document of the first one's set; ties in
+shingle; a null doc_id links with nothing; rows of one doc_id count as one document that links by any of its sets; ties in
 the order are impossible but for equal hashes; extra columns are dropped; an empty table gives no rows. Shingles are
 equal if 54 bits of their hashes are.
 """
@@ -31,7 +32,7 @@ from stripmatch.llm import store
 from stripmatch.llm.textnp import _MULT, U, Chunk, chunks, mix
 from stripmatch.operators.components import connected_components
 
-FREQUENT, SMALL, BLOCK = 24, 8, 200
+FREQUENT, SMALL, BLOCK, CLASSES = 24, 8, 200, 1024
 RARE_BYTES, PLACE_BYTES = 4, 6
 
 
@@ -98,10 +99,10 @@ def signatures(docs: DataFrame, k: int, percent: int, bits: int, frequent: str)
                     np.cumsum(mix(s + salt * _MULT[30]), out=total[1:])
                     sums.append((total[off[1:]] - total[off[:-1]]).view(np.int64))
                 _, got = often.find(store.trimmed(s << U(10), bits, RARE_BYTES))
-                rank = (doc.astype(U) << U(32)) | got["n"].astype(U)
-                s = s[np.argsort(rank, kind="stable")]
+                place = (np.minimum(got["n"], CLASSES - 1).astype(U) << U(54)) | s  # the global order
+                place = place[np.lexsort((place, doc))] if got["n"].any() else place
                 size = np.where(n > 0, n - least_shared(n, percent) + 1, 0)
-                prefix = [s[o : o + z].tobytes() for o, z in zip(off.tolist(), size.tolist())]
+                prefix = [place[o : o + z].tobytes() for o, z in zip(off.tolist(), size.tolist())]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(c.lo, c.n), pa.array(n), pa.array(sums[0]), pa.array(sums[1]), pa.array(prefix, pa.binary())], ["doc_id", "n", "s1", "s2", "prefix"])
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n long, s1 long, s2 long, prefix binary")
@@ -123,7 +124,7 @@ def meeting_places(sets: DataFrame, bits: int, folder: str) -> None:
         held = store.Held(pack, ["key", "doc", "n"])
         for batch in batches:
             size = [len(p) // 8 for p in batch.column(2).to_pylist()]
-            key = np.frombuffer(b"".join(batch.column(2).to_pylist()), U) << U(10)
+            key = np.frombuffer(b"".join(batch.column(2).to_pylist()), U) << U(10)  # without the class
             rep, n = np.asarray(batch.column(0)), np.asarray(batch.column(1))
             yield from held.add(key=store.trimmed(key, bits, PLACE_BYTES), doc=np.repeat(rep, size), n=np.repeat(n, size))
         yield from held.flush()
@@ -233,81 +234,107 @@ def write_lookup(rows: DataFrame, bits: int, folder: str, column: str | None = N
     store.run_ranges(rows.mapInArrow(run, store.PACKED_DDL), bits, each, ["n"])
 
 
-def tree_matches(probe: np.ndarray, sets: list[np.ndarray], percent: int) -> list[int]:
+def among(rows: DataFrame, folder: str, bits: int) -> DataFrame:
+    """The rows whose first column, a long, is in a store that write_lookup wrote: a semi-join without a shuffle."""
+
+    def run(batches):
+        asked = store.Store(folder, bits)
+        for batch in batches:
+            ids = batch.column(0)
+            ok, _ = asked.find(mix(np.array(ids.fill_null(0)).view(U)))
+            yield batch.filter(pa.array(ok & ~np.asarray(ids.is_null())))
+
+    return rows.mapInArrow(run, rows.schema)
+
+
+def tree_matches(probe: np.ndarray, sets: list[np.ndarray], percent: int, sizes: tuple[int, list[int]] | None = None) -> list[int]:
     """Indices of the sets that reach percent of the union with probe. All are sorted.
 
-    The sets, in lexicographic order, are the leaves of a prefix tree; `shared` holds the overlaps with the probe along
-    the path to the last leaf, so that a leaf counts only what lies below its branch.
+    With sizes (of the probe and of each), the sequences are beginnings of sets of those sizes, and sets that may reach
+    it come back: up to the smaller of two last members, a member that the other lacks is one that its set lacks.
+
+    The sequences, in lexicographic order, are the leaves of a prefix tree; `shared` holds the overlaps with the probe
+    along the path to the last leaf, so that a leaf counts only what lies below its branch.
     """
     order = sorted(range(len(sets)), key=lambda i: sets[i].astype(">u8").tobytes())
     path, shared, found = np.zeros(0, U), np.zeros(1, np.int64), []
     for i in order:
         s = sets[i]
+        if not len(s):
+            continue
         m = min(len(path), len(s))
         differ = np.flatnonzero(path[:m] != s[:m])
         depth = int(differ[0]) if len(differ) else m
-        need = -(-percent * (len(probe) + len(s)) // (100 + percent))
+        n_probe, n_set = (sizes[0], sizes[1][i]) if sizes else (len(probe), len(s))
+        need = -(-percent * (n_probe + n_set) // (100 + percent))
         passed = int(np.searchsorted(probe, s[depth - 1], "right")) if depth else 0
-        if shared[depth] + min(len(s) - depth, len(probe) - passed) < need:
+        if shared[depth] + min(n_set - depth, n_probe - passed) < need:
             path, shared = path[:depth], shared[: depth + 1]
             continue
         tail = s[depth:]
         at = np.minimum(np.searchsorted(probe, tail), len(probe) - 1)
         shared = np.concatenate([shared[: depth + 1], shared[depth] + np.cumsum(probe[at] == tail)])
         path = s
-        if 100 * shared[-1] >= percent * (len(probe) + len(s) - shared[-1]):
+        if sizes:
+            last = min(probe[-1], s[-1])
+            own, its = int(np.searchsorted(probe, last, "right")), int(np.searchsorted(s, last, "right"))
+            most = shared[its] + min(n_probe - own, n_set - its)
+        else:
+            most = shared[-1]
+        if 100 * most >= percent * (n_probe + n_set - most):
             found.append(i)
     return found
 
 
-def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int, bits: int) -> DataFrame:
-    """The pairs (a, b) whose whole sets reach the threshold."""
-    spark = docs.sparkSession
-    wanted = store.new_folder(spark, "jaccard-wanted")
-    write_lookup(pairs.select("a").union(pairs.select("b")).distinct(), bits, wanted)
-
-    def sets_of(batches):
-        asked = store.Store(wanted, bits)
-        for batch in batches:
-            ids = np.array(batch.column(0).fill_null(0))
-            ok, _ = asked.find(mix(ids.view(U)))
-            ok &= ~np.asarray(batch.column(0).is_null())
-            batch = batch.filter(pa.array(ok))
-            ids = ids[ok]
-            for c in chunks(batch.column(1)) if batch.num_rows else ():
-                doc, s = shingle_sets(c, k)
-                off = np.searchsorted(doc, np.arange(c.n + 1)).tolist()
-                yield pa.RecordBatch.from_arrays([pa.array(ids[c.lo : c.lo + c.n]), pa.array([s[x:y].tobytes() for x, y in zip(off, off[1:])], pa.binary())], ["id", "s"])
-
-    sets = docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long"), "text").mapInArrow(sets_of, "id long, s binary").groupBy("id").agg(F.min("s").alias("s"))
-    sets = written(sets, "sets")
+def walked(pairs: DataFrame, sets: DataFrame, percent: int, bits: int, beginnings: bool) -> DataFrame:
+    """The pairs (a, b) that the prefix trees of `sets` (id, n, s) leave. A probe with many candidates takes them in blocks."""
     load = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
     asked = pairs.join(load, "a").withColumn("block", F.pmod(F.xxhash64("b"), F.col("blocks")).cast("int")).select("a", "block", "b")
-    probes = load.select("a", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block")).join(sets, F.col("a") == sets["id"]).select("a", "block", F.lit(None).cast("long").alias("b"), "s")
-    leaves = asked.join(sets, asked["b"] == sets["id"]).select("a", "block", "b", "s")
+    probes = load.join(sets, F.col("a") == sets["id"]).select("a", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.lit(None).cast("long").alias("b"), "n", "s")
+    leaves = asked.join(sets, asked["b"] == sets["id"]).select("a", "block", "b", "n", "s")
 
     def walk(batches):
         group, probe, ids, held = None, None, [], []
 
         def done():
-            hits = tree_matches(probe, held, percent) if held and probe is not None and len(probe) else []
+            hits = []
+            if held and probe is not None and len(probe[1]):
+                hits = tree_matches(probe[1], [s for _, s in held], percent, (probe[0], [n for n, _ in held]) if beginnings else None)
             return pa.RecordBatch.from_arrays([pa.array([group[0]] * len(hits), pa.int64()), pa.array([ids[i] for i in hits], pa.int64())], ["a", "b"])
 
         for batch in batches:
-            for a, block, b, s in zip(*(batch.column(i).to_pylist() for i in range(4))):
+            for a, block, b, n, s in zip(*(batch.column(i).to_pylist() for i in range(5))):
                 if (a, block) != group:
                     if group is not None:
                         yield done()
                     group, probe, ids, held = (a, block), None, [], []
                 if b is None:
-                    probe = np.frombuffer(s, U)
+                    probe = n, np.frombuffer(s, U)
                 else:
-                    ids.append(b), held.append(np.frombuffer(s, U))
+                    ids.append(b), held.append((n, np.frombuffer(s, U)))
         if group is not None:
             yield done()
 
     rows = probes.union(leaves).repartition(1 << bits, "a", "block").sortWithinPartitions("a", "block", F.col("b").asc_nulls_first())
-    return written(rows.mapInArrow(walk, "a long, b long"), "links")
+    return written(rows.mapInArrow(walk, "a long, b long").distinct(), "pairs")
+
+
+def verified(docs: DataFrame, prefixes: DataFrame, pairs: DataFrame, k: int, percent: int, bits: int) -> DataFrame:
+    """The pairs (a, b) whose whole sets reach the threshold. prefixes: id, n, s."""
+    met, wanted = store.new_folder(docs.sparkSession, "jaccard-met"), store.new_folder(docs.sparkSession, "jaccard-wanted")
+    write_lookup(pairs.select("a").union(pairs.select("b")).distinct(), bits, met)
+    pairs = walked(pairs, among(prefixes, met, bits), percent, bits, True)
+    write_lookup(pairs.select("a").union(pairs.select("b")).distinct(), bits, wanted)
+
+    def sets_of(batches):
+        for batch in batches:
+            for c in chunks(batch.column(1)):
+                doc, s = shingle_sets(c, k)
+                off = np.searchsorted(doc, np.arange(c.n + 1)).tolist()
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(c.lo, c.n), pa.array(np.diff(off)), pa.array([s[x:y].tobytes() for x, y in zip(off, off[1:])], pa.binary())], ["id", "n", "s"])
+
+    sets = among(docs.select(F.col("doc_id").cast("long").alias("id"), "text"), wanted, bits).mapInArrow(sets_of, "id long, n long, s binary")
+    return walked(pairs, written(sets, "sets"), percent, bits, False)
 
 
 def jaccard_links(docs: DataFrame, k: int = 4, percent: int = 85) -> tuple[DataFrame, DataFrame]:
@@ -322,9 +349,13 @@ def jaccard_links(docs: DataFrame, k: int = 4, percent: int = 85) -> tuple[DataF
     frequent_shingles(docs, k, bits, frequent)
     sets = written(signatures(docs, k, percent, bits, frequent), "signatures")
     usable = sets.where("n > 0 AND doc_id IS NOT NULL").withColumn("doc_id", F.col("doc_id").cast("long"))
-    meeting_places(usable.groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep"), F.min_by("prefix", "doc_id").alias("prefix")).select("rep", "n", "prefix"), bits, places)
+    reps = written(usable.groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep")), "reps")
+    first = store.new_folder(spark, "jaccard-first")
+    write_lookup(reps.select("rep"), bits, first)
+    prefixes = usable.select(F.col("doc_id").alias("id"), "n", F.col("prefix").alias("s"))
+    meeting_places(among(prefixes, first, bits), bits, places)
     pairs = written(all_ranges(spark, bits, lambda r: first_pairs(places, r, percent)).distinct(), "pairs")
-    links = verified(docs, pairs, k, percent, bits)
+    links = verified(docs, prefixes, pairs, k, percent, bits)
     labels = store.new_folder(spark, "jaccard-labels")
     write_lookup(connected_components(links).select("node", "component"), bits, labels, "label")
 
@@ -333,8 +364,7 @@ def jaccard_links(docs: DataFrame, k: int = 4, percent: int = 85) -> tuple[DataF
 
     rest = written(all_ranges(spark, bits, later).distinct(), "pairs")
     if not rest.isEmpty():
-        links = links.union(verified(docs, rest, k, percent, bits))
-    reps = written(usable.groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep")), "reps")
+        links = links.union(verified(docs, prefixes, rest, k, percent, bits))
     return sets.drop("prefix").join(reps, ["s1", "s2", "n"], "left").select("doc_id", "n", F.when(F.col("doc_id").isNotNull(), F.col("rep")).alias("rep")), links
 
 
