@@ -3,7 +3,7 @@
 A document's set holds the hashes of its k-word shingles. All sets are ordered alike: shingles rarer than FREQUENT
 documents first, by hash, then the frequent ones from rare to frequent, by counts over all documents (from CLASSES - 1
 on by hash alone). Equal sets fall together first. If two sets reach the threshold, their prefixes (the first n - ceil(t n) + 1 in that order) share a
-shingle, so each shingle of a prefix is a meeting place; sizes too far apart never meet.
+shingle, so each shingle of a prefix is a meeting place; sets whose sizes or earlier shingles forbid it never pair there.
 
 A probe's candidates, in blocks, stand in a prefix tree (sorted sets, each hanging from its predecessor at their common
 prefix), which is walked with the probe: a shared prefix's overlap is counted once, and a branch goes when its overlap
@@ -113,49 +113,58 @@ def meeting_places(sets: DataFrame, bits: int, folder: str) -> None:
 
     def pack(cols):
         order = np.argsort(cols["key"], kind="stable")
-        key, doc, n = (cols[c][order] for c in ("key", "doc", "n"))
+        key, doc, n, pos = (cols[c][order] for c in ("key", "doc", "n", "pos"))
         out = []
         for r, s in store.by_range(key, bits):
             ids, at, back = np.unique(doc[s], return_index=True, return_inverse=True)
-            out.append((r, s.stop - s.start, [store.short(key[s], bits, PLACE_BYTES), ids.tobytes(), n[s][at].tobytes(), back.astype(np.uint32).tobytes()]))
+            out.append((r, s.stop - s.start, [store.short(key[s], bits, PLACE_BYTES), ids.tobytes(), n[s][at].tobytes(), back.astype(np.uint32).tobytes(), pos[s].tobytes()]))
         return out
 
     def run(batches):
-        held = store.Held(pack, ["key", "doc", "n"])
+        held = store.Held(pack, ["key", "doc", "n", "pos"])
         for batch in batches:
             size = [len(p) // 8 for p in batch.column(2).to_pylist()]
             key = np.frombuffer(b"".join(batch.column(2).to_pylist()), U) << U(10)  # without the class
             rep, n = np.asarray(batch.column(0)), np.asarray(batch.column(1))
-            yield from held.add(key=store.trimmed(key, bits, PLACE_BYTES), doc=np.repeat(rep, size), n=np.repeat(n, size))
+            yield from held.add(key=store.trimmed(key, bits, PLACE_BYTES), doc=np.repeat(rep, size), n=np.repeat(n, size), pos=np.concatenate([np.arange(z, dtype=np.uint32) for z in size] or [np.zeros(0, np.uint32)]))
         yield from held.flush()
 
     def each(r, parts):
-        cols = [], [], []
-        for _, (key, ids, n, back) in parts:
+        cols = [], [], [], []
+        for _, (key, ids, n, back, pos) in parts:
             back = np.frombuffer(back, np.uint32)
-            cols[0].append(store.long(key, r, bits, PLACE_BYTES)), cols[1].append(np.frombuffer(ids, np.int64)[back]), cols[2].append(np.frombuffer(n, np.int64)[back])
-        key, doc, n = map(np.concatenate, cols)
-        order = np.lexsort((doc, key))
-        key, doc, n = key[order], doc[order], n[order]
+            cols[0].append(store.long(key, r, bits, PLACE_BYTES)), cols[1].append(np.frombuffer(ids, np.int64)[back]), cols[2].append(np.frombuffer(n, np.int64)[back]), cols[3].append(np.frombuffer(pos, np.uint32))
+        key, doc, n, pos = map(np.concatenate, cols)
+        order = np.lexsort((doc, pos, key))
+        key, doc, n, pos = key[order], doc[order], n[order], pos[order]
         same = np.zeros(len(key), bool)
         same[1:] = key[1:] == key[:-1]
         same[:-1] |= same[1:].copy()
-        store.write_range(folder, r, key[same], {"doc": doc[same], "n": n[same].astype("u4")})
+        store.write_range(folder, r, key[same], {"doc": doc[same], "n": n[same].astype("u4"), "pos": pos[same]})
         return {"n": same.sum()}
 
     store.run_ranges(sets.mapInArrow(run, store.PACKED_DDL), bits, each, ["n"])
 
 
-def _place(folder: str, r: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(bounds of the meeting places, sizes, documents, set sizes) of a range."""
-    key, doc, n = (store.mapped(folder, f"{c}-{r}").view(k) for c, k in (("key", "u8"), ("doc", "i8"), ("n", "u4")))
+def _place(folder: str, r: int) -> tuple[np.ndarray, ...]:
+    """(bounds of the meeting places, sizes, documents, set sizes, places in the prefixes) of a range."""
+    key, doc, n, pos = (store.mapped(folder, f"{c}-{r}").view(k) for c, k in (("key", "u8"), ("doc", "i8"), ("n", "u4"), ("pos", "u4")))
     at = np.append(np.flatnonzero(np.append(True, key[1:] != key[:-1])), len(key)) if len(key) else np.zeros(1, np.int64)
-    return at, np.diff(at), doc, n.astype(np.int64)
+    return at, np.diff(at), doc, n.astype(np.int64), pos.astype(np.int64)
+
+
+def _possible(left: np.ndarray, right: np.ndarray, n: np.ndarray, pos: np.ndarray, percent: int) -> np.ndarray:
+    """If this is the first shingle that two prefixes share, all before it are unshared: can they reach the threshold?
+
+    (If it is not the first, the two also meet at the first.) This includes the bound on their sizes.
+    """
+    need = -(-percent * (n[left] + n[right]) // (100 + percent))
+    return (n[left] - pos[left] >= need) & (n[right] - pos[right] >= need)
 
 
 def first_pairs(folder: str, r: int, percent: int) -> np.ndarray:
-    """All pairs of small meeting places, and one member against the others of large ones."""
-    at, size, doc, n = _place(folder, r)
+    """All pairs of small meeting places; in large ones the member with fewest shingles before it against the others."""
+    at, size, doc, n, pos = _place(folder, r)
     left, right = [], []
     for g in range(2, SMALL + 1):
         head = at[:-1][size == g]
@@ -164,12 +173,12 @@ def first_pairs(folder: str, r: int, percent: int) -> np.ndarray:
                 left.append(head + i), right.append(head + j)
     for s, e in zip(at[:-1][size > SMALL].tolist(), at[1:][size > SMALL].tolist()):
         left.append(np.full(e - s - 1, s)), right.append(np.arange(s + 1, e))
-    return _pairs(left, right, doc, n, percent)
+    return _pairs(left, right, doc, n, pos, percent)
 
 
 def later_pairs(folder: str, r: int, percent: int, labels: store.Store) -> np.ndarray:
     """Pairs of large meeting places whose members are in different components; those first_pairs had are left out."""
-    at, size, doc, n = _place(folder, r)
+    at, size, doc, n, pos = _place(folder, r)
     left, right = [], []
     for s, e in zip(at[:-1][size > SMALL].tolist(), at[1:][size > SMALL].tolist()):
         known, got = labels.find(mix(doc[s:e].view(U)))
@@ -177,21 +186,21 @@ def later_pairs(folder: str, r: int, percent: int, labels: store.Store) -> np.nd
         if (label == label[0]).all():
             continue
         order = np.argsort(n[s + 1 : e], kind="stable") + s + 1
-        own, size_of = label[order - s], n[order]
-        stop = np.searchsorted(size_of, size_of * 100 // percent, "right")
+        own = label[order - s]
+        stop = np.searchsorted(n[order], n[order] * 100 // percent, "right")
         for i in range(len(order)):
             j = np.arange(i + 1, stop[i])
-            j = j[own[j] != own[i]]
-            left.append(np.full(len(j), order[i])), right.append(order[j])
-    return _pairs(left, right, doc, n, percent)
+            j = order[j[own[j] != own[i]]]
+            j = j[_possible(np.full(len(j), order[i]), j, n, pos, percent)]
+            left.append(np.full(len(j), order[i])), right.append(j)
+    return _pairs(left, right, doc, n, pos, percent)
 
 
-def _pairs(left: list, right: list, doc: np.ndarray, n: np.ndarray, percent: int) -> np.ndarray:
+def _pairs(left: list, right: list, doc: np.ndarray, n: np.ndarray, pos: np.ndarray, percent: int) -> np.ndarray:
     if not left:
         return np.zeros((0, 2), np.int64)
     left, right = np.concatenate(left), np.concatenate(right)
-    low, high = np.minimum(n[left], n[right]), np.maximum(n[left], n[right])
-    ok = 100 * low >= percent * high
+    ok = _possible(left, right, n, pos, percent)
     a, b = doc[left[ok]], doc[right[ok]]
     pairs = np.column_stack([np.minimum(a, b), np.maximum(a, b)])
     return np.unique(pairs[pairs[:, 0] != pairs[:, 1]], axis=0) if len(pairs) else pairs

@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from stripmatch.cluster import shared_dir, shuffle_parts
 from stripmatch.llm.textnp import U
 
-HELD = 3_000_000
+HELD = 2_000_000
 
 
 def range_bits(spark: SparkSession) -> int:
