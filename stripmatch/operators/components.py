@@ -8,11 +8,21 @@ from pyspark.sql import functions as F
 from stripmatch.cluster import written
 
 
+def _flat(hook: DataFrame) -> DataFrame:
+    """hook (b, to) with every `to` a node that hooks nowhere: doubling steps."""
+    while True:
+        onward = hook.select(F.col("b").alias("via"), F.col("to").alias("end"))
+        if hook.join(onward, hook["to"] == onward["via"], "left_semi").isEmpty():
+            return hook
+        hook = written(hook.join(onward, hook["to"] == onward["via"], "left").select("b", F.coalesce("end", "to").alias("to")), "hooks")
+
+
 def connected_components(edges: DataFrame, a: str = "a", b: str = "b", most_rounds: int = 60) -> DataFrame:
     """(node, component): the smallest node that each node of an edge table can reach.
 
     Every round, each node with a smaller neighbour hooks to the smallest one (a minimum, combined before the shuffle,
-    so that a hub is no hot key), edges are rewritten between hooks and those inside one node go. Nulls and loops
+    so that a hub is no hot key), chains of hooks are cut short by pointer jumping, edges are rewritten between their
+    ends and those inside one node go. So a chain takes logarithmically many steps. Nulls and loops
     are left out; an empty table gives an empty one. Nothing but counts comes to the driver.
     """
     pair = edges.where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col(a) != F.col(b)))
@@ -21,7 +31,7 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", most_roun
     for _ in range(most_rounds):
         if live.isEmpty():
             return labels
-        hook = written(live.groupBy("b").agg(F.min("a").alias("to")), "hooks")
+        hook = _flat(written(live.groupBy("b").agg(F.min("a").alias("to")), "hooks"))
         labels = written(labels.join(hook, labels["component"] == hook["b"], "left").select("node", F.coalesce("to", "component").alias("component")), "labels")
         left = hook.select(F.col("b").alias("ka"), F.col("to").alias("ta"))
         right = hook.select(F.col("b").alias("kb"), F.col("to").alias("tb"))

@@ -3,13 +3,21 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql.types import StructType
+from pyspark.sql.types import BooleanType, DoubleType, IntegerType, LongType, StringType, StructField, StructType
 
-DETECTION = StructType.fromDDL("image_id int, source_id long, ra_deg double, dec_deg double, mjd double, flux double, flux_err double, ellipticity double, area double, band string, quality string")
-EXPOSURE = StructType.fromDDL("image_id int, mjd_min double, mjd_max double, n_sources long, band string, exptime double, order_count long")
-SKY_OBJECT = StructType.fromDDL("object_id long, first_source_id long, datapoints int, active boolean, mean_ra_deg double, mean_dec_deg double, x double, y double, z double, strip int")
-LIGHTCURVE = StructType.fromDDL("object_id long, source_id long, image_id int, mjd double, flux double, flux_err double, sep_arcsec double, topology string")
-QUERY_LOG = StructType.fromDDL("run_id string, image_id int, step string, query string, seconds double, rows_out long, rows_scanned long, n_database long")
+_TYPES = {"int": IntegerType(), "long": LongType(), "double": DoubleType(), "string": StringType(), "boolean": BooleanType()}
+
+
+def fields(text: str) -> StructType:
+    """A schema of plain types; unlike the DDL parser it needs no session."""
+    return StructType([StructField(n, _TYPES[t]) for n, t in (f.split() for f in text.split(","))])
+
+
+DETECTION = fields("image_id int, source_id long, ra_deg double, dec_deg double, mjd double, flux double, flux_err double, ellipticity double, area double, band string, quality string")
+EXPOSURE = fields("image_id int, mjd_min double, mjd_max double, n_sources long, band string, exptime double, order_count long")
+SKY_OBJECT = fields("object_id long, first_source_id long, datapoints int, active boolean, mean_ra_deg double, mean_dec_deg double, x double, y double, z double, strip int")
+LIGHTCURVE = fields("object_id long, source_id long, image_id int, mjd double, flux double, flux_err double, sep_arcsec double, topology string")
+QUERY_LOG = fields("run_id string, image_id int, step string, query string, seconds double, rows_out long, rows_scanned long, n_database long")
 
 
 def conform(df: DataFrame, schema: StructType) -> DataFrame:
