@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from stripmatch.cluster import ship, written
 from stripmatch.llm import store
-from stripmatch.llm.textnp import _MULT, U, Chunk, chunks, mix
+from stripmatch.llm.textnp import _MULT, U, Chunk, chunks, mix, release
 from stripmatch.operators.components import connected_components
 
 FREQUENT, SMALL, BLOCK, CLASSES = 24, 8, 200, 1024
@@ -323,6 +323,7 @@ def walked(pairs: DataFrame, sets: DataFrame, percent: int, bits: int, beginning
                     ids.append(b), held.append((n, np.frombuffer(s, U)))
         if group is not None:
             yield done()
+        release()
 
     rows = probes.union(leaves).repartition(1 << bits, "a", "block").sortWithinPartitions("a", "block", F.col("b").asc_nulls_first())
     return written(rows.mapInArrow(walk, "a long, b long").distinct(), "pairs")

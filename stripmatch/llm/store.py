@@ -21,9 +21,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from stripmatch.cluster import shared_dir, shuffle_parts
-from stripmatch.llm.textnp import U
+from stripmatch.llm.textnp import U, release
 
-HELD = 2_000_000
+HELD = 1_000_000
 
 
 def range_bits(spark: SparkSession) -> int:
@@ -107,6 +107,8 @@ class Held:
             self.parts, self.n = {n: [] for n in self.names}, 0
             for i in range(0, len(rows), 64):
                 yield packed_rows(rows[i : i + 64])
+            del rows
+            release()
 
 
 class Store:
@@ -208,6 +210,7 @@ def run_ranges(packed: DataFrame, bits: int, each: Callable[[int, list], dict[st
         for r, parts in sorted(ranges_of(batches).items()):
             got = each(r, parts)
             yield pa.RecordBatch.from_arrays([pa.array([int(got.get(s, 0))], pa.int64()) for s in sums], sums)
+        release()
 
     done = dealt(packed, bits).mapInArrow(run, ", ".join(f"{s} long" for s in sums))
     row = done.agg(*[F.coalesce(F.sum(s), F.lit(0)).alias(s) for s in sums]).first()

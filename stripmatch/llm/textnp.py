@@ -7,6 +7,8 @@ bytes of memory while it is worked on; texts are taken together only up to CHUNK
 
 from __future__ import annotations
 
+import ctypes
+import gc
 from collections.abc import Iterator
 
 import numpy as np
@@ -117,6 +119,17 @@ def chunks(texts: pa.Array, size: int = CHUNK, most: int = 1000) -> Iterator[Chu
         hi = min(hi, len(texts), lo + most)
         yield Chunk(data[off[lo] : off[hi]], off[lo : hi + 1] - off[lo], lo)
         lo = hi
+    release()
+
+
+def release() -> None:
+    """Give freed memory back to the system: an executor's idle workers count towards its limit."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except OSError:  # another C library
+        pass
 
 
 def doc_mix(h: np.ndarray, doc: np.ndarray) -> np.ndarray:
