@@ -90,13 +90,13 @@ _SPAN = pa.struct([("start", pa.int32()), ("rank", pa.int32()), ("end", pa.int32
 
 
 def scan(docs: DataFrame, owner: Column, repository: Column) -> DataFrame:
-    """One row per document: row (its number), doc_id, owner, repository, base and further spans. Nothing is judged yet."""
+    """One row per document: row (its number), doc_id, owner, repository, digest (of its text), base and further spans. Nothing is judged yet."""
     ship(docs.sparkSession)
-    narrow = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", F.coalesce(owner.cast("string"), F.lit("\0")).alias("owner"), F.coalesce(repository.cast("string"), F.lit("\0")).alias("repository"), "text")
+    narrow = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", F.coalesce(owner.cast("string"), F.lit("\0")).alias("owner"), F.coalesce(repository.cast("string"), F.lit("\0")).alias("repository"), F.xxhash64("text").alias("digest"), "text")
 
     def run(batches):
         for batch in batches:
-            for c in chunks(batch.column(4)):
+            for c in chunks(batch.column(5)):
                 raw = c.b.tobytes()
                 runs: dict[int, list] = {}
                 if len(c.b):
@@ -121,11 +121,11 @@ def scan(docs: DataFrame, owner: Column, repository: Column) -> DataFrame:
                     f = further_spans(text, words.get(d, []), b)
                     base.append([dict(zip(("start", "rank", "end", "value"), x)) for x in points(text, b)])
                     further.append([dict(zip(("start", "rank", "end", "value"), x)) for x in points(text, f)])
-                kept = [batch.column(j).slice(c.lo, c.n) for j in range(4)]
-                yield pa.RecordBatch.from_arrays([*kept, pa.array(base, pa.list_(_SPAN)), pa.array(further, pa.list_(_SPAN))], ["row", "doc_id", "owner", "repository", "base", "further"])
+                kept = [batch.column(j).slice(c.lo, c.n) for j in range(5)]
+                yield pa.RecordBatch.from_arrays([*kept, pa.array(base, pa.list_(_SPAN)), pa.array(further, pa.list_(_SPAN))], ["row", "doc_id", "owner", "repository", "digest", "base", "further"])
 
     span = "array<struct<start:int,rank:int,end:int,value:string>>"
-    return narrow.mapInArrow(run, f"row long, doc_id {dict(narrow.dtypes)['doc_id']}, owner string, repository string, base {span}, further {span}")
+    return narrow.mapInArrow(run, f"row long, doc_id {dict(narrow.dtypes)['doc_id']}, owner string, repository string, digest long, base {span}, further {span}")
 
 
 def ownership(scanned: DataFrame) -> DataFrame:
@@ -137,13 +137,13 @@ def ownership(scanned: DataFrame) -> DataFrame:
 
 
 def find_secrets(docs: DataFrame, owner: Column, repository: Column, few: int = 2) -> tuple[DataFrame, DataFrame]:
-    """(documents, spans): documents have row, doc_id, base, spans (all, judged); spans have doc_id, kind, start, end, owners, verdict."""
+    """(documents, spans): documents have row, doc_id, digest, base, spans (all, judged); spans have doc_id, kind, start, end, owners, verdict."""
     scanned = written(scan(docs, owner, repository), "secrets")
     counts = ownership(scanned)
     cands = scanned.select("row", "doc_id", F.explode(F.concat("base", "further")).alias("s")).select("row", "doc_id", "s.*")
     judged = cands.join(counts, "value").withColumn("live", F.col("owners") <= few)
     added = judged.where(F.col("live") & (F.col("rank") >= BASE)).groupBy("row").agg(F.collect_list(F.struct("start", "rank", "end", "value")).alias("added"))
-    full = scanned.join(added, "row", "left").select("row", "doc_id", "base", F.array_sort(F.concat("base", F.coalesce("added", F.filter("base", lambda x: F.lit(False))))).alias("spans"))
+    full = scanned.join(added, "row", "left").select("row", "doc_id", "digest", "base", F.array_sort(F.concat("base", F.coalesce("added", F.filter("base", lambda x: F.lit(False))))).alias("spans"))
     kinds = F.array(*map(F.lit, KINDS))
     spans = judged.select("doc_id", F.element_at(kinds, F.col("rank") + 1).alias("kind"), "start", "end", "value", "owners", "repositories", F.when(F.col("live"), "live").otherwise("example").alias("verdict"))
     return full, spans
@@ -155,9 +155,12 @@ def joined_spans(spans: Column) -> Column:
 
 
 def redacted(docs: DataFrame, found: DataFrame, mask: str = "[secret]") -> DataFrame:
-    """docs with each of its spans replaced. found: doc_id, spans; columns of docs are kept."""
-    marked = found.where(F.size("spans") > 0).groupBy("doc_id").agg(F.max("spans").alias("_spans"))
-    joined = docs.join(marked, "doc_id", "left")
+    """docs with each of its spans replaced. found: doc_id, digest, spans; columns of docs are kept.
+
+    A row takes the spans of its own id and text, so rows of one id, or of none, are each masked by what they hold.
+    """
+    marked = found.where(F.size("spans") > 0).groupBy(F.col("doc_id").alias("_id"), F.col("digest").alias("_digest")).agg(F.max("spans").alias("_spans"))
+    joined = docs.join(marked, docs["doc_id"].eqNullSafe(F.col("_id")) & (F.xxhash64(docs["text"]) == F.col("_digest")), "left")
     kept = F.col("text")
 
     def cut(acc, x):  # acc: text so far, place reached; overlaps are merged
