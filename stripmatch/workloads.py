@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from stripmatch.cluster import read_table, shared_dir, written
 from stripmatch.functions import sky
 from stripmatch.operators import associate, catalog, ids, lightcurve, match
-from stripmatch.plans import metrics, pipeline
+from stripmatch.plans import experiments, metrics, pipeline
 from stripmatch.sources import fixtures
 from stripmatch.streaming import lists
 
@@ -296,6 +296,28 @@ def image_footprints(spark, sf):
     return pipeline.footprints(fixtures.detections(spark, sf)).groupBy("image_id").agg(F.count(F.lit(1)).alias("strips"))
 
 
+_FOOTPRINT = f"SELECT DISTINCT image_id, unnest(generate_series(CAST(floor(dec_deg - 1e0/3600 - 1e-9) AS BIGINT), CAST(floor(least(dec_deg + 1e0/3600 + 1e-9, 90)) AS BIGINT))) AS strip FROM ({_DETECTIONS})"
+
+
+@workload(f"""WITH o AS ({_objects_sql()}), c AS (SELECT strip, count(*) AS n FROM o GROUP BY strip), f AS ({_FOOTPRINT})
+SELECT image_id, CAST(coalesce(sum(n), 0) AS BIGINT) AS rows_touched, (SELECT count(*) FROM o) AS n_database FROM f LEFT JOIN c USING (strip) GROUP BY image_id""")
+def rows_touched(spark, sf):
+    return experiments.rows_touched(fixtures.detections(spark, sf), fixtures.objects(spark, sf))
+
+
+@workload(f"""{_with()} SELECT width, dense, threshold, (SELECT count(*) FROM ({_pairs_sql()})) AS n_pairs
+FROM (VALUES (0.1e0), (0.25e0), (1e0), (5e0), (180e0)) w(width), (VALUES (TRUE), (FALSE)) s(dense), (VALUES ('chord2'), ('angle')) t(threshold)""")
+def bench_layouts(spark, sf):
+    """Strip widths, sorted or not, by either threshold: the pairs that each finds."""
+    return experiments.layouts(_list(spark, sf), fixtures.objects(spark, sf))
+
+
+@workload()
+def bench_tree(spark, sf):
+    """Depth and rebuilding of trees and forests as objects come in (no SQL: rows only)."""
+    return experiments.tree_growth(fixtures.objects(spark, sf))
+
+
 # light curves: resolved pairs of the static catalogue
 
 

@@ -5,11 +5,11 @@ from pyspark.sql import functions as F
 
 from stripmatch import workloads
 from stripmatch.operators import associate, catalog, ids
-from stripmatch.plans import metrics, pipeline
+from stripmatch.plans import experiments, metrics, pipeline
 from stripmatch.sources import fits_table, fixtures, ingest
 
 SF = "/root/testdata/sf0.001"
-CHECKED = ["match_strips_image", "match_cells_image", "match_strip_catalog_image", "resolve_nearest", "unmatched_sources", "missed_objects", "catalog_update_one_image", "lightcurve_points", "max_id_footer", "cone_search", "measure_backlog", "customer_supplier_match"]
+CHECKED = ["match_strips_image", "match_cells_image", "match_strip_catalog_image", "resolve_nearest", "unmatched_sources", "missed_objects", "catalog_update_one_image", "lightcurve_points", "max_id_footer", "cone_search", "measure_backlog", "customer_supplier_match", "rows_touched", "bench_layouts"]
 
 
 @pytest.fixture(scope="module")
@@ -126,3 +126,13 @@ def test_components(spark):
             root[max(x, y)] = min(x, y)
     assert got == {v: find(v) for p in e if None not in p and p[0] != p[1] for v in p}
     assert connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+def test_loading_and_tree_growth(spark):
+    d = fixtures.detections(spark, SF)
+    log = experiments.loading(spark, d, [0, 1]).collect()
+    assert [(x["query"], x.image_id) for x in log] == [("bulk", 0), ("rowwise", 0), ("bulk", 1), ("rowwise", 1)] and log[0].n_database < log[2].n_database
+    o = fixtures.objects(spark, SF)
+    held = {x.strip: x["count"] for x in o.groupBy("strip").count().collect()}
+    top = experiments.tree_growth(o).groupBy("strip").max("points").collect()
+    assert {x.strip: x["max(points)"] for x in top} == held
