@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from stripmatch.operators.components import connected_components
+from stripmatch.operators.ids import assign_ids
 
 
 def classify(pairs: DataFrame) -> DataFrame:
@@ -47,6 +48,25 @@ def resolve(pairs: DataFrame, policy: str = "nearest") -> DataFrame:
     return classify(kept.select("object_id", "source_id", "sep_arcsec"))
 
 
+def fork(resolved: DataFrame, start: int) -> DataFrame:
+    """The children that one-to-many pairs found instead of being merged: object_id (dense from start), parent_id, source_id, sep_arcsec."""
+    many = resolved.where("topology = 'one-to-many'").select(F.col("object_id").alias("parent_id"), "source_id", "sep_arcsec")
+    return assign_ids(many, start, ["parent_id", "source_id"])
+
+
+def fork_objects(objects: DataFrame, children: DataFrame) -> DataFrame:
+    """objects with parents set inactive, and a copy of its parent's row for each child."""
+    parents = children.select(F.col("parent_id").alias("_p")).distinct()
+    old = objects.join(parents, objects["object_id"] == F.col("_p"), "left").withColumn("active", F.col("active") & F.col("_p").isNull()).select(*objects.columns)
+    own = objects.withColumnRenamed("object_id", "parent_id").where("active").join(children.select("object_id", "parent_id"), "parent_id")
+    return old.unionByName(own.select(*objects.columns))
+
+
+def fork_history(curve: DataFrame, children: DataFrame) -> DataFrame:
+    """The light-curve rows that children inherit: each one a copy of its parent's history."""
+    return curve.withColumnRenamed("object_id", "parent_id").join(children.select("object_id", "parent_id"), "parent_id").select(*curve.columns)
+
+
 def unmatched_sources(sources: DataFrame, pairs: DataFrame) -> DataFrame:
     """Sources without a counterpart: they become objects."""
     return sources.join(pairs, "source_id", "left_anti")

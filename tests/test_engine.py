@@ -59,6 +59,16 @@ def test_resolution_policies(spark):
     assert g[1] == g[2] and g[5] == g[6] and len(set(g.values())) == 4
 
 
+def test_fork_inherits_history(spark):
+    p = spark.createDataFrame([(1, 10, 0.1), (1, 11, 0.2), (3, 12, 0.1)], "object_id long, source_id long, sep_arcsec double")
+    kids = associate.fork(associate.resolve(p), 100)
+    assert sorted((x.object_id, x.parent_id, x.source_id) for x in kids.collect()) == [(100, 1, 10), (101, 1, 11)]
+    o = spark.createDataFrame([(1, True, 5), (3, True, 6), (4, False, 7)], "object_id long, active boolean, datapoints int")
+    assert sorted(tuple(x) for x in associate.fork_objects(o, kids).collect()) == [(1, False, 5), (3, True, 6), (4, False, 7), (100, True, 5), (101, True, 5)]
+    c = spark.createDataFrame([(1, 7, 1.5), (3, 8, 2.5)], "object_id long, source_id long, flux double")
+    assert sorted(tuple(x) for x in associate.fork_history(c, kids).collect()) == [(100, 7, 1.5), (101, 7, 1.5)]
+
+
 def test_ids_are_dense_and_repeatable(spark):
     df = spark.range(1000).withColumnRenamed("id", "source_id")
     a = sorted(x.object_id for x in ids.assign_ids(df, 7, ["source_id"]).collect())
