@@ -1,13 +1,14 @@
-"""Embedding near-duplicates by sorted projection passes.
+"""Embedding near-duplicates by whole buckets of hyperplane bits.
 
-Exact copies fall together first. In each pass every vector gets a concatenation of random-hyperplane bits of that
-pass; vectors are range-sorted by it, and each is compared, in double precision, with the next `window` in order,
-over partition edges too. Verified pairs of all passes are united into components. Then links are counted exactly
-within each component, block against block, so no list of pairs is ever emitted.
+Exact copies fall together first. In each pass every vector gets some random-hyperplane bits of that pass, and all
+vectors of equal bits are compared in double precision; a bucket over `block` vectors is compared block against
+block, so nothing limits how many stand between the two of a pair. Pairs found in all passes are united into
+components. Then links are counted exactly within each component, again in blocks: no list of pairs is ever emitted.
 
-For a pair at cosine 0.95 one plane agrees with probability 0.9; with n vectors a pass must agree on about
-log2(n / window) bits to meet, so 24 passes at n = 50,000 miss a single worst-case pair about once in 20,000 times;
-closer pairs and larger groups are safer still. passes is to grow with log2(n): `passes_for` does it.
+A pair at cosine t has equal bits in a pass with probability (1 - acos(t) / pi)^bits, however dense its surroundings
+are, so the passes that miss a pair at the threshold with probability `miss` follow from the bits alone. What density
+changes is the cost: `plan` weighs passes against the size of buckets, from the angles of a sample, and takes the
+cheapest number of bits. No bits at all is one pass that compares everything and misses nothing.
 
 Defined cases: null or zero vectors and those with null or non-finite components link with nothing; vectors of
 different lengths never link; copies link with one another; a null id is kept without links; an empty table gives
@@ -21,7 +22,6 @@ import math
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,13 +29,29 @@ from stripmatch.cluster import ship, shuffle_parts, written
 from stripmatch.operators.components import connected_components
 
 PLANES = 40
+SAMPLE = 2_000
+ROW, BUCKET, PAIR, TERM = 2e-5, 3e-5, 3e-9, 2e-10  # seconds of a row dealt, a bucket, a pair, a component of a pair
+FEW = 100_000  # large buckets that may be broadcast
 
 
-def passes_for(n: int, window: int, threshold: float, miss: float = 1e-4) -> int:
-    """Passes after which a pair at the threshold is missed with probability about miss."""
-    agree = 1 - math.acos(min(1.0, threshold)) / math.pi
-    meet = agree ** max(0.0, math.log2(max(2.0, n / window)))
-    return min(400, max(8, math.ceil(math.log(miss) / math.log1p(-min(meet, 0.999)))))
+def passes_for(bits: int, threshold: float, miss: float = 1e-4) -> int:
+    """Passes after which a pair at the threshold is missed with probability of at most miss."""
+    meet = (1 - math.acos(max(-1.0, min(1.0, threshold))) / math.pi) ** bits
+    return 1 if meet >= 1 else math.ceil(math.log(miss) / math.log1p(-meet))
+
+
+def plan(n: int, dim: int, sample: np.ndarray, threshold: float, miss: float, block: int) -> tuple[int, int]:
+    """(bits, passes) of least cost for n vectors like the unit rows of the sample."""
+    i, j = np.triu_indices(len(sample), 1)
+    agree = 1 - np.arccos(np.clip((sample @ sample.T)[i, j], -1, 1)) / np.pi if len(i) else np.array([0.5])
+    best, meet = None, np.ones(len(agree))
+    for bits in range(PLANES + 1):
+        size, passes = n * meet.mean(), passes_for(bits, threshold, miss)
+        cost = passes * (n * (1 + size / block) * ROW + min(n, 2.0**bits) * BUCKET + n * size / 2 * (PAIR + dim * TERM))
+        if best is None or cost < best[0]:
+            best = cost, bits, passes
+        meet *= agree
+    return best[1:]
 
 
 def unit_rows(flat: np.ndarray, n: int) -> np.ndarray:
@@ -62,23 +78,27 @@ def _forest(pairs: np.ndarray, ids: np.ndarray, parent: dict[int, int]) -> list[
     return out
 
 
-def _near(x: np.ndarray, y: np.ndarray, window: int, offset: int, threshold: float) -> np.ndarray:
-    """(i, j) of rows x[i], y[j] within the window and at or above the threshold; x starts at row offset of y."""
-    found = []
+def _joined(x: np.ndarray, y: np.ndarray | None, threshold: float) -> np.ndarray:
+    """(i, j) of rows of x and y (of x alone: y is None) at or above the threshold; a spanning forest of all such pairs."""
+    every = x if y is None else np.concatenate([x, y])
+    tree, found = np.arange(len(every)), []
+    first = 0 if y is None else len(x)
     for s in range(0, len(x), 512):
-        part = x[s : s + 512]
-        lo, hi = offset + s + 1, min(len(y), offset + s + len(part) + window)
-        if lo >= hi:
-            continue
-        dots = part @ y[lo:hi].T
-        i, j = np.nonzero(dots >= threshold)
-        gap = (j + lo) - (i + offset + s)
-        ok = (gap > 0) & (gap <= window)
-        found.append(np.column_stack([i[ok] + s, j[ok] + lo]))
-    return np.concatenate(found) if found else np.zeros((0, 2), int)
-
-
-def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", threshold: float = 0.95, passes: int | None = None, window: int = 48, block: int = 512) -> DataFrame:
+        lo = s if y is None else first
+        near = x[s : s + 512] @ every[lo:].T >= threshold
+        if y is None:
+            near[:, : near.shape[0]] = np.triu(near[:, : near.shape[0]], 1)
+        for i in np.flatnonzero(near.any(axis=1)):
+            j = np.flatnonzero(near[i]) + lo
+            trees, at = np.unique(tree[j], return_index=True)
+            for t, k in zip(trees, at):
+                if t != tree[s + i]:
+                    found.append((s + i, j[k]))
+                    tree[tree == t] = tree[s + i]
+    return np.array(found, int).reshape(-1, 2)
+
+
+def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", threshold: float = 0.95, miss: float = 1e-4, block: int = 512, bucket: int = 2048) -> DataFrame:
     """One row per vector: vec_id, n_links, component_id, kept (is the component's smallest)."""
     spark = vectors.sparkSession
     ship(spark)
@@ -86,8 +106,10 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "emb
     fine = F.col("v").isNotNull() & F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("v", lambda x: x != 0)
     valid = every.where(F.coalesce(fine, F.lit(False)) & F.col("vec_id").isNotNull())
     reps = written(valid.groupBy("v").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.first(F.size("v")).alias("dim")), "reps")
-    n = reps.count()
-    passes = passes or passes_for(n, window, threshold)
+    sizes = {r["dim"]: r["count"] for r in reps.groupBy("dim").count().collect()}
+    some = reps.where(F.pmod(F.xxhash64("rep"), F.lit(max(1, sum(sizes.values()) // SAMPLE))) == 0).select("v").limit(2 * SAMPLE).collect()
+    sample = {d: [r["v"] for r in some if len(r["v"]) == d] for d in sizes}
+    plans = {d: plan(n, d, unit_rows(np.array(sample[d], np.float64), len(sample[d])) if sample[d] else np.zeros((0, d)), threshold, miss, bucket) for d, n in sizes.items()}
 
     def keyed(batches):
         for batch in batches:
@@ -101,68 +123,57 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "emb
                 x = unit_rows(np.asarray(sub.flatten()), len(rows))
                 ids = np.asarray(batch.column(0))[rows]
                 packed = pa.array([r.tobytes() for r in x], pa.binary())
+                bits, passes = plans[int(d)]
                 rng = np.random.default_rng(int(d))
                 for p in range(passes):
                     planes = rng.standard_normal((int(d), PLANES))
-                    key = (x @ planes > 0).astype(np.int64) @ (1 << np.arange(PLANES - 1, -1, -1, dtype=np.int64))
+                    key = (x @ planes[:, :bits] > 0).astype(np.int64) @ (1 << np.arange(bits, dtype=np.int64))
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(rows), p, np.int32)), pa.array(np.full(len(rows), d, np.int32)), pa.array(key), pa.array(ids), packed], ["pass", "dim", "key", "rep", "x"])
 
     rows = reps.select("rep", "v").mapInArrow(keyed, "pass int, dim int, key long, rep long, x binary")
-    parts = max(shuffle_parts(spark), 1)
-    sorted_rows = rows.repartitionByRange(parts, "pass", "dim", "key", "rep").sortWithinPartitions("pass", "dim", "key", "rep")
+    bucket_of = ["pass", "dim", "key"]
+    large = written(rows.groupBy(*bucket_of).count().where(F.col("count") > bucket).select(*bucket_of, F.ceil(F.col("count") / bucket).cast("int").alias("blocks")), "buckets")
+    large = F.broadcast(large) if large.count() <= FEW else large
+    cut = rows.join(large, bucket_of, "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
+    cut = cut.withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    group_of = [*bucket_of, "p", "q"]
+    cut = cut.select(*bucket_of, F.least("own", "other").alias("p"), F.greatest("own", "other").alias("q"), "own", "rep", "x")
+    grouped = cut.repartition(max(shuffle_parts(spark), 1), *group_of).sortWithinPartitions(*group_of, "rep")
 
     def compared(batches):
-        here = TaskContext.get().partitionId()
         parent: dict[int, int] = {}
-        run, tail, first = None, None, True
-        names = ["a", "b", "edge", "side", "nth", "run", "x"]
 
-        def rows_out(edges, boundary=None):
+        def tree_edges(group, parts):
+            if sum(map(len, parts)) < 2:
+                return []
+            t = pa.Table.from_batches(parts)
+            own, ids = t["own"].to_numpy(), t["rep"].to_numpy()
+            x = np.frombuffer(b"".join(t["x"].to_pylist()), np.float64).reshape(len(ids), -1)
+            if group[3] == group[4]:
+                return _forest(_joined(x, None, threshold), ids, parent)
+            left, right = own == group[3], own == group[4]
+            return _forest(_joined(x[left], x[right], threshold), np.concatenate([ids[left], ids[right]]), parent)
+
+        def out(edges):
             e = np.array(edges, np.int64).reshape(-1, 2)
-            k, m = len(e), len(boundary[1]) if boundary else 0
-            ids = boundary[1] if boundary else np.zeros(0, np.int64)
-            none = lambda kind: pa.nulls(k, kind)
-            cat = lambda left, right: pa.concat_arrays([left, right])
-            side, at, label, x = (boundary[0], boundary[2], boundary[3], boundary[4]) if boundary else (0, 0, "", np.zeros((0, 1)))
-            return pa.RecordBatch.from_arrays([
-                pa.array(np.concatenate([e[:, 0], ids])), cat(pa.array(e[:, 1]), pa.nulls(m, pa.int64())), cat(none(pa.int32()), pa.array(np.full(m, at, np.int32))), cat(none(pa.int32()), pa.array(np.full(m, side, np.int32))),
-                cat(none(pa.int32()), pa.array(np.arange(m, dtype=np.int32))), cat(none(pa.string()), pa.array([label] * m, pa.string())), cat(none(pa.binary()), pa.array([r.tobytes() for r in x], pa.binary()))], names)
+            return pa.RecordBatch.from_arrays([pa.array(e[:, 0]), pa.array(e[:, 1])], ["a", "b"])
 
+        group, parts, edges = None, [], []
         for batch in batches:
-            p, d = np.asarray(batch.column(0)), np.asarray(batch.column(1))
-            label = p.astype(np.int64) * 1_000_000 + d
-            cut = np.append(np.flatnonzero(np.diff(label, prepend=-1)), len(label))
-            for s, e in zip(cut[:-1], cut[1:]):
-                ids = np.asarray(batch.column(3))[s:e]
-                x = np.frombuffer(b"".join(batch.column(4).slice(s, e - s).to_pylist()), np.float64).reshape(e - s, -1)
-                if first:  # the partition's head meets the tail of the one before
-                    first = False
-                    yield rows_out([], (1, ids[:window], here, f"{label[s]}", x[:window]))
-                if run == label[s]:
-                    ids, x, k = np.concatenate([tail[0], ids]), np.concatenate([tail[1], x]), len(tail[0])
-                else:
-                    k = 0
-                run = label[s]
-                pairs = np.concatenate([_near(x[:k], x, window, 0, threshold), _near(x[k:], x, window, k, threshold) + [k, 0]])
-                pairs = pairs[pairs[:, 1] >= k] if k else pairs
-                yield rows_out(_forest(pairs, ids, parent))
-                tail = ids[-window:], x[-window:]
-        if tail is not None:
-            yield rows_out([], (0, tail[0], here + 1, f"{run}", tail[1]))
-
-    found = written(sorted_rows.mapInArrow(compared, "a long, b long, edge int, side int, nth int, run string, x binary"), "windows")
-
-    def over_edge(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["side", "nth"])
-        k = int((pdf["side"] == 0).sum())
-        if not k or k == len(pdf):
-            return pd.DataFrame({"a": [], "b": []}).astype("int64")
-        x = np.frombuffer(b"".join(pdf["x"]), np.float64).reshape(len(pdf), -1)
-        ids = pdf["a"].to_numpy()
-        pairs = _near(x[:k], x, window, 0, threshold)
-        return pd.DataFrame(_forest(pairs[pairs[:, 1] >= k], ids, {}), columns=["a", "b"]).astype("int64")
-
-    edges = found.where("edge is null").select("a", "b").union(found.where("edge is not null").groupBy("edge", "run").applyInPandas(over_edge, "a long, b long"))
+            if not batch.num_rows:
+                continue
+            keys = np.column_stack([np.asarray(batch.column(i)).astype(np.int64) for i in range(5)])
+            starts = np.flatnonzero(np.append(True, (keys[1:] != keys[:-1]).any(axis=1)))
+            for s, e in zip(starts, np.append(starts[1:], len(keys))):
+                if (g := tuple(keys[s])) != group:
+                    edges += tree_edges(group, parts)
+                    group, parts = g, []
+                parts.append(batch.slice(s, e - s))
+            yield out(edges)
+            edges = []
+        yield out(tree_edges(group, parts))
+
+    edges = grouped.mapInArrow(compared, "a long, b long")
     labels = connected_components(edges)
     linked = written(labels.join(reps.withColumnRenamed("rep", "node"), "node"), "linked")
     blocks = linked.groupBy("component").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("blocks"))

@@ -245,6 +245,36 @@ def test_vectors(spark):
     assert out[305].component_id == 5 and not out[305].kept
 
 
+def test_vectors_in_a_dense_cone(spark):
+    rng = np.random.default_rng(3)
+    unit = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
+    n, dim, planted = 6_000, 32, 200
+    x = unit(rng.normal(size=(n, dim)))
+    x[: n // 3] = unit(x[0] + np.sqrt(1 / 0.9 - 1) * unit(rng.normal(size=(n // 3, dim))))  # cosines of about 0.9 within the cone
+    side = rng.normal(size=(planted, dim))
+    base = x[:planted]
+    side = unit(side - (side * base).sum(axis=1, keepdims=True) * base)
+    x[n // 3 - planted : n // 3] = 0.971 * base + np.sqrt(1 - 0.971**2) * side
+    near = x @ x.T >= 0.97
+    np.fill_diagonal(near, False)
+    rows = spark.createDataFrame([(i, rows_copy(v)) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    for bucket in (2048, 256):
+        out = {r.vec_id: r for r in vectors.near_vectors(rows, threshold=0.97, bucket=bucket).collect()}
+        missed = sum(out[i].n_links != k for i, k in enumerate(near.sum(axis=1).tolist()))
+        assert near.sum() >= 2 * planted and missed == 0
+
+
+def test_every_pass_count_keeps_the_miss_rate():
+    rng = np.random.default_rng(4)
+    even = vectors.unit_rows(rng.normal(size=(500, 64)), 500)
+    cone = vectors.unit_rows(even[0] + 0.3 * even, 500)
+    for sample in (even, cone, even[:0]):
+        for n in (2, 1_000, 100_000, 10**8):
+            bits, passes = vectors.plan(n, 64, sample, 0.95, 1e-4, 2048)
+            assert (1 - (1 - np.arccos(0.95) / np.pi) ** bits) ** passes <= 1e-4
+    assert vectors.plan(1_000, 64, cone, 0.95, 1e-4, 2048) == (0, 1)
+
+
 def rows_copy(v):
     return [float(a) for a in v]
 
