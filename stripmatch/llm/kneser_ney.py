@@ -1,14 +1,21 @@
-"""An interpolated modified Kneser-Ney model of order 2, counted in Spark, kept as sorted hash arrays.
+"""An interpolated modified Kneser-Ney model of order 3 (or 2), counted in Spark, kept as sorted arrays.
 
-Tokens of a text are its words, A-Z folded, then an end; the first is predicted from a start. Words get dense numbers
-by the order of their hashes (ranges of hashes, each a file); a pair of numbers is mixed to a 64-bit key, whose
-ranges are dealt out evenly whatever words are frequent. Each task combines its pairs before it sends them, and the
-task of a range adds them up. Workers map the files; no table of the model is ever whole in one memory.
+Tokens of a text are its words, A-Z folded, then an end; before the first stand starts. Words get dense numbers by the
+order of their hashes (ranges of hashes, each a file); a pair of numbers is mixed to a 64-bit key and back, whose
+ranges are dealt out evenly whatever words are frequent. A gram (u, v, w) is the key of (v, w) and the number u, so it
+goes to the range of its pair, which counts the kinds of u at once; what its context (u, v) and the words v and w have
+is sent on. Each task combines its grams before it sends them; keys are sent as differences and numbers as planes of
+bytes, which the shuffle's compression makes short. Workers map the files; no table of the model is ever whole in one
+memory.
 
-p(w | v) = max(c(vw) - D(c), 0) / c(v) + g(v) p(w); p(w) is the same form over continuation counts, and rests on
-1 / (V + 1). D1, D2, D3+ follow from the counts of counts of each order.
+p(w | uv) = max(c(uvw) - D(c), 0) / c(uv) + g(uv) p(w | v); p(w | v) is the same form over the kinds of u before vw,
+p(w) over the kinds of v before w, and rests on 1 / (V + 1). With order 2, p(w | v) is over c(vw). D1, D2, D3+ follow
+from the counts of counts of each order.
 
-Order 2 is what fits the disk of the check tool: a third order alone would add about 90 million entries per GB.
+Files: words (count), pairs (of order 2: c, its count; of order 3: o, its first gram, and t, is it seen more than once),
+grams (u and n, n over 254 apart), contexts (c and n1, n2, n3+ of those seen more than once; a pair seen but absent there
+is a context seen once), stats by word. A pair is seen as often as a context, so contexts seen once are known from the
+pairs and never sent. The shuffles of a step are let go before the next one.
 
 Defined cases: null or empty text is one end; a corpus without training texts gives uniform scores; words unknown to
 training share the rest 1 / (V + 1); repeated rows count each; a null doc_id is in training; extra columns are
@@ -17,6 +24,7 @@ dropped; an empty table gives no rows. Words are equal if their 64-bit hashes ar
 
 from __future__ import annotations
 
+from contextlib import contextmanager
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -31,6 +39,7 @@ from stripmatch.llm.textnp import U, Chunk, chunks, mix, unmix
 
 END, START = U(0x5A5A5A5A00000001), U(0xA5A5A5A500000002)
 SIZE = 2 << 20
+CONTEXT = {"c": "u4", "n1": "u4", "n2": "u4", "n3": "u4"}
 
 
 def tokens(c: Chunk) -> tuple[np.ndarray, np.ndarray]:
@@ -59,6 +68,8 @@ class Model:
     words: int  # V
     total: int  # N
     texts: int
+    order: int
+    gram_discount: np.ndarray
     pair_discount: np.ndarray
     word_discount: np.ndarray
     types: int
@@ -78,8 +89,8 @@ class Model:
         return known, got["c"].astype(np.int64), self.offsets[r] + got["at"]
 
     def stats(self, number: np.ndarray, known: np.ndarray) -> np.ndarray:
-        """Columns continuation, n1, n2, n3+ of word numbers; zeros where unknown."""
-        out = np.zeros((len(number), 4))
+        """Columns continuation, n1, n2, n3+, total of word numbers; zeros where unknown."""
+        out = np.zeros((len(number), 5))
         r = np.searchsorted(self.offsets, number, "right") - 1
         held = self.stores.setdefault("s", {})
         order = np.argsort(number, kind="stable")
@@ -89,43 +100,125 @@ class Model:
             part = order[s:e]
             k = int(r[part[0]])
             if k not in held:
-                held[k] = store.mapped(f"{self.folder}/stats", f"stats-{k}").view("u4").reshape(-1, 4)
+                held[k] = store.mapped(f"{self.folder}/stats", f"stats-{k}").view("u4").reshape(-1, 5)
             if len(held[k]):
                 out[part] = held[k][number[part] - self.offsets[k]]
         return out
 
+    def pairs(self) -> store.Store:
+        return self.stores.setdefault("p", store.Store(f"{self.folder}/pairs", self.bits, {"c": "u4"} if self.order == 2 else {"o": "u4", "t": "u1"}))
+
+    def grams(self, key: np.ndarray, pair: np.ndarray, u: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(kinds of u, c(uvw)) of known pairs by their keys, places in their ranges and first numbers."""
+        kinds, out = np.zeros(len(key), np.int64), np.zeros(len(key), np.int64)
+        r = (key >> U(64 - self.bits)).astype(np.int64)
+        order = np.argsort(r, kind="stable")
+        cut = np.append(np.flatnonzero(np.diff(r[order], prepend=-1)), len(order))
+        for s, e in zip(cut[:-1], cut[1:]):
+            part = order[s:e]
+            k = int(r[part[0]])
+            held = self.stores.setdefault(("g", k), {c: store.mapped(f"{self.folder}/{f}", f"{c}-{k}").view(t) for f, c, t in (("pairs", "o", "u4"), ("grams", "u", "u4"), ("grams", "n", "u1"), ("grams", "at", "i8"), ("grams", "big", "i8"))})
+            o, us, at, want = held["o"], held["u"], pair[part], u[part]
+            lo = o[at].astype(np.int64)
+            end = np.where(at + 1 < len(o), o[np.minimum(at + 1, len(o) - 1)], len(us)).astype(np.int64)
+            kinds[part], hi = end - lo, end.copy()
+            while (apart := lo < hi).any():
+                mid = (lo + hi) >> 1
+                less = apart & (us[np.minimum(mid, len(us) - 1)] < want)
+                hi = np.where(apart & ~less, mid, hi)
+                lo = np.where(less, mid + 1, lo)
+            at = np.minimum(lo, len(us) - 1)
+            n = np.where((lo < end) & (us[at] == want), held["n"][at], 0).astype(np.int64)
+            big = np.flatnonzero(n == 255)
+            n[big] = held["big"][np.searchsorted(held["at"], at[big])]
+            out[part] = n
+        return kinds, out
+
     def score(self, c: Chunk) -> dict[str, np.ndarray]:
         t, off = tokens(c)
-        u, back = np.unique(np.append(t, START), return_inverse=True)
-        known, count, number = self.numbers(u)
+        h, back = np.unique(np.append(t, START), return_inverse=True)
+        known, count, number = self.numbers(h)
         stat = self.stats(number, known)
-        w = back[:-1]
-        v = np.empty(len(w), np.int64)
-        v[1:] = w[:-1]
-        v[off[:-1]] = back[-1]
-        cont = stat[:, 0]
+        u, v, w = contexts_of(back[:-1], off, back[-1])
+        cont, total = stat[:, 0], np.maximum(stat[:, 4], 1)
         rest = 1 / (self.words + 1)
-        low = (np.maximum(cont - self.word_discount[np.minimum(cont, 3).astype(int)], 0) / self.types + self.spare * rest) if self.types else np.full(len(u), rest)
-        left = np.where(count > 0, (stat[:, 1:] @ self.pair_discount[1:]) / np.maximum(count, 1), 1.0)
+        low = (np.maximum(cont - self.word_discount[np.minimum(cont, 3).astype(int)], 0) / self.types + self.spare * rest) if self.types else np.full(len(h), rest)
+        left = np.where(stat[:, 4] > 0, (stat[:, 1:4] @ self.pair_discount[1:]) / total, 1.0)
         p = left[v] * low[w]
-        both = known[v] & known[w]
+        both = np.flatnonzero(known[v] & known[w])
         key = pair_key(number[v[both]], number[w[both]])
-        pairs = self.stores.setdefault("p", store.Store(f"{self.folder}/pairs", self.bits, {"c": "u4"}))
-        _, got = pairs.find(key)
-        n = got["c"].astype(np.int64)
-        p[both] += np.maximum(n - self.pair_discount[np.minimum(n, 3)], 0) / count[v[both]]
+        there, got = self.pairs().find(key)
+        gram = np.zeros(len(w), np.int64)
+        if self.order == 3:
+            n = np.zeros(len(key), np.int64)
+            n[there], gram[both[there]] = self.grams(key[there], got["at"][there], number[u[both[there]]])
+            gram[~known[u]] = 0
+        else:
+            n = got["c"].astype(np.int64)
+        p[both] += np.maximum(n - self.pair_discount[np.minimum(n, 3)], 0) / total[v[both]]
+        if self.order == 3:
+            seen = np.zeros(len(w) + 1, bool)
+            seen[both[there] + 1] = True  # the pair is the next token's context
+            seen[off[:-1]] = False
+            have = np.zeros((len(w), 4))
+            have[seen[:-1], :2] = 1
+            ask = np.flatnonzero(known[u] & known[v])
+            held = self.stores.setdefault("c", store.Store(f"{self.folder}/contexts", self.bits, CONTEXT))
+            more, stats = held.find(pair_key(number[u[ask]], number[v[ask]]))
+            have[ask[more]] = np.column_stack([stats[x][more] for x in CONTEXT])
+            whole = (np.maximum(gram - self.gram_discount[np.minimum(gram, 3)], 0) + (have[:, 1:] @ self.gram_discount[1:]) * p) / np.maximum(have[:, 0], 1)
+            p = np.where(have[:, 0] > 0, whole, p)
         kc = np.where(known, count, 0)
         base = np.log10((kc + 1) / (self.total + self.words + 1))
         add = lambda x: np.add.reduceat(x, off[:-1]) if c.n else x[:0]
         return {"n_tokens": np.diff(off), "n_known": add((kc[w] > 0).astype(np.int64)), "base_score": add(base[w]), "score": add(np.log10(p))}
 
 
+def contexts_of(w: np.ndarray, off: np.ndarray, start: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(u, v, w) of all tokens: starts stand before each text."""
+    out = [w]
+    for _ in range(2):
+        before = np.empty_like(w)
+        before[1:] = out[0][:-1]
+        before[off[:-1]] = start
+        out.insert(0, before)
+    return tuple(out)
+
+
+def planes(x: np.ndarray, kind: str) -> bytes:
+    """All first bytes, all second bytes and so on: what is mostly zero is compressed well."""
+    x = np.ascontiguousarray(x.astype(kind))
+    return x.view(np.uint8).reshape(len(x), x.itemsize).T.tobytes()
+
+
+def unplanes(data: bytes, kind: str) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(data, np.uint8).reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel()
+
+
+def stepped(keys: np.ndarray) -> bytes:
+    """Sorted keys as differences."""
+    return planes(np.diff(keys, prepend=U(0)), "<u8")
+
+
+def unstepped(data: bytes) -> np.ndarray:
+    return np.cumsum(unplanes(data, "<u8"), dtype=U)
+
+
+def runs(*columns: np.ndarray) -> np.ndarray:
+    """Where the runs of equal rows of sorted columns begin."""
+    if not len(columns[0]):
+        return np.zeros(0, np.int64)
+    return np.flatnonzero(np.append(True, np.any([x[1:] != x[:-1] for x in columns], axis=0)))
+
+
 def pair_key(v: np.ndarray, w: np.ndarray) -> np.ndarray:
     return mix((v.astype(U) << U(32)) | w.astype(U))
 
 
-def fit(texts: DataFrame, folder: str | None = None) -> Model:
+def fit(texts: DataFrame, folder: str | None = None, order: int = 3) -> Model:
     """texts: one column text, the training documents."""
+    if order not in (2, 3):
+        raise ValueError("order is 2 or 3")
     spark = texts.sparkSession
     ship(spark)
     bits = store.range_bits(spark)
@@ -157,102 +250,169 @@ def fit(texts: DataFrame, folder: str | None = None) -> Model:
         return {"words": len(k) - (k == START).sum(), "total": n.sum() - start, "texts": start} | {f"r{r}": len(k)}
 
     sums = ["words", "total", "texts"] + [f"r{r}" for r in range(1 << bits)]
-    got = store.run_ranges(texts.mapInArrow(count_words, store.PACKED_DDL), bits, word_range, sums)
+    with _shuffles_let_go(spark):
+        got = store.run_ranges(texts.mapInArrow(count_words, store.PACKED_DDL), bits, word_range, sums)
     sizes = np.array([got[f"r{r}"] for r in range(1 << bits)], np.int64)
-    model = Model(folder, bits, np.concatenate([[0], np.cumsum(sizes)[:-1]]), got["words"], got["total"], got["texts"], np.zeros(4), np.zeros(4), 0, 1.0)
+    model = Model(folder, bits, np.concatenate([[0], np.cumsum(sizes)[:-1]]), got["words"], got["total"], got["texts"], order, np.zeros(4), np.zeros(4), np.zeros(4), 0, 1.0)
     if sizes.sum() >= 1 << 32:
         raise OverflowError("more than 2^32 words")
 
-    def count_pairs(batches):
-        held = store.Held(pack_pairs, ["key", "n"])
+    def count_grams(batches):
+        held = store.Held(pack_grams, ["key", "u"])
         for batch in batches:
             for c in chunks(batch.column(0), SIZE):
                 t, off = tokens(c)
-                u, back = np.unique(np.append(t, START), return_inverse=True)
-                number = model.numbers(u)[2]
-                w = number[back[:-1]]
-                v = np.empty(len(w), np.int64)
-                v[1:] = w[:-1]
-                v[off[:-1]] = number[back[-1]]
-                k, n = np.unique(pair_key(v, w), return_counts=True)
-                yield from held.add(key=k, n=n)
+                h, back = np.unique(np.append(t, START), return_inverse=True)
+                number = model.numbers(h)[2]
+                u, v, w = contexts_of(number[back[:-1]], off, number[back[-1]])
+                yield from held.add(key=pair_key(v, w), u=(u if order == 3 else np.zeros_like(u)).astype("u4"))
         yield from held.flush()
 
-    def pack_pairs(cols):
-        rows = []
-        for r, n, (k, c) in pack_counts(cols):
-            c = np.frombuffer(c, np.int64)
-            big = c > 255
-            rows.append((r, n, [k, np.minimum(c, 255).astype(np.uint8).tobytes(), np.flatnonzero(big).astype(np.int64).tobytes(), c[big].tobytes()]))
-        return rows
-
-    def opened(parts):
+    def pack_grams(cols):
+        by = np.lexsort((cols["u"], cols["key"]))
+        key, u = cols["key"][by], cols["u"][by]
+        at = runs(key, u)
+        n, key, u = np.diff(np.append(at, len(key))), key[at], u[at]
         out = []
-        for n, (k, c, at, big) in parts:
-            c = np.frombuffer(c, np.uint8).astype(np.int64)
-            c[np.frombuffer(at, np.int64)] = np.frombuffer(big, np.int64)
-            out.append((n, [k, c.tobytes()]))
+        for r, s in store.by_range(key, bits):
+            first = runs(key[s])
+            out.append((r, s.stop - s.start, [stepped(key[s][first]), planes(np.diff(np.append(first, s.stop - s.start)), "<u4"), planes(u[s], "<u4"), planes(n[s], "<u4")]))
         return out
 
-    def pair_ranges(batches):
-        """Write each range's pairs; send on, by the words' ranges, how many kinds of pairs each word ends or begins."""
+    def gram_ranges(batches):
+        """Write each range's pairs and grams; send on, by the words' ranges, what words have of them."""
         held = store.Held(pack_stats, ["word", "kind", "n"])
-        for r, parts in sorted(store.ranges_of(batches).items()):
-            k, n = added(opened(parts))
-            store.write_range(f"{folder}/pairs", r, k, {"c": n.astype("u4")})
-            pair = unmix(k)
+        ranges = store.ranges_of(batches)
+        for r in sorted(ranges):
+            parts = ranges.pop(r)
+            key = np.concatenate([np.repeat(unstepped(k), unplanes(size, "<u4")) for _, (k, size, _, _) in parts])
+            u = np.concatenate([unplanes(x, "<u4") for _, (_, _, x, _) in parts])
+            n = np.concatenate([unplanes(x, "<u4") for _, (_, _, _, x) in parts]).astype(np.int64)
+            del parts
+            by = np.lexsort((u, key))
+            key, u, n = key[by], u[by], n[by]
+            at = runs(key, u)
+            key, u, n = key[at], u[at], np.add.reduceat(n, at)
+            first = runs(key)
+            size = np.diff(np.append(first, len(key)))
+            many = size if order == 3 else n  # order 2: u is 0 throughout
+            if len(key) >= 1 << 32 or n.max() >= 1 << 32:
+                raise OverflowError("a range or count of grams beyond 32 bits")
+            store.write_range(f"{folder}/pairs", r, key[first], {"c": many.astype("u4")} if order == 2 else {"o": first.astype("u4"), "t": (np.add.reduceat(n, first) > 1).astype("u1")})
+            big = np.flatnonzero(n > 254)
+            for name, x in {"u": u, "n": np.minimum(n, 255).astype("u1"), "at": big.astype("i8"), "big": n[big].astype("i8")}.items() if order == 3 else ():
+                store.put(f"{folder}/grams", f"{name}-{r}", x.tobytes())
+            pair = unmix(key[first])
             v, w = (pair >> U(32)).astype(np.int64), (pair & U(0xFFFFFFFF)).astype(np.int64)
-            code, many = np.unique(np.concatenate([w * 4, v * 4 + np.minimum(n, 3)]), return_counts=True)
-            yield from held.add(word=code >> 2, kind=code & 3, n=many)
+            code, kinds = np.unique(np.concatenate([w * 8, v * 8 + np.minimum(many, 3)]), return_counts=True)
+            before, back = np.unique(v, return_inverse=True)
+            yield from held.add(word=np.concatenate([code >> 3, before]), kind=np.concatenate([code & 7, np.full(len(before), 4)]), n=np.concatenate([kinds, np.bincount(back, weights=many).astype(np.int64)]))
         yield from held.flush()
 
+    start = model.numbers(np.array([START]))[2] if model.texts else np.zeros(1, np.int64)
+    starts = pair_key(start, start)[0]  # a context, but no pair of the pairs
+
+    def send_contexts(batches):
+        """By range, what each range's grams say of the contexts seen more than once."""
+        for batch in batches:
+            for r in batch.column(0).to_pylist():
+                key, first, u, n, at, big = (store.mapped(f"{folder}/{f}", f"{c}-{r}").view(t) for f, c, t in (("pairs", "key", "u8"), ("pairs", "o", "u4"), ("grams", "u", "u4"), ("grams", "n", "u1"), ("grams", "at", "i8"), ("grams", "big", "i8")))
+                size = np.diff(first.astype(np.int64), append=len(u))
+                n = n.astype(np.int64)
+                n[at] = big
+                context = pair_key(u.astype(np.int64), np.repeat((unmix(key) >> U(32)).astype(np.int64), size))
+                for s in range(0, len(context), store.HELD):
+                    part = context[s : s + store.HELD]
+                    keep = (model.pairs().find(part)[1]["t"] > 0) | (part == starts)
+                    for i in range(0, len(rows := pack_contexts(part[keep], n[s : s + store.HELD][keep])), 64):
+                        yield store.packed_rows(rows[i : i + 64])
+
+    def context_sums(key, columns):
+        by = np.argsort(key, kind="stable")
+        at = runs(key[by])
+        return key[by][at], [np.add.reduceat(x[by], at) if len(at) else x[by] for x in columns]
+
+    def pack_contexts(key, n):
+        key, (c, *kinds) = context_sums(key, [n, *((n == k).astype(np.int64) for k in (1, 2)), (n > 2).astype(np.int64)])
+        out = []
+        for r, s in store.by_range(key, bits):
+            out.append((r, s.stop - s.start, [stepped(key[s]), *(planes(x[s], "<u4") for x in (c, *kinds))]))
+        return out
+
     def pack_stats(cols):
-        code, back = np.unique(cols["word"] * 4 + cols["kind"], return_inverse=True)
-        n = np.bincount(back, weights=cols["n"]).astype(np.uint32)
-        word, kind = code >> 2, (code & 3).astype(np.uint8)
+        code, back = np.unique(cols["word"] * 8 + cols["kind"], return_inverse=True)
+        n = np.bincount(back, weights=cols["n"]).astype(np.int64)
+        if len(n) and n.max() >= 1 << 32:
+            raise OverflowError("a total of grams beyond 32 bits")
+        word, kind = code >> 3, (code & 7).astype(np.uint8)
         cut = np.append(np.searchsorted(word, model.offsets), len(word))
         out = []
         for r in np.flatnonzero(np.diff(cut)).tolist():
             s = slice(cut[r], cut[r + 1])
-            out.append((r, s.stop - s.start, [np.diff(word[s] - model.offsets[r], prepend=0).astype(np.uint32).tobytes(), kind[s].tobytes(), n[s].tobytes()]))
+            out.append((r, s.stop - s.start, [planes(np.diff(word[s] - model.offsets[r], prepend=0), "<u4"), kind[s].tobytes(), planes(n[s], "<u4")]))
         return out
 
     def stat_range(r, parts):
-        table = np.zeros((int(sizes[r]), 4), np.int64)
+        table = np.zeros((int(sizes[r]), 5), np.int64)
         for _, (word, kind, n) in parts:
-            np.add.at(table, (np.cumsum(np.frombuffer(word, np.uint32).astype(np.int64)), np.frombuffer(kind, np.uint8)), np.frombuffer(n, np.uint32))
+            np.add.at(table, (np.cumsum(unplanes(word, "<u4").astype(np.int64)), np.frombuffer(kind, np.uint8)), unplanes(n, "<u4"))
+        if table.size and table.max() >= 1 << 32:
+            raise OverflowError("a total of grams beyond 32 bits")
         store.put(f"{folder}/stats", f"stats-{r}", table.astype("u4").tobytes())
         cont = table[:, 0]
-        return {"types": cont.sum(), "any": (cont > 0).sum(), "once": table[:, 1].sum(), "twice": table[:, 2].sum()} | {f"t{k}": (cont == k).sum() for k in (1, 2, 3, 4)}
-
-    pairs = store.dealt(texts.mapInArrow(count_pairs, store.PACKED_DDL), bits).mapInArrow(pair_ranges, store.PACKED_DDL)
-    s = store.run_ranges(pairs, bits, stat_range, ["types", "any", "once", "twice", "t1", "t2", "t3", "t4"])
+        return {"types": cont.sum(), "any": (cont > 0).sum()} | {f"t{k}": (cont == k).sum() for k in (1, 2, 3, 4)}
+
+    def context_range(r, parts):
+        columns = [np.concatenate([unplanes(d[i], "<u4").astype(np.int64) for _, d in parts]) for i in (1, 2, 3, 4)]
+        key, columns = context_sums(np.concatenate([unstepped(d[0]) for _, d in parts]), columns)
+        store.write_range(f"{folder}/contexts", r, key, {k: x.astype("u4") for k, x in zip(CONTEXT, columns)})
+        return {"contexts": len(key)}
+
+    with _shuffles_let_go(spark):
+        grams = store.dealt(texts.mapInArrow(count_grams, store.PACKED_DDL), bits).mapInArrow(gram_ranges, store.PACKED_DDL)
+        s = store.run_ranges(grams, bits, stat_range, ["types", "any", "t1", "t2", "t3", "t4"])
+        if order == 3:
+            sent = spark.range(0, 1 << bits, 1, 1 << bits).mapInArrow(send_contexts, store.PACKED_DDL)
+            store.run_ranges(sent, bits, context_range, ["contexts"])
     model.types = s["types"]
     if model.types:
-        n3, n4 = _three_and_four(spark, folder, bits)
-        model.pair_discount = discounts([s["once"], s["twice"], n3, n4])
+        model.pair_discount, model.gram_discount = map(discounts, _seen(spark, folder, order, bits))
         model.word_discount = discounts([s[f"t{k}"] for k in (1, 2, 3, 4)])
         model.spare = float(model.word_discount[1:] @ np.array([s["t1"], s["t2"], s["any"] - s["t1"] - s["t2"]])) / model.types
     return model
 
 
-def _three_and_four(spark, folder: str, bits: int) -> tuple[int, int]:
-    """How many pairs stand three and four times."""
+@contextmanager
+def _shuffles_let_go(spark):
+    """Within it, a job's shuffles leave the disk when the job is done."""
+    name = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(name)
+    spark.conf.set(name, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
+def _seen(spark, folder: str, order: int, bits: int) -> tuple[list[int], list[int]]:
+    """How many pairs and how many grams have counts of one to four."""
 
     def run(batches):
         for batch in batches:
-            c = [store.mapped(f"{folder}/pairs", f"c-{r}").view("u4") for r in batch.column(0).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array([int((x == 3).sum()) for x in c], pa.int64()), pa.array([int((x == 4).sum()) for x in c], pa.int64())], ["a", "b"])
+            for r in batch.column(0).to_pylist():
+                n = store.mapped(f"{folder}/grams", f"n-{r}")
+                pairs = store.mapped(f"{folder}/pairs", f"c-{r}").view("u4") if order == 2 else np.diff(store.mapped(f"{folder}/pairs", f"o-{r}").view("u4").astype(np.int64), append=len(n))
+                yield pa.RecordBatch.from_arrays([pa.array([int((x == k).sum())], pa.int64()) for x in (pairs, n) for k in (1, 2, 3, 4)], [f"n{i}" for i in range(8)])
 
-    row = spark.range(1 << bits).mapInArrow(run, "a long, b long").agg(F.sum("a"), F.sum("b")).first()
-    return int(row[0]), int(row[1])
+    row = spark.range(1 << bits).mapInArrow(run, ", ".join(f"n{i} long" for i in range(8))).agg(*(F.sum(f"n{i}") for i in range(8))).first()
+    return [int(x) for x in row[:4]], [int(x) for x in row[4:]]
 
 
-def score_documents(docs: DataFrame, folds: int = 7, which: int = 2) -> DataFrame:
+def score_documents(docs: DataFrame, folds: int = 7, which: int = 2, order: int = 3) -> DataFrame:
     """One row per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     ship(docs.sparkSession)
     out = held_out(docs["doc_id"], folds, which)
-    model = fit(docs.where(~out).select("text"))
+    model = fit(docs.where(~out).select("text"), order=order)
     narrow = docs.select("doc_id", out.alias("held_out"), "text")
 
     def run(batches):

@@ -297,6 +297,43 @@ def test_language_model_sums_to_one(docs):
     assert all(np.isfinite(r.score) and r.score < 0 for r in out)
 
 
+@pytest.mark.parametrize("order", [2, 3])
+def test_language_model_equals_brute_force(spark, order):
+    from collections import Counter
+
+    rng = random.Random(6)
+    corpus = [" ".join(rng.choice("abcdefgh"[: rng.randint(2, 8)]) for _ in range(rng.randint(0, 30))) for _ in range(200)] + ["z y x"] + ["a b"] * 300
+    m = kneser_ney.fit(spark.createDataFrame([(t,) for t in corpus], "text string"), order=order)
+    top = Counter()
+    for t in corpus:
+        w = ["<s>"] * (order - 1) + t.split() + ["</s>"]
+        top.update(tuple(w[i : i + order]) for i in range(len(w) - order + 1))
+    levels = [top]
+    while len(next(iter(levels[-1]))) > 1:
+        levels.append(Counter(g[1:] for g in levels[-1]))
+    cut = [kneser_ney.discounts([sum(c == k for c in level.values()) for k in (1, 2, 3, 4)]) for level in levels]
+    words = len({g[-1] for g in top})
+
+    def prob(context, w, level=0):
+        if level == order:
+            return 1 / (words + 1)
+        lower, total = prob(context[1:], w, level + 1), {g: c for g, c in levels[level].items() if g[:-1] == context}
+        if not total:
+            return lower
+        c, d = levels[level][(*context, w)], cut[level]
+        return (max(c - d[min(c, 3)], 0) + sum(d[min(x, 3)] for x in total.values()) * lower) / sum(total.values())
+
+    import pyarrow as pa
+
+    from stripmatch.llm.textnp import chunks
+
+    asked = ["", "a b c", "a b", "z y x", "z y y x", "q a b", "a q b c d", "h h h h", "q q"]
+    score = np.concatenate([m.score(c)["score"] for c in chunks(pa.array(asked))])
+    for t, s in zip(asked, score):
+        w = ["<s>"] * (order - 1) + t.split() + ["</s>"]
+        assert abs(s - sum(np.log10(prob(tuple(w[i - order + 1 : i]), w[i])) for i in range(order - 1, len(w)))) < 1e-9
+
+
 def test_everything_on_empty_tables(spark, docs):
     none, labels = docs.limit(0), spark.createDataFrame([], "doc_id long, quality int")
     model = quality_classifier.fit_classifier(none, labels)
