@@ -10,9 +10,9 @@ from stripmatch.operators.components import connected_components
 from stripmatch.operators.ids import assign_ids
 
 
-def classify(pairs: DataFrame) -> DataFrame:
-    """pairs with the degrees of both sides and the topology."""
-    d = pairs.withColumn("objects", F.count(F.lit(1)).over(Window.partitionBy("source_id"))).withColumn("sources", F.count(F.lit(1)).over(Window.partitionBy("object_id")))
+def classify(pairs: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """pairs with the degrees of both sides and the topology. by: columns that tell lists apart (image_id) where pairs has several."""
+    d = pairs.withColumn("objects", F.count(F.lit(1)).over(Window.partitionBy(*by, "source_id"))).withColumn("sources", F.count(F.lit(1)).over(Window.partitionBy(*by, "object_id")))
     kind = F.when((F.col("objects") == 1) & (F.col("sources") == 1), "one-to-one").when(F.col("objects") == 1, "one-to-many").when(F.col("sources") == 1, "many-to-one").otherwise("many-to-many")
     return d.withColumn("topology", kind)
 
@@ -23,29 +23,29 @@ def nearest(pairs: DataFrame, k: int = 1) -> DataFrame:
     return pairs.withColumn("_n", F.row_number().over(w)).where(F.col("_n") <= k).drop("_n")
 
 
-def mutual_nearest(pairs: DataFrame) -> DataFrame:
+def mutual_nearest(pairs: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """Pairs that are nearest from both sides."""
-    other = Window.partitionBy("object_id").orderBy("sep_arcsec", "source_id")
-    own = Window.partitionBy("source_id").orderBy("sep_arcsec", "object_id")
+    other = Window.partitionBy(*by, "object_id").orderBy("sep_arcsec", "source_id")
+    own = Window.partitionBy(*by, "source_id").orderBy("sep_arcsec", "object_id")
     return pairs.withColumn("_a", F.row_number().over(own)).withColumn("_b", F.row_number().over(other)).where("_a = 1 AND _b = 1").drop("_a", "_b")
 
 
-def resolve(pairs: DataFrame, policy: str = "nearest") -> DataFrame:
+def resolve(pairs: DataFrame, policy: str = "nearest", by: tuple[str, ...] = ()) -> DataFrame:
     """What is appended to light curves, with the final topology.
 
     nearest: in many-to-many groups each source keeps its nearest object, then all is classified again. mutual_nearest:
     only mutually nearest pairs. all: nothing is reduced.
     """
     if policy == "all":
-        return classify(pairs)
+        return classify(pairs, by)
     if policy == "mutual_nearest":
-        return classify(mutual_nearest(pairs).select("object_id", "source_id", "sep_arcsec"))
+        return classify(mutual_nearest(pairs, by).select(*by, "object_id", "source_id", "sep_arcsec"), by)
     if policy != "nearest":
         raise ValueError(policy)
-    c = classify(pairs)
-    w = Window.partitionBy("source_id").orderBy("sep_arcsec", "object_id")
+    c = classify(pairs, by)
+    w = Window.partitionBy(*by, "source_id").orderBy("sep_arcsec", "object_id")
     kept = c.withColumn("_n", F.row_number().over(w)).where("topology <> 'many-to-many' OR _n = 1")
-    return classify(kept.select("object_id", "source_id", "sep_arcsec"))
+    return classify(kept.select(*by, "object_id", "source_id", "sep_arcsec"), by)
 
 
 def fork(resolved: DataFrame, start: int) -> DataFrame:
@@ -72,15 +72,24 @@ def unmatched_sources(sources: DataFrame, pairs: DataFrame) -> DataFrame:
     return sources.join(pairs, "source_id", "left_anti")
 
 
-def missed_objects(objects: DataFrame, pairs: DataFrame, sources: DataFrame, width: float = 1.0, cell: float = 1.0) -> DataFrame:
+def missed_objects(objects: DataFrame, pairs: DataFrame, sources: DataFrame, width: float = 1.0, cell: float = 1.0, by: tuple[str, ...] = ()) -> DataFrame:
     """Objects in the image's footprint (the zone cells that hold its sources) that were not seen."""
     at = lambda df: df.withColumn("zone", F.floor(F.col("dec_deg") / width)).withColumn("cell", F.floor(F.pmod(F.col("ra_deg"), F.lit(360.0)) / cell))
-    footprint = at(sources).select("zone", "cell").distinct()
-    return at(objects).join(footprint, ["zone", "cell"], "left_semi").drop("zone", "cell").join(pairs, "object_id", "left_anti")
+    footprint = at(sources).select(*by, "zone", "cell").distinct()
+    return at(objects).join(footprint, ["zone", "cell"], "inner" if by else "left_semi").drop("zone", "cell").join(pairs, [*by, "object_id"], "left_anti")
+
 
+def topology_groups(pairs: DataFrame, by: str | None = None) -> DataFrame:
+    """pairs with the connected group that they belong to (objects and sources are nodes of one graph).
 
-def topology_groups(pairs: DataFrame) -> DataFrame:
-    """pairs with the connected group that they belong to (objects and sources are nodes of one graph)."""
+    by: the column that tells lists apart; an object is then a node of each list's graph, and a group is named by list and smallest object.
+    """
+    if by:
+        ends = pairs.groupBy(by, "object_id").agg(F.min("source_id").alias("own"))  # source ids are unique over lists
+        edges = pairs.join(ends, [by, "object_id"]).select(F.col("own").alias("a"), F.col("source_id").alias("b"))
+        labels = connected_components(edges).withColumnRenamed("node", "source_id")
+        named = pairs.join(labels, "source_id", "left").withColumn("component", F.coalesce("component", "source_id"))
+        return named.withColumn("group_id", F.min("object_id").over(Window.partitionBy(by, "component"))).select(*pairs.columns, "group_id")
     nodes = pairs.select((F.col("object_id") * 2).alias("a"), (F.col("source_id") * 2 + 1).alias("b"))
     labels = connected_components(nodes)
     return pairs.join(labels.withColumn("object_id", F.expr("node div 2")).where("node % 2 = 0").select("object_id", F.col("component").alias("group_id")), "object_id")

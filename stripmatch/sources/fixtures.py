@@ -56,6 +56,12 @@ def detections(spark: SparkSession, sf_dir: str, image: int | None = None) -> Da
         F.col("l_discount").alias("ellipticity"), F.col("l_quantity").alias("area"), F.col("l_linestatus").alias("band"), F.col("l_returnflag").alias("quality"), F.col("l_partkey").alias("true_object"), (F.lit(0.5) + F.col("l_quantity") / F.lit(50.0)).alias("r_arcsec")))
 
 
+def known_objects(spark: SparkSession, sf_dir: str, last: int) -> DataFrame:
+    """The static catalogue of those objects that images up to last have seen: what is first seen later is missing from it."""
+    seen = read_table(spark, sf_dir, "lineitem").where(image_of(F.col("l_shipdate")) <= last).select(F.col("l_partkey").alias("object_id")).distinct()
+    return objects(spark, sf_dir).join(seen, "object_id", "left_semi")
+
+
 def exposures(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One header row per image, with attributes of the month's orders."""
     li = read_table(spark, sf_dir, "lineitem").select(image_of(F.col("l_shipdate")).alias("image_id"), (F.lit(49718.0) + F.datediff(F.col("l_shipdate"), F.lit("1995-01-01").cast("date"))).alias("mjd"))

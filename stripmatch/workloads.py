@@ -169,7 +169,10 @@ SELECT degrees(2 * asin(sqrt({_CHORD}) / 2)) * 3600e0 AS chord, degrees(acos(lea
 FROM o JOIN d ON o.dec_deg BETWEEN d.dec_deg - 0.001 AND d.dec_deg + 0.001 AND {_CHORD} < 4 * power(sin(radians(1e0 / 3600e0) / 2), 2))""")
 def distance_forms(spark, sf):
     """Does the dot product err by more than a thousandth of an arcsecond at small angles?"""
-    s, o = _list(spark, sf), fixtures.objects(spark, sf)
+    return _distance_forms(_list(spark, sf), fixtures.objects(spark, sf))
+
+
+def _distance_forms(s, o):
     p = match.attach_columns(match.match_zones(s, o, 1.0, 1 / 60), s.withColumnsRenamed({"x": "sx", "y": "sy", "z": "sz"}), o, ["sx", "sy", "sz"], ["x", "y", "z"])
     chord, dot = sky.sep_arcsec(sky.chord2("x", "y", "z", "sx", "sy", "sz")), sky.sep_dot("x", "y", "z", "sx", "sy", "sz")
     return p.agg(F.count(F.lit(1)).alias("n"), (F.sum(F.when(F.abs(chord - dot) > 1e-3, 1).otherwise(0)) > 0).alias("dot_is_worse"))
@@ -318,6 +321,105 @@ def bench_tree(spark, sf):
     return experiments.tree_growth(fixtures.objects(spark, sf))
 
 
+# the same over all images: image_id is part of every key, and the catalogue with holes lacks what is first seen after image KNOWN
+
+KNOWN = 2
+_BY = ("image_id",)
+_ALL = _with(image=None)
+_SEEN = _with(_objects_sql(where=f"k IN (SELECT l_partkey FROM lineitem WHERE (year(l_shipdate) - 1995) * 12 + month(l_shipdate) - 1 <= {KNOWN})"), None)
+_ALL_PAIRS = f"SELECT image_id, object_id, source_id, sep_arcsec FROM ({_pairs_sql()}) JOIN (SELECT image_id, source_id FROM d) USING (source_id)"
+_ALL_CLASS = """SELECT *, CASE WHEN objects = 1 AND sources = 1 THEN 'one-to-one' WHEN objects = 1 THEN 'one-to-many' WHEN sources = 1 THEN 'many-to-one' ELSE 'many-to-many' END AS topology
+  FROM (SELECT image_id, object_id, source_id, sep_arcsec, count(*) OVER (PARTITION BY image_id, source_id) AS objects, count(*) OVER (PARTITION BY image_id, object_id) AS sources FROM {})"""
+_ALL_RESOLVED = f"""p AS ({_ALL_PAIRS}), c AS ({_ALL_CLASS.format('p')}),
+  k AS (SELECT image_id, object_id, source_id, sep_arcsec FROM (SELECT *, row_number() OVER (PARTITION BY image_id, source_id ORDER BY sep_arcsec, object_id) AS nth FROM c) WHERE topology <> 'many-to-many' OR nth = 1), res AS ({_ALL_CLASS.format('k')})"""
+
+
+def _all_pairs(spark, sf, objects=None):
+    s = fixtures.detections(spark, sf)
+    found = match.match_zones(s, fixtures.objects(spark, sf) if objects is None else objects, 1.0, 1 / 60, 1.0)
+    return s, found.join(s.select("source_id", "image_id"), "source_id").select("image_id", "object_id", "source_id", "sep_arcsec")
+
+
+@workload(_registered["ingest_source_list"][1].replace(f"WHERE image_id = {IMAGE}", ""))
+def ingest_all_lists(spark, sf):
+    d = written(fixtures.detections(spark, sf), "detections")
+    return d.select("image_id", "source_id", *[F.round(c, 9).alias(c) for c in ("ra_deg", "dec_deg", "x", "y", "z")], "strip", "mjd", "flux", "band")
+
+
+@workload(f"{_ALL} {_pairs_sql('d.r_arcsec')}")
+def match_variable_radius_all_images(spark, sf):
+    return match.match_zones(fixtures.detections(spark, sf), fixtures.objects(spark, sf), "r_arcsec", 1 / 60, 1.0)
+
+
+@workload(f"""{_ALL}, p AS ({_pairs_sql()}), t AS (SELECT d.true_object AS object_id, d.source_id FROM d)
+SELECT (SELECT count(*) FROM p) AS n_pairs, (SELECT count(*) FROM t) AS n_true, count(*) AS n_hit, count(*) / CAST((SELECT count(*) FROM t) AS DOUBLE) AS recall, count(*) / CAST((SELECT count(*) FROM p) AS DOUBLE) AS purity FROM p JOIN t USING (object_id, source_id)""")
+def match_accuracy_all_images(spark, sf):
+    s = fixtures.detections(spark, sf)
+    return match.match_accuracy(match.match_zones(s, fixtures.objects(spark, sf), 1.0, 1 / 60, 1.0), s.select(F.col("true_object").alias("object_id"), "source_id"))
+
+
+@workload(f"{_ALL}, p AS ({_ALL_PAIRS}) SELECT topology, count(*) AS n FROM ({_ALL_CLASS.format('p')}) GROUP BY topology")
+def topology_counts_all_images(spark, sf):
+    return associate.classify(_all_pairs(spark, sf)[1], _BY).groupBy("topology").agg(F.count(F.lit(1)).alias("n"))
+
+
+@workload(f"{_ALL}, p AS ({_ALL_PAIRS}) {_ALL_CLASS.format('p')}")
+def topology_pairs_all_images(spark, sf):
+    return associate.classify(_all_pairs(spark, sf)[1], _BY)
+
+
+@workload()
+def topology_groups_all_images(spark, sf):
+    """Connected groups of candidate pairs within each image (iterative: rows only)."""
+    return associate.topology_groups(written(_all_pairs(spark, sf)[1], "pairs"), "image_id")
+
+
+@workload(f"{_ALL}, {_ALL_RESOLVED} SELECT * FROM res")
+def resolve_nearest_all_images(spark, sf):
+    return associate.resolve(_all_pairs(spark, sf)[1], "nearest", _BY)
+
+
+@workload(f"""{_ALL}, p AS ({_ALL_PAIRS}) SELECT image_id, object_id, source_id, sep_arcsec FROM (SELECT *, row_number() OVER (PARTITION BY image_id, source_id ORDER BY sep_arcsec, object_id) AS a,
+row_number() OVER (PARTITION BY image_id, object_id ORDER BY sep_arcsec, source_id) AS b FROM p) WHERE a = 1 AND b = 1""")
+def resolve_mutual_nearest_all_images(spark, sf):
+    return associate.mutual_nearest(_all_pairs(spark, sf)[1], _BY)
+
+
+@workload(f"{_ALL}, p AS ({_ALL_PAIRS}) SELECT * FROM p")
+def resolve_all_all_images(spark, sf):
+    return associate.resolve(_all_pairs(spark, sf)[1], "all", _BY).select("image_id", "object_id", "source_id", "sep_arcsec")
+
+
+@workload(f"{_SEEN}, p AS ({_ALL_PAIRS}) SELECT image_id, source_id FROM d WHERE source_id NOT IN (SELECT source_id FROM p)")
+def unmatched_sources_all_images(spark, sf):
+    s, p = _all_pairs(spark, sf, fixtures.known_objects(spark, sf, KNOWN))
+    return associate.unmatched_sources(s, p.drop("image_id")).select("image_id", "source_id")
+
+
+@workload(f"""{_SEEN}, p AS ({_ALL_PAIRS}), f AS (SELECT DISTINCT image_id, floor(dec_deg) AS zone, floor(ra_deg) AS cell FROM d)
+SELECT f.image_id, o.object_id FROM o JOIN f ON f.zone = floor(o.dec_deg) AND f.cell = floor(o.ra_deg) WHERE NOT EXISTS (SELECT 1 FROM p WHERE p.image_id = f.image_id AND p.object_id = o.object_id)""")
+def missed_objects_all_images(spark, sf):
+    o = fixtures.known_objects(spark, sf, KNOWN)
+    s, p = _all_pairs(spark, sf, o)
+    return associate.missed_objects(o, p, s, by=_BY).select("image_id", "object_id")
+
+
+@workload(_registered["distance_forms"][1].replace(f"WHERE image_id = {IMAGE}", ""))
+def distance_forms_all_images(spark, sf):
+    return _distance_forms(fixtures.detections(spark, sf), fixtures.objects(spark, sf))
+
+
+@workload(_registered["bench_layouts"][1].replace(f"WHERE image_id = {IMAGE}", ""))
+def bench_layouts_all_images(spark, sf):
+    return experiments.layouts(fixtures.detections(spark, sf), fixtures.objects(spark, sf))
+
+
+@workload(f"{_ALL}, {_ALL_RESOLVED} SELECT object_id, source_id, d.image_id, mjd, flux, flux_err, sep_arcsec, topology FROM res JOIN d USING (source_id)")
+def lightcurve_points_all_images(spark, sf):
+    s, p = _all_pairs(spark, sf)
+    return lightcurve.points(associate.resolve(p, "nearest", _BY).drop("image_id"), s)
+
+
 # light curves: resolved pairs of the static catalogue
 
 

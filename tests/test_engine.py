@@ -30,6 +30,32 @@ def test_against_sql(spark, duck, name):
     assert str(key(got)) == str(key(want.astype({c: got[c].dtype for c in cols})))
 
 
+ALL_IMAGES = ["ingest_all_lists", "match_accuracy_all_images", "match_variable_radius_all_images", "topology_counts_all_images", "topology_pairs_all_images", "resolve_nearest_all_images", "resolve_mutual_nearest_all_images", "resolve_all_all_images",
+              "unmatched_sources_all_images", "missed_objects_all_images", "distance_forms_all_images", "lightcurve_points_all_images"]
+
+
+@pytest.mark.parametrize("name", ALL_IMAGES)
+def test_all_images_against_sql(spark, duck, name):
+    test_against_sql(spark, duck, name)
+
+
+def test_all_images_are_there(spark):
+    groups = workloads.queries()["topology_groups_all_images"](spark, SF).toPandas()
+    pairs = workloads.queries()["topology_pairs_all_images"](spark, SF).toPandas()
+    assert pairs.image_id.nunique() == fixtures.detections(spark, SF).select("image_id").distinct().count() > 80 and len(groups) == len(pairs)
+    root = {}
+
+    def find(x):
+        while root.setdefault(x, x) != x:
+            x = root[x]
+        return x
+
+    for x in pairs.itertuples():
+        a, b = find((x.image_id, "o", x.object_id)), find((x.image_id, "s", x.source_id))
+        root[max(a, b)] = min(a, b)
+    assert all(find((x.image_id, "s", x.source_id)) == (x.image_id, "o", x.group_id) for x in groups.itertuples())
+
+
 def test_build_up_invariants(spark, tmp_path):
     d = fixtures.detections(spark, SF)
     cat, curve = pipeline.build_up(spark, d, [0, 1, 2], root=f"file://{tmp_path}/cat")
