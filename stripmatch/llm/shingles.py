@@ -303,12 +303,14 @@ def walked(pairs: DataFrame, sets: DataFrame, percent: int, bits: int, beginning
     leaves = asked.join(sets, asked["b"] == sets["id"]).select("a", "block", "b", "n", "s")
 
     def walk(batches):
-        group, probe, ids, held = None, None, [], []
+        group, asking, ids, held = None, [], [], []
 
         def done():
-            hits = []
-            if held and probe is not None and len(probe[1]):
-                hits = tree_matches(probe[1], [s for _, s in held], percent, (probe[0], [n for n, _ in held]) if beginnings else None)
+            hits = set()  # of any of the sets of a
+            for n, probe in asking if held else ():
+                if len(probe):
+                    hits.update(tree_matches(probe, [s for _, s in held], percent, (n, [n for n, _ in held]) if beginnings else None))
+            hits = sorted(hits)
             return pa.RecordBatch.from_arrays([pa.array([group[0]] * len(hits), pa.int64()), pa.array([ids[i] for i in hits], pa.int64())], ["a", "b"])
 
         for batch in batches:
@@ -316,9 +318,9 @@ def walked(pairs: DataFrame, sets: DataFrame, percent: int, bits: int, beginning
                 if (a, block) != group:
                     if group is not None:
                         yield done()
-                    group, probe, ids, held = (a, block), None, [], []
+                    group, asking, ids, held = (a, block), [], [], []
                 if b is None:
-                    probe = n, np.frombuffer(s, U)
+                    asking.append((n, np.frombuffer(s, U)))
                 else:
                     ids.append(b), held.append((n, np.frombuffer(s, U)))
         if group is not None:

@@ -200,6 +200,15 @@ def test_jaccard_many_near_copies(spark):
     assert all(got[i].component_id == find(i) for i in kept)
 
 
+def test_jaccard_two_texts_under_one_id(spark):
+    make = lambda tag: [f"{tag}{i}" for i in range(60)]
+    near = lambda tag: " ".join(make(tag)[:-1] + ["changed"])
+    for first, second in (("x", "y"), ("y", "x")):
+        rows = [(1, " ".join(make(first))), (1, " ".join(make(second))), (2, near("x")), (3, near("y")), (4, " ".join(make("z")))]
+        got = shingles.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)).collect()
+        assert {(r.doc_id, r.component_id) for r in got} == {(1, 1), (2, 1), (3, 1), (4, 4)}
+
+
 def test_prefix_tree():
     rng = np.random.default_rng(3)
     sets = [np.unique(rng.integers(0, 60, rng.integers(1, 50)).astype(np.uint64)) for _ in range(80)]
