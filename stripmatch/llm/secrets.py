@@ -31,7 +31,8 @@ ASSIGN = re.compile(rb"(password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\x2
 ACCESS = re.compile(rb"AKIA[A-Z0-9]+")
 _HINTS = (b"passw", b"secret", b"token", b"api")
 _HEX = np.isin(np.arange(256), list(b"0123456789abcdef"))
-_PRIVATE = re.compile(rb"-----BEGIN [A-Z ]*PRIVATE KEY-----.{0,10000}?-----END [A-Z ]*PRIVATE KEY-----", re.S)
+_BEGIN = re.compile(rb"-----BEGIN [A-Z ]*PRIVATE KEY-----")
+_END = re.compile(rb"-----END [A-Z ]*PRIVATE KEY-----")
 _WEB = re.compile(rb"eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}")
 _BEARER = re.compile(rb"bearer\x20+([A-Za-z0-9._~+/=-]{16,})", re.I)
 _MIXED = re.compile(rb"[A-Za-z0-9+/_-]{20,}={0,2}")
@@ -52,11 +53,23 @@ def entropy(value: bytes) -> float:
     return -sum(n / len(value) * log2(n / len(value)) for n in Counter(value).values()) if value else 0.0
 
 
+def private_spans(raw: bytes) -> list[Span]:
+    """From each BEGIN line to the nearest END line after it, of any length, in one walk over the text."""
+    found, at = [], 0
+    while begin := _BEGIN.search(raw, at):
+        end = _END.search(raw, begin.end())
+        if not end:
+            break
+        at = end.end()
+        found.append((begin.start(), 3, at, raw[begin.start() : at]))
+    return found
+
+
 def further_spans(raw: bytes, words: list[tuple[int, int]], base: list[Span]) -> list[Span]:
     """words: the long words, where mixed tokens can be."""
     found: list[Span] = []
     if b"PRIVATE KEY-----" in raw:
-        found += [(m.start(), 3, m.end(), m[0]) for m in _PRIVATE.finditer(raw)]
+        found += private_spans(raw)
     if b"eyJ" in raw:
         found += [(m.start(), 4, m.end(), m[0]) for m in _WEB.finditer(raw)]
     if b"earer" in raw or b"EARER" in raw:
