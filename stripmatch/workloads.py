@@ -294,6 +294,13 @@ def catalog_buildup_baseline_3(spark, sf):
     return pipeline.build_up(spark, fixtures.detections(spark, sf), [0, 1, 2], mode="baseline")[0].all()
 
 
+@workload()
+def catalog_buildup_full(spark, sf):
+    """A cold start over every image of the table: the catalogue that is left (invariants are tested)."""
+    d = written(fixtures.detections(spark, sf), "detections")
+    return pipeline.build_up(spark, d, sorted(r[0] for r in d.select("image_id").distinct().collect()))[0].all()
+
+
 @workload(f"SELECT image_id, count(DISTINCT strip) AS strips FROM (SELECT image_id, unnest(generate_series(CAST(floor(dec_deg - 1e0/3600 - 1e-9) AS BIGINT), CAST(floor(least(dec_deg + 1e0/3600 + 1e-9, 90)) AS BIGINT))) AS strip FROM ({_DETECTIONS})) GROUP BY image_id")
 def image_footprints(spark, sf):
     return pipeline.footprints(fixtures.detections(spark, sf)).groupBy("image_id").agg(F.count(F.lit(1)).alias("strips"))

@@ -75,6 +75,13 @@ def test_build_up_invariants(spark, tmp_path):
     assert base.all().count() == len(o)
 
 
+def test_full_build_up_takes_every_image(spark, monkeypatch):
+    taken = []
+    monkeypatch.setattr(pipeline, "build_up", lambda spark, d, images, **_: (taken.extend(images), (catalog.Catalog(spark, f"{workloads.shared_dir(spark)}/stripmatch/none-{workloads.uuid.uuid4().hex}"), None))[1])
+    workloads.queries()["catalog_buildup_full"](spark, SF)
+    assert taken == sorted(x.image_id for x in fixtures.detections(spark, SF).select("image_id").distinct().collect()) and len(taken) > 80
+
+
 def test_resolution_policies(spark):
     p = spark.createDataFrame([(1, 10, 0.1), (1, 11, 0.2), (2, 10, 0.3), (2, 11, 0.1), (3, 12, 0.1), (4, 13, 0.1), (4, 14, 0.2), (5, 15, 0.1), (6, 15, 0.2)], "object_id long, source_id long, sep_arcsec double")
     kinds = {(x.object_id, x.source_id): x.topology for x in associate.classify(p).collect()}
