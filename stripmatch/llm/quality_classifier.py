@@ -129,7 +129,7 @@ def held_out(doc_id: Column, folds: int, which: int) -> Column:
     return F.coalesce(F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(folds)) == which, F.lit(False))
 
 
-def fit_classifier(docs: DataFrame, labels: DataFrame, folds: int = 5, which: int = 0, bound: int = 4_000, target: str = "quality") -> Model:
+def fit_classifier(docs: DataFrame, labels: DataFrame, folds: int = 5, which: int = 0, bound: int = 12_000, target: str = "quality") -> Model:
     """Learn from labelled rows outside the held-out fold."""
     ship(docs.sparkSession)
     chosen = sampled_labels(labels.where(~held_out(F.col("doc_id"), folds, which)), target, bound)
@@ -145,7 +145,7 @@ def fit_classifier(docs: DataFrame, labels: DataFrame, folds: int = 5, which: in
 
     rows = joined.mapInArrow(run, "doc_id string, label int, packed binary").toArrow()
     ids, y = rows.column("doc_id").to_pylist(), rows.column("label").to_numpy()
-    sets = [np.frombuffer(p, np.int32) for p in rows.column("packed").to_pylist()]
+    sets = [np.frombuffer(p.as_buffer(), np.int32) for p in rows.column("packed")]  # views of the table, no second copy
     order = sorted(range(len(ids)), key=lambda i: (ids[i] or "", int(y[i]), len(sets[i])))  # the same model on every run
     return fit([sets[i] for i in order], y[order])
 
