@@ -13,9 +13,10 @@ p(w) over the kinds of v before w, and rests on 1 / (V + 1). With order 2, p(w |
 from the counts of counts of each order.
 
 Files: words (count), pairs (of order 2: c, its count; of order 3: o, its first gram, and t, is it seen more than once),
-grams (u and n, n over 254 apart), contexts (c and n1, n2, n3+ of those seen more than once; a pair seen but absent there
-is a context seen once), stats by word. A pair is seen as often as a context, so contexts seen once are known from the
-pairs and never sent. The shuffles of a step are let go before the next one.
+grams (u and n), contexts (c and n1, n2, n3+ of those seen more than once; a pair seen but absent there is a context seen
+once), stats by word. Counts have 64 bits; the files hold a byte of each and the few large ones apart. A pair is seen as
+often as a context, so contexts seen once are known from the pairs and never sent. The shuffles of a step are let go
+before the next one. Distinct words, not their uses, are numbered with 32 bits: beyond 2^32 of them the fit stops.
 
 Defined cases: null or empty text is one end; a corpus without training texts gives uniform scores; words unknown to
 training share the rest 1 / (V + 1); repeated rows count each; a null doc_id is in training; extra columns are
@@ -39,7 +40,8 @@ from stripmatch.llm.textnp import U, Chunk, chunks, mix, unmix
 
 END, START = U(0x5A5A5A5A00000001), U(0xA5A5A5A500000002)
 SIZE = 2 << 20
-CONTEXT = {"c": "u4", "n1": "u4", "n2": "u4", "n3": "u4"}
+CONTEXT = dict.fromkeys(("c", "n1", "n2", "n3"), store.SMALL)
+STATS = ("cont", "n1", "n2", "n3", "total")
 
 
 def tokens(c: Chunk) -> tuple[np.ndarray, np.ndarray]:
@@ -80,7 +82,7 @@ class Model:
         return self.__dict__ | {"stores": {}}
 
     def vocabulary(self) -> store.Store:
-        return self.stores.setdefault("w", store.Store(f"{self.folder}/words", self.bits, {"c": "u4"}))
+        return self.stores.setdefault("w", store.Store(f"{self.folder}/words", self.bits, {"c": store.SMALL}))
 
     def numbers(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(known, count, number) of word hashes."""
@@ -92,21 +94,20 @@ class Model:
         """Columns continuation, n1, n2, n3+, total of word numbers; zeros where unknown."""
         out = np.zeros((len(number), 5))
         r = np.searchsorted(self.offsets, number, "right") - 1
-        held = self.stores.setdefault("s", {})
+        held = self.stores.setdefault("s", store.Files(f"{self.folder}/stats"))
         order = np.argsort(number, kind="stable")
         order = order[known[order]]
         cut = np.append(np.flatnonzero(np.diff(r[order], prepend=-1)), len(order))
         for s, e in zip(cut[:-1], cut[1:]):
             part = order[s:e]
             k = int(r[part[0]])
-            if k not in held:
-                held[k] = store.mapped(f"{self.folder}/stats", f"stats-{k}").view("u4").reshape(-1, 5)
-            if len(held[k]):
-                out[part] = held[k][number[part] - self.offsets[k]]
+            if k in held:
+                for i, name in enumerate(STATS):
+                    out[part, i] = store.Small(held.array(k, name, "u1"))[number[part] - self.offsets[k]]
         return out
 
     def pairs(self) -> store.Store:
-        return self.stores.setdefault("p", store.Store(f"{self.folder}/pairs", self.bits, {"c": "u4"} if self.order == 2 else {"o": "u4", "t": "u1"}))
+        return self.stores.setdefault("p", store.Store(f"{self.folder}/pairs", self.bits, {"c": store.SMALL} if self.order == 2 else {"o": "u4", "t": "u1"}))
 
     def grams(self, key: np.ndarray, pair: np.ndarray, u: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(kinds of u, c(uvw)) of known pairs by their keys, places in their ranges and first numbers."""
@@ -114,11 +115,12 @@ class Model:
         r = (key >> U(64 - self.bits)).astype(np.int64)
         order = np.argsort(r, kind="stable")
         cut = np.append(np.flatnonzero(np.diff(r[order], prepend=-1)), len(order))
+        grams = self.stores.setdefault("g", store.Files(f"{self.folder}/grams"))
         for s, e in zip(cut[:-1], cut[1:]):
             part = order[s:e]
             k = int(r[part[0]])
-            held = self.stores.setdefault(("g", k), {c: store.mapped(f"{self.folder}/{f}", f"{c}-{k}").view(t) for f, c, t in (("pairs", "o", "u4"), ("grams", "u", "u4"), ("grams", "n", "u1"), ("grams", "at", "i8"), ("grams", "big", "i8"))})
-            o, us, at, want = held["o"], held["u"], pair[part], u[part]
+            o, us = self.pairs().array(k, "o", "u4"), grams.array(k, "u", "u4")
+            at, want = pair[part], u[part]
             lo = o[at].astype(np.int64)
             end = np.where(at + 1 < len(o), o[np.minimum(at + 1, len(o) - 1)], len(us)).astype(np.int64)
             kinds[part], hi = end - lo, end.copy()
@@ -128,10 +130,8 @@ class Model:
                 hi = np.where(apart & ~less, mid, hi)
                 lo = np.where(less, mid + 1, lo)
             at = np.minimum(lo, len(us) - 1)
-            n = np.where((lo < end) & (us[at] == want), held["n"][at], 0).astype(np.int64)
-            big = np.flatnonzero(n == 255)
-            n[big] = held["big"][np.searchsorted(held["at"], at[big])]
-            out[part] = n
+            n = store.Small(grams.array(k, "n", "u1"))[at]
+            out[part] = np.where((lo < end) & (us[at] == want), n, 0)
         return kinds, out
 
     def score(self, c: Chunk) -> dict[str, np.ndarray]:
@@ -211,6 +211,33 @@ def runs(*columns: np.ndarray) -> np.ndarray:
     return np.flatnonzero(np.append(True, np.any([x[1:] != x[:-1] for x in columns], axis=0)))
 
 
+def joined(parts: list[np.ndarray], kind) -> np.ndarray:
+    return np.concatenate(parts) if parts else np.zeros(0, kind)
+
+
+def grouped(key: np.ndarray, u: np.ndarray, n: np.ndarray | None = None) -> tuple[np.ndarray, ...]:
+    """Entries (key, u), each counting n or 1, summed: (sorted distinct keys, where each one's entries begin, u, n).
+
+    Sorts of single words of 64 bits are several times as fast as one over two columns.
+    """
+    by = np.argsort(key)
+    key = key[by]
+    first = runs(key)
+    both = (np.repeat(np.arange(len(first), dtype=U), np.diff(np.append(first, len(key)))) << U(32)) | u[by].astype(U)
+    key = key[first]
+    if n is None:
+        both.sort()
+        at = runs(both)
+        n = np.diff(np.append(at, len(both)))
+    else:
+        again = np.argsort(both)
+        both = both[again]
+        at = runs(both)
+        n = np.add.reduceat(n[by[again]], at) if len(at) else n
+    both = both[at]
+    return key, runs(both >> U(32)), (both & U(0xFFFFFFFF)).astype(np.uint32), n
+
+
 def pair_key(v: np.ndarray, w: np.ndarray) -> np.ndarray:
     return mix((v.astype(U) << U(32)) | w.astype(U))
 
@@ -243,19 +270,18 @@ def fit(texts: DataFrame, folder: str | None = None, order: int = 3) -> Model:
 
     def word_range(r, parts):
         k, n = added(parts)
-        if len(n) and n.max() >= 1 << 32:
-            raise OverflowError("a word count beyond 32 bits")
-        store.write_range(f"{folder}/words", r, k, {"c": n.astype("u4")})
+        store.write_range(f"{folder}/words", r, k, {"c": store.Small.packed(n)})
         start = n[k == START].sum()
-        return {"words": len(k) - (k == START).sum(), "total": n.sum() - start, "texts": start} | {f"r{r}": len(k)}
+        return {"words": len(k) - (k == START).sum(), "total": n.sum() - start, "texts": start, "size": len(k)}
 
-    sums = ["words", "total", "texts"] + [f"r{r}" for r in range(1 << bits)]
     with _shuffles_let_go(spark):
-        got = store.run_ranges(texts.mapInArrow(count_words, store.PACKED_DDL), bits, word_range, sums)
-    sizes = np.array([got[f"r{r}"] for r in range(1 << bits)], np.int64)
-    model = Model(folder, bits, np.concatenate([[0], np.cumsum(sizes)[:-1]]), got["words"], got["total"], got["texts"], order, np.zeros(4), np.zeros(4), np.zeros(4), 0, 1.0)
+        rows = store.run_ranges(texts.mapInArrow(count_words, store.PACKED_DDL), bits, word_range, ["words", "total", "texts", "size"], [f"{folder}/words"])
+    sizes = np.zeros(1 << bits, np.int64)
+    sizes[[row["r"] for row in rows]] = [row["size"] for row in rows]
+    words, total, n_texts = (store.total(rows, name) for name in ("words", "total", "texts"))
+    model = Model(folder, bits, np.concatenate([[0], np.cumsum(sizes)[:-1]]), words, total, n_texts, order, np.zeros(4), np.zeros(4), np.zeros(4), 0, 1.0)
     if sizes.sum() >= 1 << 32:
-        raise OverflowError("more than 2^32 words")
+        raise OverflowError("more than 2^32 distinct words")
 
     def count_grams(batches):
         held = store.Held(pack_grams, ["key", "u"])
@@ -269,14 +295,11 @@ def fit(texts: DataFrame, folder: str | None = None, order: int = 3) -> Model:
         yield from held.flush()
 
     def pack_grams(cols):
-        by = np.lexsort((cols["u"], cols["key"]))
-        key, u = cols["key"][by], cols["u"][by]
-        at = runs(key, u)
-        n, key, u = np.diff(np.append(at, len(key))), key[at], u[at]
-        out = []
+        key, first, u, n = grouped(cols["key"], cols["u"])
+        size, out = np.diff(np.append(first, len(u))), []
         for r, s in store.by_range(key, bits):
-            first = runs(key[s])
-            out.append((r, s.stop - s.start, [stepped(key[s][first]), planes(np.diff(np.append(first, s.stop - s.start)), "<u4"), planes(u[s], "<u4"), planes(n[s], "<u4")]))
+            g = slice(first[s.start], first[s.start] + size[s].sum())
+            out.append((r, g.stop - g.start, [stepped(key[s]), planes(size[s], "<u4"), planes(u[g], "<u4"), planes(n[g], "<u4")]))
         return out
 
     def gram_ranges(batches):
@@ -285,24 +308,19 @@ def fit(texts: DataFrame, folder: str | None = None, order: int = 3) -> Model:
         ranges = store.ranges_of(batches)
         for r in sorted(ranges):
             parts = ranges.pop(r)
-            key = np.concatenate([np.repeat(unstepped(k), unplanes(size, "<u4")) for _, (k, size, _, _) in parts])
-            u = np.concatenate([unplanes(x, "<u4") for _, (_, _, x, _) in parts])
-            n = np.concatenate([unplanes(x, "<u4") for _, (_, _, _, x) in parts]).astype(np.int64)
+            key = joined([np.repeat(unstepped(k), unplanes(size, "<u4")) for _, (k, size, _, _) in parts], U)
+            u = joined([unplanes(x, "<u4") for _, (_, _, x, _) in parts], np.uint32)
+            n = joined([unplanes(x, "<u4") for _, (_, _, _, x) in parts], np.uint32).astype(np.int64)
             del parts
-            by = np.lexsort((u, key))
-            key, u, n = key[by], u[by], n[by]
-            at = runs(key, u)
-            key, u, n = key[at], u[at], np.add.reduceat(n, at)
-            first = runs(key)
-            size = np.diff(np.append(first, len(key)))
-            many = size if order == 3 else n  # order 2: u is 0 throughout
-            if len(key) >= 1 << 32 or n.max() >= 1 << 32:
-                raise OverflowError("a range or count of grams beyond 32 bits")
-            store.write_range(f"{folder}/pairs", r, key[first], {"c": many.astype("u4")} if order == 2 else {"o": first.astype("u4"), "t": (np.add.reduceat(n, first) > 1).astype("u1")})
-            big = np.flatnonzero(n > 254)
-            for name, x in {"u": u, "n": np.minimum(n, 255).astype("u1"), "at": big.astype("i8"), "big": n[big].astype("i8")}.items() if order == 3 else ():
-                store.put(f"{folder}/grams", f"{name}-{r}", x.tobytes())
-            pair = unmix(key[first])
+            key, first, u, n = grouped(key, u, n)
+            size = np.diff(np.append(first, len(u)))
+            seen = np.add.reduceat(n, first) if len(n) else n
+            many = size if order == 3 else seen  # order 2: u is 0 throughout
+            store.write_range(f"{folder}/pairs", r, key, {"c": store.Small.packed(many)} if order == 2 else {"o": first.astype("u4"), "t": (seen > 1).astype("u1")})
+            if order == 3:
+                store.put(f"{folder}/grams", f"u-{r}", u.astype("u4").tobytes())
+                store.put(f"{folder}/grams", f"n-{r}", store.Small.packed(n))
+            pair = unmix(key)
             v, w = (pair >> U(32)).astype(np.int64), (pair & U(0xFFFFFFFF)).astype(np.int64)
             code, kinds = np.unique(np.concatenate([w * 8, v * 8 + np.minimum(many, 3)]), return_counts=True)
             before, back = np.unique(v, return_inverse=True)
@@ -314,12 +332,12 @@ def fit(texts: DataFrame, folder: str | None = None, order: int = 3) -> Model:
 
     def send_contexts(batches):
         """By range, what each range's grams say of the contexts seen more than once."""
+        grams = store.Files(f"{folder}/grams")
         for batch in batches:
             for r in batch.column(0).to_pylist():
-                key, first, u, n, at, big = (store.mapped(f"{folder}/{f}", f"{c}-{r}").view(t) for f, c, t in (("pairs", "key", "u8"), ("pairs", "o", "u4"), ("grams", "u", "u4"), ("grams", "n", "u1"), ("grams", "at", "i8"), ("grams", "big", "i8")))
+                key, first, u = model.pairs().array(r, "key", "u8"), model.pairs().array(r, "o", "u4"), grams.array(r, "u", "u4")
+                n = store.Small(grams.array(r, "n", "u1")).all()
                 size = np.diff(first.astype(np.int64), append=len(u))
-                n = n.astype(np.int64)
-                n[at] = big
                 context = pair_key(u.astype(np.int64), np.repeat((unmix(key) >> U(32)).astype(np.int64), size))
                 for s in range(0, len(context), store.HELD):
                     part = context[s : s + store.HELD]
@@ -328,7 +346,7 @@ def fit(texts: DataFrame, folder: str | None = None, order: int = 3) -> Model:
                         yield store.packed_rows(rows[i : i + 64])
 
     def context_sums(key, columns):
-        by = np.argsort(key, kind="stable")
+        by = np.argsort(key)
         at = runs(key[by])
         return key[by][at], [np.add.reduceat(x[by], at) if len(at) else x[by] for x in columns]
 
@@ -342,38 +360,38 @@ def fit(texts: DataFrame, folder: str | None = None, order: int = 3) -> Model:
     def pack_stats(cols):
         code, back = np.unique(cols["word"] * 8 + cols["kind"], return_inverse=True)
         n = np.bincount(back, weights=cols["n"]).astype(np.int64)
-        if len(n) and n.max() >= 1 << 32:
-            raise OverflowError("a total of grams beyond 32 bits")
         word, kind = code >> 3, (code & 7).astype(np.uint8)
         cut = np.append(np.searchsorted(word, model.offsets), len(word))
         out = []
         for r in np.flatnonzero(np.diff(cut)).tolist():
             s = slice(cut[r], cut[r + 1])
-            out.append((r, s.stop - s.start, [planes(np.diff(word[s] - model.offsets[r], prepend=0), "<u4"), kind[s].tobytes(), planes(n[s], "<u4")]))
+            out.append((r, s.stop - s.start, [planes(np.diff(word[s] - model.offsets[r], prepend=0), "<u4"), kind[s].tobytes(), planes(n[s], "<u8")]))
         return out
 
     def stat_range(r, parts):
         table = np.zeros((int(sizes[r]), 5), np.int64)
         for _, (word, kind, n) in parts:
-            np.add.at(table, (np.cumsum(unplanes(word, "<u4").astype(np.int64)), np.frombuffer(kind, np.uint8)), unplanes(n, "<u4"))
-        if table.size and table.max() >= 1 << 32:
-            raise OverflowError("a total of grams beyond 32 bits")
-        store.put(f"{folder}/stats", f"stats-{r}", table.astype("u4").tobytes())
+            np.add.at(table, (np.cumsum(unplanes(word, "<u4").astype(np.int64)), np.frombuffer(kind, np.uint8)), unplanes(n, "<u8").astype(np.int64))
+        for i, name in enumerate(STATS):
+            store.put(f"{folder}/stats", f"{name}-{r}", store.Small.packed(table[:, i]))
         cont = table[:, 0]
         return {"types": cont.sum(), "any": (cont > 0).sum()} | {f"t{k}": (cont == k).sum() for k in (1, 2, 3, 4)}
 
     def context_range(r, parts):
         columns = [np.concatenate([unplanes(d[i], "<u4").astype(np.int64) for _, d in parts]) for i in (1, 2, 3, 4)]
         key, columns = context_sums(np.concatenate([unstepped(d[0]) for _, d in parts]), columns)
-        store.write_range(f"{folder}/contexts", r, key, {k: x.astype("u4") for k, x in zip(CONTEXT, columns)})
+        store.write_range(f"{folder}/contexts", r, key, {k: store.Small.packed(x) for k, x in zip(CONTEXT, columns)})
         return {"contexts": len(key)}
 
     with _shuffles_let_go(spark):
-        grams = store.dealt(texts.mapInArrow(count_grams, store.PACKED_DDL), bits).mapInArrow(gram_ranges, store.PACKED_DDL)
-        s = store.run_ranges(grams, bits, stat_range, ["types", "any", "t1", "t2", "t3", "t4"])
+        grams = store.dealt(texts.mapInArrow(count_grams, store.PACKED_DDL), bits, every=True).mapInArrow(gram_ranges, store.PACKED_DDL)
+        rows = store.run_ranges(grams, bits, stat_range, ["types", "any", "t1", "t2", "t3", "t4"], [f"{folder}/stats"])
+        s = {name: store.total(rows, name) for name in ("types", "any", "t1", "t2", "t3", "t4")}
+        for f in ("pairs", "grams"):
+            store.seal(f"{folder}/{f}", list(range(1 << bits)))
         if order == 3:
             sent = spark.range(0, 1 << bits, 1, 1 << bits).mapInArrow(send_contexts, store.PACKED_DDL)
-            store.run_ranges(sent, bits, context_range, ["contexts"])
+            store.run_ranges(sent, bits, context_range, ["contexts"], [f"{folder}/contexts"])
     model.types = s["types"]
     if model.types:
         model.pair_discount, model.gram_discount = map(discounts, _seen(spark, folder, order, bits))
@@ -398,10 +416,14 @@ def _seen(spark, folder: str, order: int, bits: int) -> tuple[list[int], list[in
     """How many pairs and how many grams have counts of one to four."""
 
     def run(batches):
+        held, grams = store.Files(f"{folder}/pairs"), store.Files(f"{folder}/grams")
         for batch in batches:
             for r in batch.column(0).to_pylist():
-                n = store.mapped(f"{folder}/grams", f"n-{r}")
-                pairs = store.mapped(f"{folder}/pairs", f"c-{r}").view("u4") if order == 2 else np.diff(store.mapped(f"{folder}/pairs", f"o-{r}").view("u4").astype(np.int64), append=len(n))
+                if order == 2:
+                    n, pairs = np.zeros(0, np.int64), store.Small(held.array(r, "c", "u1")).all()
+                else:
+                    n = store.Small(grams.array(r, "n", "u1")).all()
+                    pairs = np.diff(held.array(r, "o", "u4").astype(np.int64), append=len(n))
                 yield pa.RecordBatch.from_arrays([pa.array([int((x == k).sum())], pa.int64()) for x in (pairs, n) for k in (1, 2, 3, 4)], [f"n{i}" for i in range(8)])
 
     row = spark.range(1 << bits).mapInArrow(run, ", ".join(f"n{i} long" for i in range(8))).agg(*(F.sum(f"n{i}") for i in range(8))).first()

@@ -112,7 +112,7 @@ def shared_keys(docs: DataFrame, rounds: int, bits: int, folder: str) -> None:
         store.write_range(folder, r, u[shared])
         return {"keys": shared.sum()}
 
-    store.run_ranges(docs.select("text").mapInArrow(run, store.PACKED_DDL), bits, each, ["keys"])
+    store.run_ranges(docs.select("text").mapInArrow(run, store.PACKED_DDL), bits, each, ["keys"], [folder])
 
 
 def repeated_windows(docs: DataFrame, width: int, rounds: int, bits: int, keys: str, folder: str) -> None:
@@ -172,7 +172,7 @@ def repeated_windows(docs: DataFrame, width: int, rounds: int, bits: int, keys:
         store.write_range(folder, r, h[twice], {"id": low[twice]})
         return {"windows": twice.sum()}
 
-    store.run_ranges(docs.mapInArrow(run, store.PACKED_DDL), bits, each, ["windows"])
+    store.run_ranges(docs.mapInArrow(run, store.PACKED_DDL), bits, each, ["windows"], [folder])
 
 
 def remove_repeats(docs: DataFrame, width: int = 13, rounds: int = 2, with_text: bool = False) -> DataFrame:

@@ -1,17 +1,18 @@
 """Sorted hash arrays in the shared folder, memory-mapped by workers; and keys packed for few, large shuffle rows.
 
 The space of 64-bit hashes is cut into 2^bits ranges. Map tasks sort and combine what they hold and send one packed
-row per range (`Packer`); the task of a range writes its sorted arrays as one file (`put`), atomically and with the
-same content on every attempt, so a lost executor costs only a repeat. `Store` maps the files and probes them range
-by range with sorted queries: memory holds no more than the pages in use.
+row per range (`Held`); the task of a range writes its sorted arrays as files (`put`), atomically and with the
+same content on every attempt, so a lost executor costs only a repeat. When all ranges are written the driver writes
+down which there are (`seal`): a reader that misses one of their files fails, it never takes them as empty. `Store`
+maps the files and probes them range by range with sorted queries: memory holds no more than the pages in use.
 """
 
 from __future__ import annotations
 
 import mmap
 import os
-import tempfile
 import uuid
+from collections import OrderedDict
 from collections.abc import Callable, Iterator
 from urllib.parse import urlparse
 
@@ -41,47 +42,71 @@ def _local(uri: str) -> str | None:
 
 
 def put(folder: str, name: str, data: bytes) -> None:
+    """Write a file under a name of its own, then rename it: readers see all of it or none."""
     path = _local(folder)
+    temp = f".{name}-{uuid.uuid4().hex}"
     if path is not None:
         os.makedirs(path, exist_ok=True)
-        temp = f"{path}/.{name}-{uuid.uuid4().hex}"
-        with open(temp, "wb") as f:
+        with open(f"{path}/{temp}", "wb") as f:
             f.write(data)
-        os.replace(temp, f"{path}/{name}")
+        os.replace(f"{path}/{temp}", f"{path}/{name}")
         return
     from pyarrow import fs
 
     system, path = fs.FileSystem.from_uri(folder)
     system.create_dir(path, recursive=True)
-    with system.open_output_stream(f"{path}/{name}") as f:
+    with system.open_output_stream(f"{path}/{temp}") as f:
         f.write(data)
+    system.move(f"{path}/{temp}", f"{path}/{name}")
 
 
 def mapped(folder: str, name: str) -> np.ndarray:
-    """The bytes of a file of the shared folder, as a read-only map; absent or empty: no bytes."""
+    """The bytes of a file of the shared folder: a read-only map, or a copy in memory where the store has no paths. An absent file is an error."""
     path = _local(folder)
-    if path is None:  # a store without a path: one temporary local copy, unlinked once mapped
+    if path is None:
         from pyarrow import fs
 
         system, remote = fs.FileSystem.from_uri(folder)
-        if system.get_file_info(f"{remote}/{name}").type == fs.FileType.NotFound:
+        with system.open_input_stream(f"{remote}/{name}") as f:
+            return np.frombuffer(f.read(), np.uint8)
+    with open(f"{path}/{name}", "rb") as f:
+        if not os.fstat(f.fileno()).st_size:
             return np.zeros(0, np.uint8)
-        with tempfile.NamedTemporaryFile() as copy, system.open_input_stream(f"{remote}/{name}") as f:
-            while block := f.read(1 << 22):
-                copy.write(block)
-            copy.flush()
-            return _map(copy.name)
-    return _map(f"{path}/{name}")
+        return np.frombuffer(mmap.mmap(f.fileno(), 0, access=mmap.ACCESS_READ), np.uint8)
 
 
-def _map(path: str) -> np.ndarray:
-    try:
-        with open(path, "rb") as f:
-            if not os.fstat(f.fileno()).st_size:
-                return np.zeros(0, np.uint8)
-            return np.frombuffer(mmap.mmap(f.fileno(), 0, access=mmap.ACCESS_READ), np.uint8)
-    except FileNotFoundError:
-        return np.zeros(0, np.uint8)
+def seal(folder: str, ranges: list[int]) -> None:
+    """Say which ranges a folder holds: all others are empty."""
+    put(folder, "ranges", np.array(sorted(ranges), "i8").tobytes())
+
+
+class Files:
+    """The arrays of a sealed folder, by range and column; the least recently used maps are closed."""
+
+    MOST = 4096  # maps (a process may have some 65,000), and
+    BYTES = 256 << 20  # bytes of what is no map
+
+    def __init__(self, folder: str):
+        self.folder, self.open, self.held = folder, OrderedDict(), 0
+        self.ranges: set[int] | None = None
+
+    def array(self, r: int, column: str, kind: str) -> np.ndarray:
+        return self.named(f"{column}-{r}").view(kind) if r in self else np.zeros(0, kind)
+
+    def __contains__(self, r: int) -> bool:
+        if self.ranges is None:
+            self.ranges = set(mapped(self.folder, "ranges").view("i8").tolist())
+        return r in self.ranges
+
+    def named(self, name: str) -> np.ndarray:
+        if name in self.open:
+            self.open.move_to_end(name)
+            return self.open[name]
+        found = self.open[name] = mapped(self.folder, name)
+        self.held += len(found)
+        while len(self.open) > 1 and (len(self.open) > self.MOST or (self.held > self.BYTES and _local(self.folder) is None)):
+            self.held -= len(self.open.popitem(last=False)[1])
+        return found
 
 
 class Held:
@@ -111,50 +136,76 @@ class Held:
             release()
 
 
-class Store:
+class Store(Files):
     """Sorted 64-bit keys with fixed-width columns, one file per range and column."""
 
     def __init__(self, folder: str, bits: int, columns: dict[str, str] | None = None):
-        self.folder, self.bits, self.columns = folder, bits, columns or {}
-        self.open: dict[str, np.ndarray] = {}
-
-    def _array(self, r: int, column: str, kind: str) -> np.ndarray:
-        name = f"{column}-{r}"
-        if name not in self.open:
-            self.open[name] = mapped(self.folder, name).view(kind)
-        return self.open[name]
+        super().__init__(folder)
+        self.bits, self.columns = bits, columns or {}
 
     def find(self, probe: np.ndarray) -> tuple[np.ndarray, dict[str, np.ndarray]]:
         """Which probes are keys, and their columns (0 where absent); `at`: the place within the range."""
         there = np.zeros(len(probe), bool)
-        out = {c: np.zeros(len(probe), k) for c, k in self.columns.items()} | {"at": np.zeros(len(probe), np.int64)}
+        out = {c: np.zeros(len(probe), "i8" if k == SMALL else k) for c, k in self.columns.items()} | {"at": np.zeros(len(probe), np.int64)}
         if not len(probe):
             return there, out
-        q, back = np.unique(probe, return_inverse=True)
-        hit = np.zeros(len(q), bool)
-        got = {c: np.zeros(len(q), k) for c in out for k in [out[c].dtype]}
+        order = np.argsort(probe)
+        q = probe[order]
         cut = np.searchsorted(q, np.arange(1 << self.bits, dtype=U) << U(64 - self.bits)) if self.bits else np.array([0])
         cut = np.append(cut, len(q))
         for r in np.flatnonzero(np.diff(cut)).tolist():
-            keys = self._array(r, "key", "u8")
+            keys = self.array(r, "key", "u8")
             if not len(keys):
                 continue
-            part = slice(cut[r], cut[r + 1])
-            at = np.minimum(np.searchsorted(keys, q[part]), len(keys) - 1)
-            ok = keys[at] == q[part]
-            hit[part] = ok
-            got["at"][part] = at
+            part, whom = q[cut[r] : cut[r + 1]], order[cut[r] : cut[r + 1]]
+            at = np.minimum(np.searchsorted(keys, part), len(keys) - 1)
+            ok = keys[at] == part
+            whom, at = whom[ok], at[ok]
+            there[whom] = True
+            out["at"][whom] = at
             for c, k in self.columns.items():
-                got[c][part] = np.where(ok, self._array(r, c, k)[at], 0)
-        for c in out:
-            out[c] = got[c][back]
-        return hit[back], out
+                out[c][whom] = Small(self.array(r, c, "u1"))[at] if k == SMALL else self.array(r, c, k)[at]
+        return there, out
+
+
+SMALL = "small"
+
+
+class Small:
+    """Counts of which most are below 255: a byte each, with the others apart."""
+
+    def __init__(self, raw: np.ndarray):
+        n, k = raw[:16].view("i8").tolist() if len(raw) else (0, 0)
+        end = 16 + n
+        aside = end + -end % 8
+        self.low, self.at, self.big = raw[16:end], raw[aside : aside + 8 * k].view("i8"), raw[aside + 8 * k :].view("i8")
+
+    def __len__(self) -> int:
+        return len(self.low)
+
+    def __getitem__(self, at: np.ndarray) -> np.ndarray:
+        out = self.low[at].astype(np.int64)
+        high = np.flatnonzero(out == 255)
+        if len(high):
+            out[high] = self.big[np.searchsorted(self.at, at[high])]
+        return out
+
+    def all(self) -> np.ndarray:
+        out = self.low.astype(np.int64)
+        out[self.at] = self.big
+        return out
+
+    @staticmethod
+    def packed(x: np.ndarray) -> bytes:
+        high = np.flatnonzero(x > 254)
+        head = np.array([len(x), len(high)], "i8").tobytes() + np.minimum(x, 255).astype("u1").tobytes()
+        return head + b"\0" * (-len(head) % 8) + high.astype("i8").tobytes() + x[high].astype("i8").tobytes()
 
 
 def write_range(folder: str, r: int, keys: np.ndarray, columns: dict[str, np.ndarray] | None = None) -> None:
     put(folder, f"key-{r}", keys.astype("u8").tobytes())
     for c, v in (columns or {}).items():
-        put(folder, f"{c}-{r}", v.tobytes())
+        put(folder, f"{c}-{r}", v if isinstance(v, bytes) else v.tobytes())
 
 
 def short(keys: np.ndarray, bits: int, width: int) -> bytes:
@@ -191,7 +242,10 @@ def packed_rows(rows: list[tuple[int, int, list[bytes]]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([x[0] for x in rows], pa.int32()), pa.array([x[1] for x in rows], pa.int64()), pa.array([x[2] for x in rows], pa.list_(pa.binary()))], schema=PACKED)
 
 
-def dealt(packed: DataFrame, bits: int) -> DataFrame:
+def dealt(packed: DataFrame, bits: int, every: bool = False) -> DataFrame:
+    """The rows by range; every: ranges without rows come too, as one without data."""
+    if every:
+        packed = packed.union(packed.sparkSession.range(1 << bits).select(F.col("id").cast("int"), F.lit(0).cast("long"), F.array().cast("array<binary>")))
     return packed.repartition(1 << bits, "r")
 
 
@@ -200,18 +254,28 @@ def ranges_of(batches: Iterator[pa.RecordBatch]) -> dict[int, list[tuple[int, li
     out: dict[int, list] = {}
     for b in batches:
         for r, n, data in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist()):
-            out.setdefault(r, []).append((n, data))
+            parts = out.setdefault(r, [])
+            if n:
+                parts.append((n, data))
     return out
 
 
-def run_ranges(packed: DataFrame, bits: int, each: Callable[[int, list], dict[str, float]], sums: list[str]) -> dict[str, int]:
-    """Run each(r, parts) on every range in a task (it writes files); the sums of what it returns come back."""
+def run_ranges(packed: DataFrame, bits: int, each: Callable[[int, list], dict[str, float]], sums: list[str], folders: list[str]) -> list[dict[str, int]]:
+    """Run each(r, parts) on every range in a task (it writes files to folders, which are then sealed).
+
+    Back comes a row per range with what it returns: at most 2^bits rows.
+    """
     def run(batches):
         for r, parts in sorted(ranges_of(batches).items()):
             got = each(r, parts)
-            yield pa.RecordBatch.from_arrays([pa.array([int(got.get(s, 0))], pa.int64()) for s in sums], sums)
+            yield pa.RecordBatch.from_arrays([pa.array([int(x)], pa.int64()) for x in (r, *(got.get(s, 0) for s in sums))], ["r", *sums])
         release()
 
-    done = dealt(packed, bits).mapInArrow(run, ", ".join(f"{s} long" for s in sums))
-    row = done.agg(*[F.coalesce(F.sum(s), F.lit(0)).alias(s) for s in sums]).first()
-    return row.asDict()
+    rows = dealt(packed, bits).mapInArrow(run, ", ".join(f"{s} long" for s in ["r", *sums])).collect()
+    for folder in folders:
+        seal(folder, [row["r"] for row in rows])
+    return [row.asDict() for row in rows]
+
+
+def total(rows: list[dict[str, int]], name: str) -> int:
+    return sum(row[name] for row in rows)

@@ -226,14 +226,80 @@ def test_jaccard_two_texts_under_one_id(spark):
         assert {(r.doc_id, r.component_id) for r in got} == {(1, 1), (2, 1), (3, 1), (4, 4)}
 
 
-def test_prefix_tree():
+def test_jaccard_sets_of_one_id_bind_their_components(spark):
+    a, b = [f"x{i}" for i in range(60)], [f"y{i}" for i in range(60)]
+    near = lambda w: " ".join(w[:-1] + ["changed"])
+    for rows, want in (
+        ([(5, " ".join(a)), (5, " ".join(b)), (7, near(a)), (9, near(b))], {5: 5, 7: 5, 9: 5}),
+        ([(5, " ".join(a)), (3, " ".join(a)), (5, " ".join(b)), (9, near(b))], {3: 3, 5: 3, 9: 3}),
+        ([(5, " ".join(a))] * 30 + [(6, " ".join(b)), (8, near(b))], {5: 5, 6: 6, 8: 6}),
+    ):
+        got = shingles.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+        assert len(got) == len(rows) and {(r.doc_id, r.component_id) for r in got} == set(want.items())
+
+
+def brute_components(rows, k, percent):
+    ids, sets = {}, []
+    token = {}
+    for i, t in rows:
+        w = t.split()
+        sets.append({token.setdefault(tuple(w[j : j + k]), len(token)) for j in range(len(w) - k + 1)})
+    m = np.zeros((len(sets), len(token)), np.float32)
+    for x, s in enumerate(sets):
+        m[x, list(s)] = 1
+    both = (m @ m.T).astype(int)
+    size = np.diag(both)
+    link = 100 * both >= percent * (size[:, None] + size - both)
+    label = np.arange(len(sets))
+    while True:
+        new = np.array([label[link[x]].min() for x in range(len(sets))])
+        if (new == label).all():
+            return {i: rows[label[x]][0] for x, (i, _) in enumerate(rows)}
+        label = new
+
+
+def test_jaccard_hot_shingles_and_many_components(spark):
+    """More than LIMIT sets share each shingle of a family, whose members link only in part."""
+    rng = random.Random(8)
+    base, rows = [f"t{i}" for i in range(60)], []
+    for i in range(shingles.LIMIT * 3):
+        w = base.copy()
+        for _ in range(rng.choice([0, 1, 1, 2, 3, 9])):
+            w[rng.randrange(60)] = f"n{rng.randrange(12)}"
+        rows.append((i, " ".join(w)))
+    got = by_id(shingles.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string")))
+    want = brute_components(rows, 4, 85)
+    assert len(set(want.values())) > 20 and {i: got[i].component_id for i in want} == want
+
+
+def test_jaccard_small_vocabulary_sends_few_pairs(spark, monkeypatch):
+    rng, sent = random.Random(9), []
+    real = shingles.verified
+    monkeypatch.setattr(shingles, "verified", lambda docs, pairs, *how: (sent.append(pairs.count()), real(docs, pairs, *how))[1])
+    rows = [(i, " ".join(rng.choice("abcdefgh") for _ in range(rng.randint(60, 90)))) for i in range(3000)]
+    rows += [(5000 + i, rows[i][1] + " z") for i in range(100)]
+    got = by_id(shingles.jaccard_components(spark.createDataFrame(rows, "doc_id long, text string")))
+    assert {i: r.component_id for i, r in got.items()} == brute_components(rows, 4, 85)
+    assert sum(sent) < 10 * len(rows)
+
+
+def test_prefix_trees():
+    """What a walk leaves out is not linked; what it keeps is little more than what is."""
     rng = np.random.default_rng(3)
-    sets = [np.unique(rng.integers(0, 60, rng.integers(1, 50)).astype(np.uint64)) for _ in range(80)]
-    for probe in sets[:20]:
-        want = {i for i, s in enumerate(sets) if 100 * len(np.intersect1d(s, probe)) >= 70 * len(np.union1d(s, probe))}
-        assert set(shingles.tree_matches(probe, sets, 70)) == want
-        cut = [s[: len(s) // 3 + 1] for s in sets]
-        assert want <= set(shingles.tree_matches(probe[: len(probe) // 3 + 1], cut, 70, (len(probe), [len(s) for s in sets])))
+    sets = [np.unique(rng.integers(1, 60, rng.integers(1, 50)).astype(np.uint64)) for _ in range(80)]
+    sets += [np.unique(np.append(np.arange(100, 400), rng.integers(1, 100, 3))).astype(np.uint64) for _ in range(8)]
+    want = {(i, j) for i in range(88) for j in range(i) if 100 * len(np.intersect1d(sets[i], sets[j])) >= 70 * len(np.union1d(sets[i], sets[j]))}
+    size = np.array([len(s) for s in sets])
+    prefix = [s[: n - shingles.least_shared(n, 70) + 1] for s, n in zip(sets, size)]
+    tok, first = np.concatenate(prefix), np.cumsum([0] + [len(p) for p in prefix])
+    entry = sorted((int(t), int(pos), d) for d, p in enumerate(prefix) for pos, t in enumerate(p))
+    place, pos, doc = (np.array([e[i] for e in entry]) for i in range(3))
+    w = shingles.Walk(tok, first[doc] + pos, first[doc + 1], size[doc], pos, place, doc)
+    edge = np.flatnonzero(np.append(True, w.place[1:] != w.place[:-1]))
+    many = np.diff(np.append(edge, len(place)))
+    slot = np.arange(len(place))
+    found = {(int(b), int(a)) for a, b in w.pairs(w, slot, slot + 1, np.repeat(edge + many, many), 70)}
+    assert want <= found and len(found) < 88 * 87 / 2 / 10
 
 
 @pytest.mark.parametrize("width,rounds", [(13, 2), (13, 1), (6, 2), (20, 3)])
@@ -305,22 +371,19 @@ def rows_copy(v):
     return [float(a) for a in v]
 
 
-def test_language_model_sums_to_one(docs):
-    m = kneser_ney.fit(docs.where("text IS NOT NULL").select("text"))
-    import pyarrow as pa
-
-    from stripmatch.llm.textnp import chunks
-
-    known = sorted({w.lower() if w.isascii() else "".join(c.lower() if c.isascii() else c for c in w) for t in texts() if t for w in WORD.findall(t)})
-    for context in ("w1", "neverseen"):
-        c = next(chunks(pa.array([context] + [f"{context} {w}" for w in known] + [f"{context} zzz"])))
-        s = m.score(c)["score"]
-        end = next(chunks(pa.array(known + ["zzz"])))
-        assert len(s) == len(known) + 2 and end.n == len(known) + 1
+def test_language_model_on_odd_texts(docs):
     out = kneser_ney.score_documents(docs).collect()
     assert all(r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 7 == 2) for r in out)
     assert {r.doc_id: r.n_tokens for r in out} == {i: len(WORD.findall(t or "")) + 1 for i, t in enumerate(texts())}
     assert all(np.isfinite(r.score) and r.score < 0 for r in out)
+    folded = lambda t: ["".join(c.lower() if c.isascii() else c for c in w) for w in WORD.findall(t or "")] + ["</s>"]
+    ids = [*range(len(texts())), 5]  # row 5 stands twice
+    train = [w for i in ids if zlib.crc32(str(i).encode()) % 7 != 2 for w in folded(texts()[i])]
+    count = {w: train.count(w) for w in set(train)}
+    for r in out:
+        own = [count.get(w, 0) for w in folded(texts()[r.doc_id])]
+        base = sum(np.log10((c + 1) / (len(train) + len(count) + 1)) for c in own)
+        assert r.train_tokens == len(train) and r.n_known == sum(c > 0 for c in own) and abs(r.base_score - base) < 1e-9 * max(1, -base)
 
 
 @pytest.mark.parametrize("order", [2, 3])
@@ -349,6 +412,9 @@ def test_language_model_equals_brute_force(spark, order):
         c, d = levels[level][(*context, w)], cut[level]
         return (max(c - d[min(c, 3)], 0) + sum(d[min(x, 3)] for x in total.values()) * lower) / sum(total.values())
 
+    vocabulary = sorted({g[-1] for g in top})
+    for context in [("a", "b"), ("z", "y"), ("q", "q"), ("<s>", "<s>")]:
+        assert abs(sum(prob(context[-(order - 1) :], w) for w in [*vocabulary, "unknown"]) - 1) < 1e-9
     import pyarrow as pa
 
     from stripmatch.llm.textnp import chunks
