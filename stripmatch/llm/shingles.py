@@ -141,8 +141,8 @@ def hot_shingles(sets: DataFrame, bits: int, folder: str) -> None:
 
 
 def block_key(key: np.ndarray, block: np.ndarray, bits: int) -> np.ndarray:
-    """The meeting place of a block of a hot shingle's sets; block 0 keeps the shingle's own."""
-    return store.trimmed(np.where(block > 0, mix(key + block.astype(U) * _MULT[33]), key), bits, PLACE_BYTES)
+    """The meeting place of a block of a shingle's sets; mixed, as prefixes hold the smallest hashes and would crowd the first ranges."""
+    return store.trimmed(mix(key + block.astype(U) * _MULT[33]), bits, PLACE_BYTES)
 
 
 def meeting_places(sets: DataFrame, bits: int, hot: str, paths: str, folder: str) -> None:

@@ -246,7 +246,7 @@ def dealt(packed: DataFrame, bits: int, every: bool = False) -> DataFrame:
     """The rows by range; every: ranges without rows come too, as one without data."""
     if every:
         packed = packed.union(packed.sparkSession.range(1 << bits).select(F.col("id").cast("int"), F.lit(0).cast("long"), F.array().cast("array<binary>")))
-    return packed.repartition(1 << bits, "r")
+    return packed.repartitionById(1 << bits, "r")  # a range a task: hashed numbers would put several into one
 
 
 def ranges_of(batches: Iterator[pa.RecordBatch]) -> dict[int, list[tuple[int, list[bytes]]]]:
