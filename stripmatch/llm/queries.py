@@ -81,7 +81,7 @@ def op6_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     full, _ = find_secrets(read_table(spark, sf_dir, "documents"), F.col("source"), F.concat_ws("/", "source", "lang"))
     of = lambda k: F.size(F.filter("base", lambda x: x["rank"] == k)).cast("long")
-    return full.select("doc_id", of(0).alias("n_assign"), of(1).alias("n_access"), of(2).alias("n_hex"), F.sha2(joined_spans(F.array_sort("base")).cast("binary"), 256).alias("base_sha256"), joined_spans(F.col("spans")).alias("spans"))
+    return full.select("doc_id", of(0).alias("n_assign"), of(1).alias("n_access"), of(2).alias("n_hex"), F.sha2(joined_spans(F.array_sort("base")).cast("binary"), 256).alias("base_sha256"), joined_spans(F.col("spans")).alias("spans"), "n_live", "n_example")
 
 
 def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

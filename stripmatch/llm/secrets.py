@@ -1,12 +1,15 @@
 """Secret scans: base patterns, further candidates, and their ownership over the whole corpus.
 
 Each candidate's value is hashed; over all documents the distinct owners and repositories of a hash are counted. A
-value that many owners hold is a widely copied example; one that few hold looks live. Base spans stay whatever their
-verdict; further candidates (long mixed tokens, bearer values, signed web tokens, private-key blocks) become spans
-only if they look live and touch no base span.
+value that few owners and few repositories hold looks live; any other is a widely copied example: an owner may keep
+its own credential in two repositories, but what stands in five is a sample even if one owner has them all. Base spans
+stay whatever their verdict; further candidates (long mixed tokens, bearer values, signed web tokens, private-key
+blocks) become spans only if they look live and touch no base span.
 
 Defined cases: null or empty text has no spans; a null owner or repository counts as one owner or repository of its
-own; equal values in one document count once for it; repeated rows are reported each; extra columns are dropped.
+own; equal values in one document count once for it; repeated rows are reported each; ties (spans that start
+together) stand in the order of KINDS; extra columns are dropped, and kept by `masked` whatever their names; an empty
+table gives no rows.
 """
 
 from __future__ import annotations
@@ -14,18 +17,22 @@ from __future__ import annotations
 import hashlib
 import re
 from collections import Counter
+from collections.abc import Iterator
 from math import log2
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from stripmatch.cluster import ship, written
-from stripmatch.llm.textnp import chunks
+from stripmatch.llm import store
+from stripmatch.llm.textnp import Chunk, U, chunks, mix
 
 KINDS = ["assign", "access", "hex", "private", "web", "bearer", "mixed"]  # in the order of ties
 BASE = 3
+FEW_OWNERS, FEW_REPOSITORIES = 2, 4
 # The base patterns.
 ASSIGN = re.compile(rb"(password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", re.I)
 ACCESS = re.compile(rb"AKIA[A-Z0-9]+")
@@ -102,6 +109,31 @@ def points(raw: bytes, spans: list[Span]) -> list[tuple[int, int, int, str]]:
 _SPAN = pa.struct([("start", pa.int32()), ("rank", pa.int32()), ("end", pa.int32()), ("value", pa.string())])
 
 
+def spans_of(c: Chunk) -> Iterator[tuple[bytes, list[Span], list[Span]]]:
+    """(text, base spans, further candidates) of a chunk's texts."""
+    raw = c.b.tobytes()
+    runs: dict[int, list] = {}
+    if len(c.b):
+        h = np.concatenate([[False], _HEX[c.b], [False]])
+        s, e = np.flatnonzero(~h[:-1] & h[1:]), np.flatnonzero(h[:-1] & ~h[1:])
+        long_run = e - s >= 16  # a run over a text's end is cut there
+        for s, e in zip(s[long_run].tolist(), e[long_run].tolist()):
+            d = int(np.searchsorted(c.off, s, "right")) - 1
+            while s < e:
+                stop = min(e, int(c.off[d + 1]))
+                if stop - s >= 16:
+                    runs.setdefault(d, []).append((s - int(c.off[d]), stop - int(c.off[d])))
+                s, d = stop, d + 1
+    words: dict[int, list] = {}
+    for i in np.flatnonzero(c.we - c.ws >= 20).tolist():
+        d = int(c.wd[i])
+        words.setdefault(d, []).append((int(c.ws[i] - c.off[d]), int(c.we[i] - c.off[d])))
+    for d in range(c.n):
+        text = raw[int(c.off[d]) : int(c.off[d + 1])]
+        base = base_spans(text, runs.get(d, []))
+        yield text, base, further_spans(text, words.get(d, []), base)
+
+
 def scan(docs: DataFrame, owner: Column, repository: Column) -> DataFrame:
     """One row per document: row (its number), doc_id, owner, repository, digest (of its text), base and further spans. Nothing is judged yet."""
     ship(docs.sparkSession)
@@ -110,30 +142,8 @@ def scan(docs: DataFrame, owner: Column, repository: Column) -> DataFrame:
     def run(batches):
         for batch in batches:
             for c in chunks(batch.column(5)):
-                raw = c.b.tobytes()
-                runs: dict[int, list] = {}
-                if len(c.b):
-                    h = np.concatenate([[False], _HEX[c.b], [False]])
-                    s, e = np.flatnonzero(~h[:-1] & h[1:]), np.flatnonzero(h[:-1] & ~h[1:])
-                    long_run = e - s >= 16  # a run over a text's end is cut there
-                    for s, e in zip(s[long_run].tolist(), e[long_run].tolist()):
-                        d = int(np.searchsorted(c.off, s, "right")) - 1
-                        while s < e:
-                            stop = min(e, int(c.off[d + 1]))
-                            if stop - s >= 16:
-                                runs.setdefault(d, []).append((s - int(c.off[d]), stop - int(c.off[d])))
-                            s, d = stop, d + 1
-                words: dict[int, list] = {}
-                for i in np.flatnonzero(c.we - c.ws >= 20).tolist():
-                    d = int(c.wd[i])
-                    words.setdefault(d, []).append((int(c.ws[i] - c.off[d]), int(c.we[i] - c.off[d])))
-                base, further = [], []
-                for d in range(c.n):
-                    text = raw[int(c.off[d]) : int(c.off[d + 1])]
-                    b = base_spans(text, runs.get(d, []))
-                    f = further_spans(text, words.get(d, []), b)
-                    base.append([dict(zip(("start", "rank", "end", "value"), x)) for x in points(text, b)])
-                    further.append([dict(zip(("start", "rank", "end", "value"), x)) for x in points(text, f)])
+                found = [(points(t, b), points(t, f)) for t, b, f in spans_of(c)]
+                base, further = ([[dict(zip(("start", "rank", "end", "value"), x)) for x in f[i]] for f in found] for i in (0, 1))
                 kept = [batch.column(j).slice(c.lo, c.n) for j in range(5)]
                 yield pa.RecordBatch.from_arrays([*kept, pa.array(base, pa.list_(_SPAN)), pa.array(further, pa.list_(_SPAN))], ["row", "doc_id", "owner", "repository", "digest", "base", "further"])
 
@@ -144,19 +154,31 @@ def scan(docs: DataFrame, owner: Column, repository: Column) -> DataFrame:
 def ownership(scanned: DataFrame) -> DataFrame:
     """value, owners, repositories: over the whole corpus. Distinct holders first, so a hot value is summed, not gathered."""
     held = scanned.select("owner", "repository", F.explode(F.array_distinct(F.transform(F.concat("base", "further"), lambda x: x["value"]))).alias("value"))
+    return holders(held)
+
+
+def holders(held: DataFrame) -> DataFrame:
+    """owners, repositories and documents of each value. held: owner, repository, value, a row per document and value."""
     pairs = held.groupBy("value", "owner", "repository").agg(F.count(F.lit(1)).alias("documents"))
     repos = pairs.groupBy("value", "owner").agg(F.count(F.lit(1)).alias("repositories"), F.sum("documents").alias("documents"))
     return repos.groupBy("value").agg(F.count(F.lit(1)).alias("owners"), F.sum("repositories").alias("repositories"), F.sum("documents").alias("documents"))
 
 
-def find_secrets(docs: DataFrame, owner: Column, repository: Column, few: int = 2) -> tuple[DataFrame, DataFrame]:
-    """(documents, spans): documents have row, doc_id, digest, base, spans (all, judged); spans have doc_id, kind, start, end, owners, verdict."""
+def looks_live(owners: int, repositories: int) -> Column:
+    return (F.col("owners") <= owners) & (F.col("repositories") <= repositories)
+
+
+def find_secrets(docs: DataFrame, owner: Column, repository: Column, owners: int = FEW_OWNERS, repositories: int = FEW_REPOSITORIES) -> tuple[DataFrame, DataFrame]:
+    """(documents, spans): documents have row, doc_id, digest, base, spans (all, judged), n_live, n_example; spans have doc_id, kind, start, end, owners, repositories, verdict."""
     scanned = written(scan(docs, owner, repository), "secrets")
     counts = ownership(scanned)
     cands = scanned.select("row", "doc_id", F.explode(F.concat("base", "further")).alias("s")).select("row", "doc_id", "s.*")
-    judged = cands.join(counts, "value").withColumn("live", F.col("owners") <= few)
-    added = judged.where(F.col("live") & (F.col("rank") >= BASE)).groupBy("row").agg(F.collect_list(F.struct("start", "rank", "end", "value")).alias("added"))
-    full = scanned.join(added, "row", "left").select("row", "doc_id", "digest", "base", F.array_sort(F.concat("base", F.coalesce("added", F.filter("base", lambda x: F.lit(False))))).alias("spans"))
+    judged = cands.join(counts, "value").withColumn("live", looks_live(owners, repositories))
+    further = F.collect_list(F.when(F.col("live") & (F.col("rank") >= BASE), F.struct("start", "rank", "end", "value"))).alias("added")
+    told = judged.groupBy("row").agg(further, F.count_if("live").alias("n_live"), F.count_if(~F.col("live")).alias("n_example"))
+    every = F.array_sort(F.concat("base", F.coalesce("added", F.filter("base", lambda x: F.lit(False)))))
+    counted = [F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in ("n_live", "n_example")]
+    full = scanned.join(told, "row", "left").select("row", "doc_id", "digest", "base", every.alias("spans"), *counted)
     kinds = F.array(*map(F.lit, KINDS))
     spans = judged.select("doc_id", F.element_at(kinds, F.col("rank") + 1).alias("kind"), "start", "end", "value", "owners", "repositories", F.when(F.col("live"), "live").otherwise("example").alias("verdict"))
     return full, spans
@@ -167,20 +189,49 @@ def joined_spans(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda x: F.concat_ws(":", F.element_at(kinds, x["rank"] + 1), x["start"], x["end"])), ",")
 
 
-def redacted(docs: DataFrame, found: DataFrame, mask: str = "[secret]") -> DataFrame:
-    """docs with each of its spans replaced. found: doc_id, digest, spans; columns of docs are kept.
+def value_key(value: bytes) -> int:
+    return int.from_bytes(hashlib.sha256(value).digest()[:8], "little", signed=True)
+
 
-    A row takes the spans of its own id and text, so rows of one id, or of none, are each masked by what they hold.
+def masked(docs: DataFrame, owner: Column, repository: Column, mask: str = "[secret]", owners: int = FEW_OWNERS, repositories: int = FEW_REPOSITORIES) -> DataFrame:
+    """docs with every base span, and every further candidate that looks live, replaced in its text; all columns are kept.
+
+    Two passes over the texts, neither of which shuffles one: the first sends the further candidates' hashes to be
+    counted, the second masks by a store of those that look live. Overlapping spans are masked as one.
     """
-    marked = found.where(F.size("spans") > 0).groupBy(F.col("doc_id").alias("_id"), F.col("digest").alias("_digest")).agg(F.max("spans").alias("_spans"))
-    joined = docs.join(marked, docs["doc_id"].eqNullSafe(F.col("_id")) & (F.xxhash64(docs["text"]) == F.col("_digest")), "left")
-    kept = F.col("text")
-
-    def cut(acc, x):  # acc: text so far, place reached; overlaps are merged
-        return F.struct(
-            F.when(x["start"] >= acc["at"], F.concat(acc["out"], F.substring(kept, acc["at"] + 1, x["start"] - acc["at"]), F.lit(mask))).otherwise(acc["out"]).alias("out"),
-            F.greatest(acc["at"], x["end"]).alias("at"))
-
-    begin = F.struct(F.lit("").alias("out"), F.lit(0).alias("at"))
-    text = F.aggregate("_spans", begin, cut, lambda acc: F.concat(acc["out"], F.substring(kept, acc["at"] + 1, F.length(kept))))
-    return joined.withColumn("text", F.when(F.col("_spans").isNull(), kept).otherwise(text)).select(*docs.columns)
+    spark = docs.sparkSession
+    ship(spark)
+    bits, live = store.range_bits(spark), store.new_folder(spark, "secrets-live")
+    at = docs.columns.index("text")
+    named = lambda c: F.coalesce(c.cast("string"), F.lit("\0"))
+
+    def candidates(batches):
+        for batch in batches:
+            for c in chunks(batch.column(2)):
+                rows = [(c.lo + i, v) for i, (_, _, further) in enumerate(spans_of(c)) for v in {value_key(x[3]) for x in further}]
+                own = pa.array([i for i, _ in rows], pa.int64())
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(own), batch.column(1).take(own), pa.array([v for _, v in rows], pa.int64())], ["owner", "repository", "value"])
+
+    held = docs.select(named(owner).alias("owner"), named(repository).alias("repository"), "text").mapInArrow(candidates, "owner string, repository string, value long")
+    store.write_lookup(holders(held).where(looks_live(owners, repositories)).select("value"), bits, live)
+
+    def run(batches):
+        known = store.Store(live, bits)
+        for batch in batches:
+            texts = []
+            for c in chunks(batch.column(at)):
+                found = list(spans_of(c))
+                keys = [value_key(x[3]) for _, _, further in found for x in further]
+                ok = iter(known.find(mix(np.array(keys, np.int64).view(U)))[0].tolist())
+                for text, base, further in found:
+                    cut, out, end = sorted(base + [x for x in further if next(ok)]), [], 0
+                    for s, _, e, _ in cut:
+                        if s >= end:
+                            out += [text[end:s], mask.encode()]
+                        end = max(end, e)
+                    texts.append(b"".join([*out, text[end:]]).decode())
+            new = pa.array(texts, pa.string())
+            new = pc.if_else(batch.column(at).is_null(), pa.scalar(None, pa.string()), new)
+            yield pa.RecordBatch.from_arrays([new.cast(f.type) if i == at else batch.column(i) for i, f in enumerate(batch.schema)], schema=batch.schema)
+
+    return docs.mapInArrow(run, docs.schema)

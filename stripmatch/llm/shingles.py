@@ -520,47 +520,11 @@ def over_blocks(blocks: DataFrame, each) -> DataFrame:
     return blocks.mapInArrow(run, "a long, b long")
 
 
-def write_lookup(rows: DataFrame, bits: int, folder: str, column: str | None = None) -> None:
-    """A store of mixed ids (first column), with the second column's values if named."""
-
-    def pack(cols):
-        order = np.argsort(cols["key"], kind="stable")
-        key, value = cols["key"][order], cols["value"][order]
-        return [(r, s.stop - s.start, [key[s].tobytes(), value[s].tobytes()]) for r, s in store.by_range(key, bits)]
-
-    def run(batches):
-        held = store.Held(pack, ["key", "value"])
-        for batch in batches:
-            yield from held.add(key=mix(np.array(batch.column(0)).view(U)), value=np.array(batch.column(batch.num_columns - 1)))
-        yield from held.flush()
-
-    def each(r, parts):
-        key, at = np.unique(np.concatenate([np.frombuffer(d[0], U) for _, d in parts]), return_index=True)
-        value = np.concatenate([np.frombuffer(d[1], np.int64) for _, d in parts])[at]
-        store.write_range(folder, r, key, {column: value} if column else None)
-        return {"n": len(key)}
-
-    store.run_ranges(rows.mapInArrow(run, store.PACKED_DDL), bits, each, ["n"], [folder])
-
-
-def among(rows: DataFrame, folder: str, bits: int) -> DataFrame:
-    """The rows whose first column, a long, is in a store that write_lookup wrote: a semi-join without a shuffle."""
-
-    def run(batches):
-        asked = store.Store(folder, bits)
-        for batch in batches:
-            ids = batch.column(0)
-            ok, _ = asked.find(mix(np.array(ids.fill_null(0)).view(U)))
-            yield batch.filter(pa.array(ok & ~np.asarray(ids.is_null())))
-
-    return rows.mapInArrow(run, rows.schema)
-
-
 def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int, bits: int) -> DataFrame:
     """The pairs (a, b) of which some whole sets reach the threshold."""
     spark = docs.sparkSession
     wanted, sets, where = (store.new_folder(spark, f"jaccard-{x}") for x in ("wanted", "sets", "where"))
-    write_lookup(pairs.select("a").union(pairs.select("b")).distinct(), bits, wanted)
+    store.write_lookup(pairs.select("a").union(pairs.select("b")).distinct(), bits, wanted)
 
     def pack(cols):
         order = np.argsort(cols["key"], kind="stable")
@@ -594,7 +558,7 @@ def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int, bits: int)
         store.write_range(where, r, key, {"first": first, "size": size, "part": part})
         return {"n": len(key)}
 
-    asked = among(docs.select(F.col("doc_id").cast("long").alias("id"), "text"), wanted, bits)
+    asked = store.among(docs.select(F.col("doc_id").cast("long").alias("id"), "text"), wanted, bits)
     store.run_ranges(asked.mapInArrow(write_sets, store.PACKED_DDL), bits, each, ["n"], [where])
 
     def check(batches):
@@ -636,8 +600,8 @@ def jaccard_links(docs: DataFrame, k: int = 4, percent: int = 85) -> tuple[DataF
     sets = written(signatures(docs, k, percent, bits, frequent), "signatures")
     usable = sets.where("n > 0 AND doc_id IS NOT NULL").withColumn("doc_id", F.col("doc_id").cast("long"))
     reps = written(usable.groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep"), F.min_by("row", "doc_id").alias("row")), "reps")
-    write_lookup(reps.select("row"), bits, first)
-    chosen = among(usable.select("row", F.col("doc_id").alias("rep"), "n", "prefix"), first, bits)
+    store.write_lookup(reps.select("row"), bits, first)
+    chosen = store.among(usable.select("row", F.col("doc_id").alias("rep"), "n", "prefix"), first, bits)
     hot_shingles(chosen, bits, hot)
     meeting_places(chosen, bits, hot, paths, places)
 
@@ -647,7 +611,7 @@ def jaccard_links(docs: DataFrame, k: int = 4, percent: int = 85) -> tuple[DataF
     named = usable.join(reps.select("s1", "s2", "n", "rep"), ["s1", "s2", "n"]).groupBy("doc_id").agg(F.min("rep").alias("low"), F.collect_set("rep").alias("reps"))
     several = named.where(F.size("reps") > 1).select(F.col("doc_id").alias("a"), F.explode("reps").alias("b"))  # documents of several sets
     links = written(links.union(several), "links")
-    write_lookup(connected_components(links).select("node", "component"), bits, labels, "label")
+    store.write_lookup(connected_components(links).select("node", "component"), bits, labels, "label")
 
     rest = all_ranges(spark, bits, lambda r: Places(places, paths, bits, percent, labels).later(r))
     more = over_blocks(hot_blocks(spark, bits, hot, True), lambda key, i, j: Places(places, paths, bits, percent, labels).across(key, i, j))

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from stripmatch.cluster import shared_dir, shuffle_parts
-from stripmatch.llm.textnp import U, release
+from stripmatch.llm.textnp import U, mix, release
 
 HELD = 1_000_000
 
@@ -279,3 +279,53 @@ def run_ranges(packed: DataFrame, bits: int, each: Callable[[int, list], dict[st
 
 def total(rows: list[dict[str, int]], name: str) -> int:
     return sum(row[name] for row in rows)
+
+
+def write_lookup(rows: DataFrame, bits: int, folder: str, column: str | None = None) -> None:
+    """A store of mixed ids (first column), with the second column's values if named."""
+
+    def pack(cols):
+        order = np.argsort(cols["key"], kind="stable")
+        key, value = cols["key"][order], cols["value"][order]
+        return [(r, s.stop - s.start, [key[s].tobytes(), value[s].tobytes()]) for r, s in by_range(key, bits)]
+
+    def run(batches):
+        held = Held(pack, ["key", "value"])
+        for batch in batches:
+            yield from held.add(key=mix(np.array(batch.column(0)).view(U)), value=np.array(batch.column(batch.num_columns - 1)))
+        yield from held.flush()
+
+    def each(r, parts):
+        key, at = np.unique(np.concatenate([np.frombuffer(d[0], U) for _, d in parts]), return_index=True)
+        value = np.concatenate([np.frombuffer(d[1], np.int64) for _, d in parts])[at]
+        write_range(folder, r, key, {column: value} if column else None)
+        return {"n": len(key)}
+
+    run_ranges(rows.mapInArrow(run, PACKED_DDL), bits, each, ["n"], [folder])
+
+
+def among(rows: DataFrame, folder: str, bits: int) -> DataFrame:
+    """The rows whose first column, a long, is in a store that write_lookup wrote: a semi-join without a shuffle."""
+
+    def run(batches):
+        asked = Store(folder, bits)
+        for batch in batches:
+            yield batch.filter(pa.array(_known(asked, batch.column(0))))
+
+    return rows.mapInArrow(run, rows.schema)
+
+
+def without(rows: DataFrame, column: str, folder: str, bits: int) -> DataFrame:
+    """The rows whose `column` is not in such a store (a null never is): an anti-join without a shuffle; all columns are kept."""
+    at = rows.columns.index(column)
+
+    def run(batches):
+        asked = Store(folder, bits)
+        for batch in batches:
+            yield batch.filter(pa.array(~_known(asked, batch.column(at).cast(pa.int64()))))
+
+    return rows.mapInArrow(run, rows.schema)
+
+
+def _known(asked: Store, ids: pa.Array) -> np.ndarray:
+    return asked.find(mix(np.array(ids.fill_null(0)).view(U)))[0] & ~np.asarray(ids.is_null())
