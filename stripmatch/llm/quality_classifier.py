@@ -6,7 +6,9 @@ fit is calibrated to a probability. Training rows come to the driver, at most ab
 parameter), chosen by a hash over all labelled rows; scoring reads every whole text.
 
 Defined cases: null or empty text scores by the intercept; labels that are null are left out; with no rows of one
-class every score is 0.5; repeated rows are scored each; ties at the threshold count as 1; extra columns are dropped.
+class every score is 0.5; repeated rows are scored each, and train as one (the smallest text of their id); ties at the
+threshold count as 1; extra columns are dropped, and kept by `accepted` whatever their names; an empty table gives no
+rows.
 """
 
 from __future__ import annotations
@@ -59,7 +61,7 @@ class Model:
 def dual_descent(indptr: np.ndarray, cols: np.ndarray, vals: np.ndarray, y: np.ndarray, dims: int, cost: float = 1.0, epochs: int = 12, seed: int = 1) -> np.ndarray:
     """The hinge-loss linear SVM of rows of unit length, by coordinate descent on its dual. y: +1 or -1."""
     w, alpha = np.zeros(dims), np.zeros(len(y))
-    square = np.add.reduceat(vals**2, indptr[:-1]) if len(vals) else np.zeros(len(y))
+    square = [float(vals[s:e] @ vals[s:e]) for s, e in zip(indptr[:-1], indptr[1:])]
     rng = np.random.default_rng(seed)
     for _ in range(epochs):
         moved = 0.0
@@ -100,16 +102,19 @@ def fit(sets: list[np.ndarray], y: np.ndarray, blend: float = 0.5) -> Model:
         return Model(np.zeros(dims), np.zeros(dims), 1.0, 0.0)
 
     def ratios(rows):
-        count = [np.bincount(np.concatenate([sets[i] for i in rows if y[i] == k] or [np.zeros(0, np.int32)]), minlength=dims) + 1.0 for k in (1, 0)]
-        return np.log(count[0] / count[0].sum()) - np.log(count[1] / count[1].sum())
+        count = np.ones((2, dims))
+        for i in rows:
+            count[int(y[i] > 0), sets[i]] += 1
+        return np.log(count[1] / count[1].sum()) - np.log(count[0] / count[0].sum())
 
     def train(rows):
         r = ratios(rows)
         indptr = np.concatenate([[0], np.cumsum([len(sets[i]) for i in rows])])
         cols = np.concatenate([sets[i] for i in rows])
-        vals = r[cols]
-        norm = np.sqrt(np.add.reduceat(vals**2, np.minimum(indptr[:-1], max(len(vals) - 1, 0)))) if len(vals) else np.ones(len(rows))
-        w = dual_descent(indptr, cols, vals / np.repeat(np.maximum(norm, 1e-9), np.diff(indptr)), np.where(y[rows] > 0, 1.0, -1.0), dims)
+        vals = r.astype(np.float32)[cols]
+        for s, e in zip(indptr[:-1], indptr[1:]):  # in place: the training rows are most of the driver's memory
+            vals[s:e] /= max(float(np.sqrt(vals[s:e] @ vals[s:e])), 1e-9)
+        w = dual_descent(indptr, cols, vals, np.where(y[rows] > 0, 1.0, -1.0), dims)
         used = w[w != 0]
         w = (1 - blend) * (np.abs(used).mean() if len(used) else 0.0) + blend * w  # towards the plain ratios
         return Model(w * r, r**2, 1.0, 0.0)
@@ -133,7 +138,7 @@ def fit_classifier(docs: DataFrame, labels: DataFrame, folds: int = 5, which: in
     """Learn from labelled rows outside the held-out fold."""
     ship(docs.sparkSession)
     chosen = sampled_labels(labels.where(~held_out(F.col("doc_id"), folds, which)), target, bound)
-    joined = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "label", "text")
+    joined = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("doc_id", "label").agg(F.min("text").alias("text"))
 
     def run(batches):
         for batch in batches:
@@ -150,6 +155,19 @@ def fit_classifier(docs: DataFrame, labels: DataFrame, folds: int = 5, which: in
     return fit([sets[i] for i in order], y[order])
 
 
+def accepted(docs: DataFrame, model: Model, threshold: float = 0.3) -> DataFrame:
+    """The rows of docs that score at least the threshold, all columns kept: judged where they are read, without a shuffle."""
+    ship(docs.sparkSession)
+    at = docs.columns.index("text")
+
+    def run(batches):
+        for batch in batches:
+            ok = [model.score(*features(c), c.n) >= threshold for c in chunks(batch.column(at))]
+            yield batch.filter(pa.array(np.concatenate(ok) if ok else np.zeros(0, bool)))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def classify(docs: DataFrame, model: Model, folds: int = 5, which: int = 0, threshold: float = 0.3) -> DataFrame:
     """One row per document: doc_id, held_out, score, predicted."""
     ship(docs.sparkSession)
