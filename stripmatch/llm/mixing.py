@@ -8,11 +8,13 @@ reaches c. A source that is asked for more than it has starts over; a document i
 within the target. Documents are range-sorted by time.
 
 A hot source is never one task's work: documents are summed by (source, hash bucket), offsets run over the buckets,
-and the order within is made per bucket.
+and the order within is made per bucket. Buckets are beginnings of the hash, as long as it takes to keep them at about
+BUCKET rows; their length changes no result. The windows over all sources have a row per source.
 
 Defined cases: null text has size 0; a null source is a source of its own, last in order; an empty table gives no
 rows; a corpus without words takes nothing; ties of the hash go by doc_id, then size; repeated rows each count; in
-`mixed`, rows of one doc_id are taken equally often.
+`mixed`, rows of one doc_id are taken as often, and at the times, as the one of them that is taken most often; extra
+columns are kept whatever their names.
 """
 
 from __future__ import annotations
@@ -24,6 +26,7 @@ from pyspark.sql.window import Window
 from stripmatch.cluster import written
 
 WEIGHTS, SLOPES = (5.0, 2.0, 1.0), (-0.5, 0.0, 0.5)
+BUCKET = 100_000
 
 
 def words(text: Column) -> Column:
@@ -46,12 +49,15 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, slopes=SLOPES, share: floa
     return level.select("key", "source", "source_size", "weight", "slope", F.coalesce(F.least(F.col("level") * F.col("weight"), F.col("full")), F.col("full")).alias("target"))
 
 
-def plan_mix(docs: DataFrame, weights=WEIGHTS, slopes=SLOPES, share: float = 1.5, cap: float = 2.0) -> DataFrame:
-    """One row per document, range-sorted by its first training time: doc_id, size, source_size, target, copies, taken, position, position_again."""
+def _placed(docs: DataFrame, weights, slopes, share: float, cap: float) -> DataFrame:
+    """One row per document: doc_id, size, source_size, target, copies and the times of its copies (positions)."""
     h = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary"))
     key = F.coalesce(F.concat(F.lit("="), F.col("source").cast("string")), F.lit(""))
     sizes = written(docs.select("doc_id", F.col("source").cast("string").alias("source"), words(F.col("text")).alias("size"), key.alias("key"), h.alias("hash")), "sizes")
-    sizes = sizes.withColumn("bucket", F.substring("hash", 1, 3))
+    n, digits = sizes.count(), 3
+    while 16**digits * BUCKET < n:
+        digits += 1
+    sizes = sizes.withColumn("bucket", F.substring("hash", 1, digits))
     buckets = sizes.groupBy("key", "source", "bucket").agg(F.sum("size").alias("bucket_size"))
     running = Window.partitionBy("key").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
     targets = source_targets(sizes, weights, slopes, share, cap).drop("source", "weight")
@@ -65,14 +71,22 @@ def plan_mix(docs: DataFrame, weights=WEIGHTS, slopes=SLOPES, share: float = 1.5
         u, s = F.least(c / F.col("target"), F.lit(1.0)), F.col("slope")
         return 2 * u / ((1 - s) + F.sqrt((1 - s) * (1 - s) + 4 * s * u))
 
-    out = placed.withColumn("copies", copies).select(
-        "doc_id", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"),
-        F.when(F.col("copies") > 0, time(F.col("start"))).alias("position"), F.when(F.col("copies") > 1, time(F.col("start") + F.col("source_size"))).alias("position_again"))
-    return out.orderBy("position", "doc_id")
+    nth = F.sequence(F.lit(0).cast("long"), F.col("copies") - 1)
+    times = F.when(F.col("copies") > 0, F.transform(nth, lambda k: time(F.col("start") + k * F.col("source_size"))))
+    return placed.withColumn("copies", copies).select("doc_id", "size", "source_size", "target", "copies", times.alias("positions"))
 
 
-def mixed(docs: DataFrame, **how) -> DataFrame:
-    """docs as the mix takes them: those not taken go, those taken twice stand twice. Columns of docs are kept."""
-    taken = plan_mix(docs, **how).groupBy("doc_id").agg(F.max("copies").alias("_copies")).where("_copies > 0")
-    out = docs.join(taken.withColumnRenamed("doc_id", "_id"), docs["doc_id"].eqNullSafe(F.col("_id")))
-    return out.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies").cast("int")))).select(*[docs[c] for c in docs.columns])
+def plan_mix(docs: DataFrame, weights=WEIGHTS, slopes=SLOPES, share: float = 1.5, cap: float = 2.0) -> DataFrame:
+    """One row per document, range-sorted by its first training time: doc_id, size, source_size, target, copies, taken, position, position_again."""
+    out = _placed(docs, weights, slopes, share, cap)
+    first, again = F.get("positions", F.lit(0)), F.get("positions", F.lit(1))
+    return out.select("doc_id", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"), first.alias("position"), again.alias("position_again")).orderBy("position", "doc_id")
+
+
+def mixed(docs: DataFrame, weights=WEIGHTS, slopes=SLOPES, share: float = 1.5, cap: float = 2.0) -> DataFrame:
+    """docs as the mix takes them, range-sorted by training time: those not taken go, each copy of the others stands at its own time. Columns of docs are kept."""
+    plan = _placed(docs, weights, slopes, share, cap).where("copies > 0")
+    taken = plan.groupBy(F.col("doc_id").alias("id")).agg(F.max_by("positions", "copies").alias("times"))
+    row = docs.select(F.struct("*").alias("row"))  # inside a struct, no name of docs can clash
+    joined = row.join(taken, F.col("row.doc_id").eqNullSafe(taken["id"])).select("row", F.explode("times").alias("time"))
+    return joined.orderBy("time", "row.doc_id").select("row.*")
