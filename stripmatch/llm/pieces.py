@@ -10,13 +10,17 @@ substrings of up to the longest piece is probed by hash against the sorted piece
 
 Both give the library's ids. Characters without a piece become byte pieces, or the unknown piece.
 
-Defined cases: null or empty text gives no ids and decodes to the empty text; the escape character U+2581 in a text
+A unit over LONG characters would take that many rounds over all of it; its pairs stand in a heap instead, so that each
+join costs a logarithm.
+
+Defined cases: an empty table gives no rows; null or empty text gives no ids and decodes to the empty text; the escape character U+2581 in a text
 encodes as a space, as in the library, and so such a text does not round-trip; repeated rows are encoded each; extra
 columns are dropped.
 """
 
 from __future__ import annotations
 
+import heapq
 import re
 
 import numpy as np
@@ -28,6 +32,7 @@ from stripmatch.llm.textnp import U, Chunk, chunks, in_sorted
 
 MARK = "▁"
 KEPT = 300_000
+LONG = 256  # characters
 _codecs: dict[str, "Codec"] = {}
 
 
@@ -100,7 +105,8 @@ class Codec:
             place, there = in_sorted(self.keys, h[hit])
             rows, cols = np.divmod(hit[there], length - k + 1)
             piece[rows, cols, k] = place[there]
-        bounds, done = (self._viterbi if self.unigram else self._joined)(piece, n, length, wide)
+        way = self._viterbi if self.unigram else self._joined if length <= LONG else self._joined_long
+        bounds, done = way(piece, n, length, wide)
         out: list[bytes] = [b""] * n
         for rows, ends in zip(done, bounds):  # rows with equally many symbols
             width = ends[:, 1:] - ends[:, :-1]
@@ -143,6 +149,33 @@ class Codec:
             ends = ends[keep].reshape(len(rows), ends.shape[1] - 1)
         return bounds, done
 
+    def _joined_long(self, piece, n, length, wide):
+        score = np.append(self.scores, -np.inf)
+        bounds = []
+        for row in range(n):
+            s = score[piece[row]]  # by start and width
+            after, before = list(range(1, length + 1)), list(range(-1, length - 1))
+            two = s[: length - 1, min(2, wide)] if wide > 1 else np.full(length - 1, -np.inf)
+            heap = [(-two[i], i, i + 2) for i in np.flatnonzero(two > -np.inf).tolist()]
+            heapq.heapify(heap)
+            alive = bytearray(b"\1" * length)
+            while heap:  # the best pair, leftmost on ties; those whose sides have changed are stale
+                _, i, end = heapq.heappop(heap)
+                j = after[i]
+                if not alive[i] or j >= length or after[j] != end:
+                    continue
+                alive[j] = 0
+                after[i] = end
+                if end < length:
+                    before[end] = i
+                for start in (before[i], i):
+                    if start >= 0 and after[start] < length:
+                        stop = after[after[start]]
+                        if stop - start <= wide and s[start, stop - start] > -np.inf:
+                            heapq.heappush(heap, (-s[start, stop - start], start, stop))
+            bounds.append(np.append(np.flatnonzero(np.frombuffer(alive, np.uint8)), length)[None, :])
+        return bounds, [np.array([row]) for row in range(n)]
+
     def _viterbi(self, piece, n, length, wide):
         score = np.append(self.scores, -np.inf)
         best = np.full((n, length + 1), -np.inf)
