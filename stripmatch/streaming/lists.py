@@ -52,6 +52,12 @@ def deduplicated(events: DataFrame, late: str = "1 hour") -> DataFrame:
     return timed(events, "ts").withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
+def split_late(events: DataFrame, late: str = "1 hour", ts: str = "ts", newest: str = "newest") -> tuple[DataFrame, DataFrame]:
+    """(in time, late): by the newest event time that had come before each; the late ones are for a side table."""
+    behind = F.col(ts) < F.col(newest) - F.expr(f"INTERVAL {late}")
+    return events.where(~behind), events.where(behind)
+
+
 def run_to_table(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
     """Run a stream over all that is there and return what it wrote."""
     q = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
