@@ -32,6 +32,8 @@ def shared_dir(spark: SparkSession) -> str:
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if found:
         return found.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("spark.checkpoint.dir is not set: a folder that driver and executors share is needed")
     local = "file:///tmp/checkpoints/stripmatch"
     if not spark.sparkContext.getCheckpointDir():
         spark.sparkContext.setCheckpointDir(local)
@@ -49,6 +51,15 @@ def written(df: DataFrame, what: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def clean(spark: SparkSession, keep: tuple[str, ...] = ("catalog",)) -> int:
+    """Remove what operators have written to the shared folder, but for names that begin with one of `keep`; call it between runs. Back comes how many went."""
+    jvm = spark._jvm
+    root = jvm.org.apache.hadoop.fs.Path(f"{shared_dir(spark)}/stripmatch")
+    fs = root.getFileSystem(spark._jsc.hadoopConfiguration())
+    gone = [s.getPath() for s in (fs.listStatus(root) if fs.exists(root) else []) if not s.getPath().getName().startswith(keep)]
+    return sum(bool(fs.delete(p, True)) for p in gone)
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

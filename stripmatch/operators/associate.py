@@ -79,8 +79,15 @@ def missed_objects(objects: DataFrame, pairs: DataFrame, sources: DataFrame, wid
     return at(objects).join(footprint, ["zone", "cell"], "inner" if by else "left_semi").drop("zone", "cell").join(pairs, [*by, "object_id"], "left_anti")
 
 
+def candidates(objects: DataFrame, pairs: DataFrame, sources: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
+    """What may be new or gone: kind, and the source or the object."""
+    new = unmatched_sources(sources, pairs.drop(*by)).select(*by, F.lit("new").alias("kind"), "source_id", F.lit(None).cast("long").alias("object_id"))
+    gone = missed_objects(objects, pairs, sources, by=by).select(*by, F.lit("gone").alias("kind"), F.lit(None).cast("long").alias("source_id"), "object_id")
+    return new.unionByName(gone)
+
+
 def topology_groups(pairs: DataFrame, by: str | None = None) -> DataFrame:
-    """pairs with the connected group that they belong to (objects and sources are nodes of one graph).
+    """pairs with the connected group that they belong to (objects and sources are nodes of one graph), named by its smallest object.
 
     by: the column that tells lists apart; an object is then a node of each list's graph, and a group is named by list and smallest object.
     """
@@ -92,4 +99,6 @@ def topology_groups(pairs: DataFrame, by: str | None = None) -> DataFrame:
         return named.withColumn("group_id", F.min("object_id").over(Window.partitionBy(by, "component"))).select(*pairs.columns, "group_id")
     nodes = pairs.select((F.col("object_id") * 2).alias("a"), (F.col("source_id") * 2 + 1).alias("b"))
     labels = connected_components(nodes)
-    return pairs.join(labels.withColumn("object_id", F.expr("node div 2")).where("node % 2 = 0").select("object_id", F.col("component").alias("group_id")), "object_id")
+    known = labels.withColumn("object_id", F.expr("node div 2")).where("node % 2 = 0")
+    named = known.join(known.groupBy("component").agg(F.min("object_id").alias("group_id")), "component")
+    return pairs.join(named.select("object_id", "group_id"), "object_id")

@@ -1,28 +1,60 @@
-"""The object catalogue: one directory per declination strip, sorted within, in immutable versions behind a manifest."""
+"""The object catalogue: a directory per declination strip and right-ascension cell, sorted within, in immutable versions behind a manifest."""
 
 from __future__ import annotations
 
 import json
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from stripmatch.functions import sky
-from stripmatch.operators.ids import assign_ids
+from stripmatch.operators.ids import IdCounter, assign_ids
 from stripmatch.schema import SKY_OBJECT, conform
 
+_STORED = StructType([*SKY_OBJECT.fields, StructField("cell", IntegerType())])
+
 
 class Catalog:
     """Readers see the version of the manifest they opened; one writer commits the next by an atomic rename.
 
-    Only touched strips are rewritten; the others stay where an older version put them. width: degrees.
+    A strip is cut into equal cells of right ascension: one at first, more where `split` finds it too full. Only
+    touched cells are rewritten, each by a task of its own; the others stay where an older version put them. width:
+    degrees. The manifest holds, by strip, the number of cells and the version that has each.
     """
 
-    def __init__(self, spark: SparkSession, root: str, width: float = 1.0, sort: bool = True, block_mb: int = 32):
-        self.spark, self.root, self.width, self.sort, self.block_mb = spark, root.rstrip("/"), width, sort, block_mb
+    def __init__(self, spark: SparkSession, root: str, width: float = 1.0, sort: bool = True, block_mb: int = 32, bloom: bool = False):
+        self.spark, self.root, self.width, self.sort, self.block_mb, self.bloom = spark, root.rstrip("/"), width, sort, block_mb, bloom
         self.state = self._latest() or {"version": 0, "next_id": 0, "strips": {}}
 
+    @property
+    def ids(self) -> IdCounter:
+        """The counter that the manifest keeps: no table is read for the next id."""
+        return IdCounter(self.state["next_id"])
+
+    def cells_in(self, strip: Column) -> Column:
+        """How many cells a strip has."""
+        cut = {int(k): v["cells"] for k, v in self.state["strips"].items() if v["cells"] > 1}
+        if not cut:
+            return F.lit(1)
+        return F.coalesce(F.element_at(F.create_map(*[F.lit(x) for kv in cut.items() for x in kv]), strip), F.lit(1))
+
+    def cell_of(self, ra: Column, strip: Column) -> Column:
+        n = self.cells_in(strip)
+        return F.least(F.floor(F.pmod(ra, F.lit(360.0)) * n / 360.0), n - 1).cast("int")
+
+    def touched(self, sources: DataFrame, r: float | str = 1.0) -> list[tuple[int, int]]:
+        """The (strip, cell) that a list touches: no more values than the catalogue has cells, and one for each strip it lacks."""
+        radius = (F.col(r) if isinstance(r, str) else F.lit(float(r))) / F.lit(3600.0)
+        s = sources.select("ra_deg", "dec_deg", radius.alias("r_deg")).withColumn("strip", F.explode(sky.strips_touched("dec_deg", F.col("r_deg"), self.width)))
+        half, n = sky.ra_halfwidth("dec_deg", F.col("r_deg")) + sky.PAD, self.cells_in(F.col("strip"))
+        lo, hi = F.floor((F.col("ra_deg") - half) * n / 360.0), F.floor((F.col("ra_deg") + half) * n / 360.0)
+        all_round = F.sequence(F.lit(0).cast("long"), (n - 1).cast("long"))
+        cells = F.when(hi - lo + 1 >= n, all_round).otherwise(F.transform(F.sequence(lo, hi), lambda c: F.pmod(c, n.cast("long"))))
+        rows = s.withColumn("cell", F.explode(cells)).select("strip", F.col("cell").cast("int").alias("cell")).distinct().collect()
+        return sorted((x["strip"], x["cell"]) for x in rows)
+
     # the manifest, through Hadoop's file system so that any store works
     def _fs(self):
         jvm = self.spark._jvm
@@ -48,35 +80,70 @@ class Catalog:
             raise RuntimeError("another writer committed this version")
         self.state = state
 
-    def strips(self, wanted: list[int]) -> DataFrame:
-        """The rows of some strips: only their directories are read."""
-        paths = [f"{self.root}/v={self.state['strips'][str(s)]}/strip={s}" for s in wanted if str(s) in self.state["strips"]]
+    def cells(self, wanted: list[tuple[int, int]]) -> DataFrame:
+        """The rows of some (strip, cell): only their directories are read."""
+        held = self.state["strips"]
+        paths = [f"{self.root}/v={v}/strip={s}/cell={c}" for s, c in wanted if (v := held.get(str(s), {"v": {}})["v"].get(str(c))) is not None]
         if not paths:
             return self.spark.createDataFrame([], SKY_OBJECT)
-        return conform(self.spark.read.option("basePath", self.root).parquet(*paths), SKY_OBJECT)
+        return conform(self.spark.read.schema(_STORED).option("basePath", self.root).parquet(*paths), SKY_OBJECT)
+
+    def strips(self, wanted: list[int]) -> DataFrame:
+        """The rows of whole strips."""
+        return self.cells([(s, int(c)) for s in wanted for c in self.state["strips"].get(str(s), {"v": {}})["v"]])
 
     def all(self) -> DataFrame:
         return self.strips([int(s) for s in self.state["strips"]])
 
-    def commit(self, rows: DataFrame, touched: list[int], next_id: int | None = None) -> None:
-        """Replace the touched strips by rows (all of which lie in them)."""
-        version = self.state["version"] + 1
-        ready = conform(rows, SKY_OBJECT).repartition(F.col("strip"))
-        ready = ready.sortWithinPartitions("strip", "mean_dec_deg") if self.sort else ready
-        ready.write.option("parquet.block.size", self.block_mb << 20).partitionBy("strip").parquet(f"{self.root}/v={version}")
-        # a strip that has lost all its rows has no directory
-        jvm, fs = self._fs()
-        written = {s.getPath().getName().removeprefix("strip=") for s in fs.listStatus(jvm.org.apache.hadoop.fs.Path(f"{self.root}/v={version}")) if s.isDirectory()}
-        strips = {k: v for k, v in self.state["strips"].items() if int(k) not in touched} | {k: version for k in written}
-        self._publish({"version": version, "next_id": self.state["next_id"] if next_id is None else next_id, "strips": strips})
+    def commit(self, rows: DataFrame, touched: list[tuple[int, int]], next_id: int | None = None, cut: dict[int, int] | None = None) -> None:
+        """Replace the touched cells by rows (all of which lie in them). cut: new numbers of cells of strips that are replaced whole."""
+        version, state = self.state["version"] + 1, json.loads(json.dumps(self.state))
+        for strip, n in (cut or {}).items():
+            state["strips"][str(strip)] = {"cells": n, "v": {}}
+        before, self.state = self.state, state
+        try:
+            self._write(rows, touched, version, state, next_id)
+        except BaseException:
+            self.state = before
+            raise
+
+    def _write(self, rows, touched, version, state, next_id) -> None:
+        for strip, cell in touched:
+            state["strips"].get(str(strip), {"v": {}})["v"].pop(str(cell), None)
+        ready = conform(rows, SKY_OBJECT).withColumn("cell", self.cell_of(F.col("mean_ra_deg"), F.col("strip")))
+        ready = ready.repartition("strip", "cell")
+        ready = ready.sortWithinPartitions("strip", "cell", "mean_dec_deg") if self.sort else ready
+        out = ready.write.option("parquet.block.size", self.block_mb << 20)
+        if self.bloom:
+            out = out.option("parquet.bloom.filter.enabled#object_id", "true")
+        out.partitionBy("strip", "cell").parquet(f"{self.root}/v={version}")
+        jvm, fs = self._fs()  # a cell that has lost all its rows has no directory
+        for found in fs.globStatus(jvm.org.apache.hadoop.fs.Path(f"{self.root}/v={version}/strip=*/cell=*")) or []:
+            strip, cell = (p.split("=")[1] for p in found.getPath().toString().rsplit("/", 2)[1:])
+            state["strips"].setdefault(strip, {"cells": 1, "v": {}})["v"][cell] = version
+        state["strips"] = {k: v for k, v in state["strips"].items() if v["v"] or v["cells"] > 1}
+        self._publish(state | {"version": version, "next_id": state["next_id"] if next_id is None else next_id})
 
     def strip_stats(self) -> DataFrame:
         """Rows of each strip: growth control."""
         return self.all().groupBy("strip").agg(F.count(F.lit(1)).alias("objects"))
 
-    def split_if(self, limit: int) -> DataFrame:
-        """Strips above the limit and the right-ascension cells that would bring them below it."""
-        return self.strip_stats().where(F.col("objects") > limit).withColumn("cells", F.ceil(F.col("objects") / limit))
+    def table_stats(self, column: str = "mean_dec_deg") -> DataFrame:
+        """Count, mean, extremes and scatter of a column, strip by strip, as storage would keep them."""
+        return self.all().groupBy("strip").agg(F.count(column).alias("n"), F.avg(column).alias("mean"), F.min(column).alias("low"), F.max(column).alias("high"), F.stddev_samp(column).alias("scatter"))
+
+    def split(self, limit: int) -> dict[int, int]:
+        """Cut strips whose cells would hold more than limit rows into as many cells as bring them below it, in powers of two."""
+        cut = {}
+        for x in self.strip_stats().where(F.col("objects") > limit).collect():  # at most 180 / width rows
+            n = 1
+            while n * limit < x["objects"]:
+                n *= 2
+            if n > self.state["strips"][str(x["strip"])]["cells"]:
+                cut[x["strip"]] = n
+        if cut:
+            self.commit(self.strips(list(cut)), [], cut=cut)
+        return cut
 
 
 def new_objects(sources: DataFrame, start: int, width: float = 1.0) -> DataFrame:

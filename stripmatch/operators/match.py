@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -18,6 +19,7 @@ from stripmatch.cluster import ship
 from stripmatch.functions import sky
 
 SMALL_LIST = 500_000
+FINE, CELL = 1 / 60, 1.0  # degrees of the join key
 ARCSEC = 1 / 3600.0
 
 
@@ -75,21 +77,69 @@ def match_zones(sources: DataFrame, objects: DataFrame, r: float | str = 1.0, wi
     right = _positions(objects).withColumn("zone", sky.strip_of("dec_deg", width))
     keys = ["zone"]
     if cell:
-        n = int(np.ceil(360 / cell))
+        n = max(1, round(360 / cell))
+        cell = 360 / n  # cells divide the circle
         lo, hi = F.floor((F.col("s_ra") - F.col("half")) / cell), F.floor((F.col("s_ra") + F.col("half")) / cell)
         every = F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long"))
         cells = F.when(F.col("half") * 2 + 2 * cell >= 360, every).otherwise(F.array_distinct(F.transform(F.sequence(lo, hi), lambda c: F.floor(F.pmod(c * cell + cell / 2, F.lit(360.0)) / cell))))
-        left = left.withColumn("cell", F.explode(F.when(F.lit(360 % cell != 0), every).otherwise(cells)))
+        left = left.withColumn("cell", F.explode(cells))
         right = right.withColumn("cell", F.floor(F.pmod(F.col("ra_deg"), F.lit(360.0)) / cell))
         keys.append("cell")
     return _pairs(right.join(left, keys).where(in_box() & _close(threshold)))
 
 
 def match_strips(sources: DataFrame, catalog, r: float | str = 1.0, width: float = 1.0) -> DataFrame:
-    """The partitioned form: only the strips that the list touches are read, then joined by strip."""
+    """The partitioned form: only the strips that the list touches are read; within them the join is by arcminute and cell.
+
+    A strip is the unit of storage. As a join key it would set every source against all of its strip (match_strip_key).
+    """
+    return match_zones(sources, slice_for(sources, catalog, r, width), r, FINE, CELL)
+
+
+def match_strip_key(sources: DataFrame, catalog, r: float | str = 1.0, width: float = 1.0) -> DataFrame:
+    """The same, joined by the strip itself: to measure what the finer key is worth."""
     return match_zones(sources, slice_for(sources, catalog, r, width), r, width)
 
 
+def match_probe(sources: DataFrame, catalog, r: float | str = 1.0, width: float = 1.0) -> DataFrame:
+    """Range probes: each batch of a touched strip, sorted by declination as it is stored, is searched for both ends of every source's range.
+
+    The list goes to all tasks, so it must be small; a longer one takes match_strips.
+    """
+    own = prepared(sources, r).select("source_id", "s_ra", "s_dec", "sx", "sy", "sz", "r_deg", "half", "most").limit(SMALL_LIST + 1).toPandas().sort_values("s_dec")
+    if len(own) > SMALL_LIST:
+        return match_strips(sources, catalog, r, width)
+    ends = [np.floor((own["s_dec"] + way * (own["r_deg"] + sky.PAD)).clip(-90.0, 90.0) / width).astype(int) for way in (-1, 1)]
+    strips = sorted({s for lo, hi in set(zip(*ends)) for s in range(lo, hi + 1)})
+    held = strips_of(catalog, strips)
+    ids = own.pop("source_id").to_numpy()
+    s_ra, s_dec, sx, sy, sz, r_deg, half, most = own.to_numpy(np.float64).T
+    reach = float(r_deg.max()) + sky.PAD if len(ids) else 0.0
+
+    def probe(batches):
+        for batch in batches:
+            o = [np.asarray(batch.column(i)) for i in range(6)]
+            if not batch.num_rows or not len(ids):
+                continue
+            if (np.diff(o[2]) < 0).any():  # a batch may begin in one cell and end in the next
+                order = np.argsort(o[2], kind="stable")
+                o = [x[order] for x in o]
+            dec = o[2]
+            a, b = np.searchsorted(s_dec, dec[0] - reach, "left"), np.searchsorted(s_dec, dec[-1] + reach, "right")
+            lo = np.searchsorted(dec, s_dec[a:b] - r_deg[a:b] - sky.PAD, "left")
+            size = np.searchsorted(dec, s_dec[a:b] + r_deg[a:b] + sky.PAD, "right") - lo
+            i = np.repeat(np.arange(a, b), size)
+            j = np.repeat(lo, size) + np.arange(len(i)) - np.repeat(np.cumsum(size) - size, size)
+            near = np.abs((o[1][j] - s_ra[i] + 540.0) % 360.0 - 180.0) <= half[i]
+            i, j = i[near], j[near]
+            d2 = (o[3][j] - sx[i]) ** 2 + (o[4][j] - sy[i]) ** 2 + (o[5][j] - sz[i]) ** 2
+            ok = d2 < most[i]
+            yield pa.RecordBatch.from_arrays([pa.array(o[0][j[ok]]), pa.array(ids[i[ok]]), pa.array(d2[ok])], ["object_id", "source_id", "d2"])
+
+    pairs = _positions(held).mapInArrow(probe, "object_id long, source_id long, d2 double")
+    return pairs.select("object_id", "source_id", F.round(sky.sep_arcsec("d2"), 6).alias("sep_arcsec"))
+
+
 def touched_strips(sources: DataFrame, r: float | str, width: float = 1.0) -> list[int]:
     """The strips that a list touches: at most 180 / width values."""
     rows = sources.select(F.explode(sky.strips_touched("dec_deg", _radius(r), width)).alias("strip")).distinct().collect()
@@ -98,7 +148,11 @@ def touched_strips(sources: DataFrame, r: float | str, width: float = 1.0) -> li
 
 def slice_for(sources: DataFrame, catalog, r: float | str, width: float = 1.0) -> DataFrame:
     """The catalogue's rows in those strips, by literal partition values. catalog: a DataFrame with strip, or a Catalog."""
-    strips = touched_strips(sources, r, width)
+    return strips_of(catalog, touched_strips(sources, r, width))
+
+
+def strips_of(catalog, strips: list[int]) -> DataFrame:
+    """The rows of some strips of a DataFrame or a Catalog, with the columns of objects."""
     df = catalog.strips(strips) if hasattr(catalog, "strips") else catalog.where(F.col("strip").isin(strips) if strips else F.lit(False))
     return df if "object_id" in df.columns and "ra_deg" in df.columns else df.withColumnsRenamed({"mean_ra_deg": "ra_deg", "mean_dec_deg": "dec_deg"})
 
@@ -158,6 +212,27 @@ class Forest:
     def __init__(self, leaf: int = 16):
         self.trees: list[tuple[Tree, np.ndarray]] = []
         self.leaf, self.rebuilt = leaf, 0
+        self.gone: set[int] = set()
+
+    def remove(self, ids: np.ndarray) -> None:
+        """Drop points; a tree that has lost half of its own is rebuilt without them, smaller losses are only masked."""
+        self.gone |= set(ids.tolist())
+        for k, (tree, own) in enumerate(self.trees):
+            lost = np.isin(own, list(self.gone))
+            if 2 * lost.sum() > len(own):
+                self.gone -= set(own[lost].tolist())
+                self.rebuilt += int((~lost).sum())
+                self.trees[k] = Tree(tree.points[~lost], self.leaf), own[~lost]
+
+    def update(self, points: np.ndarray, ids: np.ndarray) -> None:
+        """Move points: the old places go, the new ones are inserted."""
+        for k, (tree, own) in enumerate(self.trees):
+            lost = np.isin(own, ids)
+            if lost.any():
+                self.rebuilt += int((~lost).sum())
+                self.trees[k] = Tree(tree.points[~lost], self.leaf), own[~lost]
+        self.gone -= set(ids.tolist())
+        self.insert(points, ids)
 
     def insert(self, points: np.ndarray, ids: np.ndarray) -> None:
         while self.trees and len(self.trees[-1][1]) <= len(ids):
@@ -167,11 +242,37 @@ class Forest:
         self.trees.append((Tree(points, self.leaf), ids))
 
     def near(self, p: np.ndarray, chord: float) -> np.ndarray:
-        return np.concatenate([ids[t.near(p, chord)] for t, ids in self.trees] or [np.zeros(0, np.int64)])
+        found = np.concatenate([ids[t.near(p, chord)] for t, ids in self.trees] or [np.zeros(0, np.int64)])
+        return found[~np.isin(found, list(self.gone))] if self.gone else found
+
+
+class GrowingTree:
+    """One tree over points that come in batches. rebuild: never (later points are searched one by one), every (at each
+    batch), ratio (when the points outside exceed a quarter of those inside)."""
+
+    def __init__(self, rebuild: str = "ratio", leaf: int = 16):
+        if rebuild not in ("never", "every", "ratio"):
+            raise ValueError(rebuild)
+        self.rebuild, self.leaf, self.rebuilt = rebuild, leaf, 0
+        self.tree, self.points, self.ids = Tree(np.zeros((0, 3)), leaf), np.zeros((0, 3)), np.zeros(0, np.int64)
+
+    def insert(self, points: np.ndarray, ids: np.ndarray) -> None:
+        self.points, self.ids = np.concatenate([self.points, points]), np.concatenate([self.ids, ids])
+        inside = len(self.tree.points)
+        outside = len(self.points) - inside
+        if not inside or self.rebuild == "every" or (self.rebuild == "ratio" and 4 * outside > inside):
+            self.tree = Tree(self.points, self.leaf)
+            self.rebuilt += len(self.points)
+
+    def near(self, p: np.ndarray, chord: float) -> np.ndarray:
+        inside = len(self.tree.points)
+        d = self.points[inside:] - p
+        late = inside + np.flatnonzero((d * d).sum(axis=1) < chord * chord)
+        return self.ids[np.concatenate([self.tree.near(p, chord), late]).astype(int)]
 
 
-def match_tree(sources: DataFrame, objects: DataFrame, r: float = 1.0, width: float = 1.0, forest: bool = False) -> DataFrame:
-    """Tree-index baseline: one tree (or a forest fed in batches) per strip, probed by that strip's sources."""
+def match_tree(sources: DataFrame, objects: DataFrame, r: float = 1.0, width: float = 1.0, forest: bool = False, rebuild: str | None = None) -> DataFrame:
+    """Tree-index baseline: one tree per strip, probed by that strip's sources. A forest, or a tree with a policy of rebuilding, is fed in batches."""
     ship(sources.sparkSession)
     chord = 2 * np.sin(np.radians(r * ARCSEC) / 2)
     left = prepared(sources, r).withColumn("zone", F.explode(sky.strips_touched("s_dec", F.col("r_deg"), width))).select("zone", "source_id", "sx", "sy", "sz")
@@ -179,8 +280,8 @@ def match_tree(sources: DataFrame, objects: DataFrame, r: float = 1.0, width: fl
 
     def probe(own: pd.DataFrame, held: pd.DataFrame) -> pd.DataFrame:
         ids, points = held["object_id"].to_numpy(), held[["x", "y", "z"]].to_numpy()
-        index = Forest()
-        step = max(1, len(ids) // 7) if forest else max(1, len(ids))
+        index = GrowingTree(rebuild) if rebuild else Forest()
+        step = max(1, len(ids) // 7) if forest or rebuild else max(1, len(ids))
         for i in range(0, len(ids), step):
             index.insert(points[i : i + step], ids[i : i + step])
         out = [(o, s, *p) for s, *p in own[["source_id", "sx", "sy", "sz"]].itertuples(index=False) for o in index.near(np.array(p), chord)]

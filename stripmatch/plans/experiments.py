@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import subprocess
 import sys
 import time
 import uuid
@@ -38,18 +39,70 @@ def layouts(sources: DataFrame, objects: DataFrame, widths=WIDTHS, r: float = 1.
     return spark.createDataFrame(rows, "width double, dense boolean, threshold string, n_pairs long")
 
 
-def modules(spark: SparkSession, detections: DataFrame, images: list[int]) -> tuple[DataFrame, DataFrame]:
-    """A cold start by either module: (speed-up per step, totals with the overhead)."""
-    logs, totals = None, None
+def module_logs(spark: SparkSession, detections: DataFrame, images: list[int]) -> tuple[DataFrame, dict[str, float]]:
+    """A cold start by either module: (the log of both, seconds of each as a whole)."""
+    logs, took = None, {}
     for mode in ("baseline", "strips"):
         log, began = metrics.QueryLog(mode), time.perf_counter()
         pipeline.build_up(spark, detections, images, mode=mode, log=log)
+        took[mode] = time.perf_counter() - began
         frame = log.frame(spark)
-        total = metrics.totals(frame, time.perf_counter() - began)
-        logs, totals = (frame, total) if logs is None else (logs.union(frame), totals.union(total))
+        logs = frame if logs is None else logs.union(frame)
+    return logs, took
+
+
+def modules(spark: SparkSession, detections: DataFrame, images: list[int]) -> tuple[DataFrame, DataFrame]:
+    """A cold start by either module: (speed-up per query, totals with the overhead)."""
+    logs, took = module_logs(spark, detections, images)
+    totals = None
+    for mode, seconds in took.items():
+        one = metrics.totals(logs.where(F.col("run_id") == mode), seconds)
+        totals = one if totals is None else totals.union(one)
     return metrics.speedup(logs.withColumn("step", F.col("query")), "baseline", "strips"), totals
 
 
+def module_counts(spark: SparkSession, detections: DataFrame, images: list[int]) -> DataFrame:
+    """What both modules log, image by image, but for the seconds: they must agree."""
+    logs, _ = module_logs(spark, detections, images)
+    of = lambda q: F.max(F.when(F.col("query") == q, F.col("rows_out")))
+    return logs.groupBy("run_id", "image_id").agg(F.max("n_database").alias("n_database"), of("match").alias("n_pairs"), of("resolve").alias("n_kept"), of("new objects").alias("n_new"))
+
+
+def large_match(spark: SparkSession, n_objects: int, n_sources: int, r: float = 1.0) -> dict[str, float]:
+    """Seconds of the baseline and of the partitioned match of a list against a catalogue of n_objects even on the sky, as stored."""
+    u = lambda seed: F.rand(seed)
+    place = spark.range(0, n_objects, 1, 64).select(F.col("id").alias("object_id"), (u(1) * 360).alias("ra_deg"), F.degrees(F.asin(2 * u(2) - 1)).alias("dec_deg"))
+    objects = place.select("*", *sky.unit_vector("ra_deg", "dec_deg"), sky.strip_of("dec_deg").alias("strip"))
+    cat = catalog.Catalog(spark, _folder(spark, "catalog-large"))
+    cat.commit(objects.select("object_id", F.lit(-1).cast("long").alias("first_source_id"), F.lit(1).alias("datapoints"), F.lit(True).alias("active"), F.col("ra_deg").alias("mean_ra_deg"), F.col("dec_deg").alias("mean_dec_deg"), "x", "y", "z", "strip"), [])
+    field = cat.all().where("mean_dec_deg BETWEEN 10.1 AND 10.9").orderBy("object_id").limit(n_sources)
+    source = field.select(F.col("object_id").alias("source_id"), F.col("mean_ra_deg").alias("ra_deg"), (F.col("mean_dec_deg") + 0.2 / 3600).alias("dec_deg"))
+    source = written(source.select("*", *sky.unit_vector("ra_deg", "dec_deg")), "list")
+    whole = cat.all().withColumnsRenamed({"mean_ra_deg": "ra_deg", "mean_dec_deg": "dec_deg"})
+    ways = {"probe": lambda: match.match_probe(source, cat, r), "strips": lambda: match.match_strips(source, cat, r), "baseline": lambda: match.match_baseline(source, whole, r)}
+    took, found = {}, {}
+    for name, way in ways.items():
+        for _ in range(1 if name == "baseline" else 3):  # the first compiles
+            began = time.perf_counter()
+            found[name] = way().count()
+            took[name] = min(took.get(name, 1e9), time.perf_counter() - began)
+    if len(set(found.values())) != 1:
+        raise AssertionError(found)
+    return {k: round(v, 3) for k, v in took.items()} | {"speedup": round(took["baseline"] / min(took["strips"], took["probe"]), 1)}
+
+
+def resources(sf: str, cores=(1, 2, 4), memory=("1g", "2g", "4g"), query: str = "match_all_images") -> list[tuple[int, str, float, int]]:
+    """(cores, driver memory, seconds, rows) of a query in sessions of its own: the classes of nodes."""
+    code = "import sys, time; from pyspark.sql import SparkSession; from stripmatch import workloads; s = SparkSession.builder.master(f'local[{sys.argv[1]}]').config('spark.driver.memory', sys.argv[2]).config('spark.ui.enabled', 'false').getOrCreate(); b = time.perf_counter(); n = workloads.queries()[sys.argv[4]](s, sys.argv[3]).count(); print('took', time.perf_counter() - b, n)"
+    out = []
+    for c in cores:
+        for m in memory:
+            ran = subprocess.run([sys.executable, "-c", code, str(c), m, sf, query], capture_output=True, text=True, check=True)
+            seconds, n = next(x.split()[1:] for x in ran.stdout.splitlines() if x.startswith("took"))
+            out.append((c, m, float(seconds), int(n)))
+    return out
+
+
 def loading(spark: SparkSession, detections: DataFrame, images: list[int]) -> DataFrame:
     """Seconds of a bulk and of a row-wise load against the size of the table that they grow."""
     log, size = metrics.QueryLog("loading"), 0
@@ -91,8 +144,11 @@ def main(sf: str) -> None:
     log.frame(spark).select("step", "query", "seconds", "rows_out").show(40, False)
     for frame in modules(spark, detections, [0, 1, 2]):
         frame.show(40, False)
+    print(large_match(spark, 2_000_000, 7_000))
     metrics.scaling_class(loading(spark, detections, list(range(12)))).select("query", "slope_n", "per_row", "class").show(40, False)
     spark.stop()
+    for row in resources(sf):
+        print(*row)
 
 
 if __name__ == "__main__":

@@ -14,8 +14,8 @@ from stripmatch.schema import QUERY_LOG
 class QueryLog:
     """Wall time per query per image, held by the driver (a row per query)."""
 
-    def __init__(self, run_id: str):
-        self.run_id, self.rows = run_id, []
+    def __init__(self, run_id: str, count: bool = True):
+        self.run_id, self.rows, self.count = run_id, [], count
 
     def record(self, step: str, query: str, image_id: int, seconds: float, rows_out: int = 0, rows_scanned: int = 0, n_database: int = 0) -> None:
         self.rows.append((self.run_id, image_id, step, query, float(seconds), int(rows_out), int(rows_scanned), int(n_database)))
@@ -23,7 +23,9 @@ class QueryLog:
     def timed(self, step: str, query: str, image_id: int, call, **more):
         began = time.perf_counter()
         out = call()
-        self.record(step, query, image_id, time.perf_counter() - began, rows_out=out if isinstance(out, int) else 0, **more)
+        seconds = time.perf_counter() - began
+        rows = out if isinstance(out, int) else out.count() if self.count and isinstance(out, DataFrame) else 0  # a written table's: from its footers
+        self.record(step, query, image_id, seconds, rows_out=rows, **more)
         return out
 
     def frame(self, spark: SparkSession) -> DataFrame:

@@ -13,51 +13,62 @@ from stripmatch.operators import associate, catalog, lightcurve, match
 from stripmatch.plans.metrics import QueryLog
 
 
-def step_image(cat: catalog.Catalog, sources: DataFrame, image_id: int, r: float = 1.0, mode: str = "strips", policy: str = "nearest", mean_mode: str = "vector", log: QueryLog | None = None) -> DataFrame:
-    """One image against the catalogue, committed as its next version. Returns the image's light-curve rows.
+def step_image(cat: catalog.Catalog, sources: DataFrame, image_id: int, r: float = 1.0, mode: str = "strips", policy: str = "nearest", mean_mode: str = "vector", one_to_many: str = "merge", target: str | None = None, log: QueryLog | None = None) -> DataFrame:
+    """One image against the catalogue, committed as its next version. Returns the image's light-curve rows, appended to target if named.
 
-    mode strips reads only the strips that the list touches; baseline compares with the whole catalogue.
+    mode strips reads only the cells that the list touches; baseline compares with the whole catalogue. one_to_many:
+    merge gives all sources of an object to its light curve; fork founds an object for each, with the parent's history
+    (read from target) and statistics, and sets the parent inactive.
     """
-    log = log or QueryLog("run")
-    size = cat.state["next_id"]
-    strips = match.touched_strips(sources, r, cat.width)
-    held = (cat.all() if mode == "baseline" else cat.strips(strips)).where("active")
+    log, ids = log or QueryLog("run", count=False), cat.ids
+    size = ids.value
+    near = cat.touched(sources, r)
+    held = (cat.all() if mode == "baseline" else cat.cells(near)).where("active")
     held = held.withColumnsRenamed({"mean_ra_deg": "ra_deg", "mean_dec_deg": "dec_deg"})
-    find = match.match_baseline if mode == "baseline" else (lambda s, o, radius: match.match_zones(s, o, radius, 1 / 60, 1.0))
+    find = match.match_baseline if mode == "baseline" else (lambda s, o, radius: match.match_zones(s, o, radius, match.FINE, match.CELL))
     pairs = log.timed("associate", "match", image_id, lambda: written(find(sources, held, r), "pairs"), n_database=size)
     resolved = log.timed("associate", "resolve", image_id, lambda: written(associate.resolve(pairs, policy), "resolved"), n_database=size)
     fresh = associate.unmatched_sources(sources, pairs)
     new = log.timed("associate", "new objects", image_id, lambda: written(catalog.new_objects(fresh, size, cat.width), "new"), n_database=size)
-    n_new = new.count()
+    ids.take(new.count())
+    old, kept, inherited = cat.cells(near), resolved, None
+    if one_to_many == "fork":
+        children = written(associate.fork(resolved, ids.value), "children")
+        ids.take(children.count())
+        old = written(associate.fork_objects(old, children), "forked")
+        moved_to = children.select(F.col("object_id").alias("child"), F.col("parent_id").alias("_p"), F.col("source_id").alias("_s"))
+        kept = resolved.join(moved_to, (resolved["object_id"] == F.col("_p")) & (resolved["source_id"] == F.col("_s")), "left").withColumn("object_id", F.coalesce("child", "object_id")).select(resolved.columns)
+        if target is not None and size:
+            inherited = associate.fork_history(lightcurve.table(cat.spark, target).drop("added"), children)
+    elif one_to_many != "merge":
+        raise ValueError(one_to_many)
     founding = new.select("object_id", F.col("first_source_id").alias("source_id"), F.lit(0.0).alias("sep_arcsec"), F.lit("none").alias("topology"))
-    curve = written(lightcurve.points(resolved.select("object_id", "source_id", "sep_arcsec", "topology").union(founding), sources), "curve")
-    moved = resolved.select("object_id", "source_id").join(sources.select("source_id", "ra_deg", "dec_deg", "x", "y", "z"), "source_id")
+    curve = lightcurve.with_strip(lightcurve.points(kept.select("object_id", "source_id", "sep_arcsec", "topology").union(founding), sources), sources, cat.width)
+    curve = curve if inherited is None else curve.unionByName(inherited)
+    if target is not None:
+        log.timed("associate", "light curves", image_id, lambda: lightcurve.append(curve, target, image_id), n_database=size)
+    moved = kept.select("object_id", "source_id").join(sources.select("source_id", "ra_deg", "dec_deg", "x", "y", "z"), "source_id")
 
     def update():
-        old = cat.strips(strips)
         rows = written(catalog.update_stats(old, moved, cat.width, mean_mode).unionByName(new), "objects")
-        touched = sorted({x["strip"] for x in rows.select("strip").distinct().collect()} | set(strips))
-        beyond = [s for s in touched if s not in strips]  # a mean crossed into a strip that was not read
-        if beyond:
-            rows = rows.unionByName(cat.strips(beyond))
-        cat.commit(rows, touched, size + n_new)
-        return n_new
+        at = rows.select("strip", cat.cell_of(F.col("mean_ra_deg"), F.col("strip")).alias("cell")).distinct().collect()  # at most the catalogue's cells
+        touched = sorted({(x["strip"], x["cell"]) for x in at} | set(near))
+        beyond = [c for c in touched if c not in near]  # a mean crossed into a cell that was not read
+        cat.commit(rows.unionByName(cat.cells(beyond)) if beyond else rows, touched, ids.value)
+        return ids.value - size
 
     log.timed("associate", "update and commit", image_id, update, n_database=size)
     return curve
 
 
-def build_up(spark: SparkSession, detections: DataFrame, images: list[int], r: float = 1.0, mode: str = "strips", root: str | None = None, log: QueryLog | None = None, policy: str = "nearest") -> tuple[catalog.Catalog, DataFrame]:
-    """A cold start over images in order: the catalogue and all light-curve rows."""
+def build_up(spark: SparkSession, detections: DataFrame, images: list[int], r: float = 1.0, mode: str = "strips", root: str | None = None, log: QueryLog | None = None, policy: str = "nearest", one_to_many: str = "merge") -> tuple[catalog.Catalog, DataFrame]:
+    """A cold start over images in order: the catalogue and the light-curve table, to which each image appends."""
     root = root or f"{shared_dir(spark)}/stripmatch/catalog-{uuid.uuid4().hex}"
-    cat, curves = catalog.Catalog(spark, root), []
+    cat, target = catalog.Catalog(spark, root), f"{root}-lightcurve"
     for i in images:
         sources = written(detections.where(F.col("image_id") == i), "list")
-        curves.append(step_image(cat, sources, i, r, mode, policy, log=log))
-    out = curves[0]
-    for c in curves[1:]:
-        out = out.unionByName(c)
-    return cat, out
+        step_image(cat, sources, i, r, mode, policy, one_to_many=one_to_many, target=target, log=log)
+    return cat, lightcurve.table(spark, target)
 
 
 def waves(footprints: dict[int, set]) -> list[list[int]]:
@@ -76,6 +87,18 @@ def footprints(detections: DataFrame, r: float = 1.0, width: float = 1.0) -> Dat
     return detections.select("image_id", F.explode(sky.strips_touched("dec_deg", r / 3600, width)).alias("strip")).distinct()
 
 
+def in_waves(detections: DataFrame, objects: DataFrame, r: float = 1.0) -> DataFrame:
+    """Images matched wave by wave: those of a wave touch no common strip and are one job. The same pairs as one by one."""
+    touched: dict[int, set] = {}
+    for x in footprints(detections, r).collect():  # at most images times strips
+        touched.setdefault(x["image_id"], set()).add(x["strip"])
+    out = None
+    for k, wave in enumerate(waves(touched)):
+        part = match.match_zones(detections.where(F.col("image_id").isin(wave)), objects, r, match.FINE, match.CELL).withColumn("wave", F.lit(k))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 def parallel_fields(detections: DataFrame, objects: DataFrame, bands: list[tuple[float, float]], r: float = 1.0) -> DataFrame:
     """Disjoint declination bands matched in one job; the same as one by one."""
     out = None

@@ -63,9 +63,11 @@ def known_objects(spark: SparkSession, sf_dir: str, last: int) -> DataFrame:
 
 
 def exposures(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One header row per image, with attributes of the month's orders."""
-    li = read_table(spark, sf_dir, "lineitem").select(image_of(F.col("l_shipdate")).alias("image_id"), (F.lit(49718.0) + F.datediff(F.col("l_shipdate"), F.lit("1995-01-01").cast("date"))).alias("mjd"))
-    o = read_table(spark, sf_dir, "orders").select(image_of(F.col("o_orderdate")).alias("image_id"), "o_orderpriority", "o_totalprice")
-    seen = li.groupBy("image_id").agg(F.min("mjd").alias("mjd_min"), F.max("mjd").alias("mjd_max"), F.count(F.lit(1)).alias("n_sources"))
-    told = o.groupBy("image_id").agg(F.min("o_orderpriority").alias("band"), F.round(F.avg("o_totalprice"), 2).alias("exptime"), F.count(F.lit(1)).alias("order_count"))
+    """One header row of fifteen fields per image, with attributes of the month's orders."""
+    li = read_table(spark, sf_dir, "lineitem").select(image_of(F.col("l_shipdate")).alias("image_id"), "l_partkey", "l_linestatus", "l_returnflag", "l_quantity", "l_extendedprice", "l_discount", (F.lit(49718.0) + F.datediff(F.col("l_shipdate"), F.lit("1995-01-01").cast("date"))).alias("mjd"))
+    o = read_table(spark, sf_dir, "orders").select(image_of(F.col("o_orderdate")).alias("image_id"), "o_orderkey", "o_orderpriority", "o_totalprice")
+    seen = li.groupBy("image_id").agg(F.min("mjd").alias("mjd_min"), F.max("mjd").alias("mjd_max"), F.count(F.lit(1)).alias("n_sources"),
+        F.count_distinct("l_partkey").alias("n_objects"), F.count_if(F.col("l_linestatus") == "F").alias("n_finished"), F.min("l_extendedprice").alias("flux_min"), F.max("l_extendedprice").alias("flux_max"),
+        F.sum("l_quantity").alias("area_sum"), F.max("l_discount").alias("ellipticity_max"), F.min("l_returnflag").alias("first_quality"))
+    told = o.groupBy("image_id").agg(F.min("o_orderpriority").alias("band"), F.round(F.avg("o_totalprice"), 2).alias("exptime"), F.count(F.lit(1)).alias("order_count"), F.max("o_orderkey").alias("last_order"))
     return seen.join(told, "image_id", "left")

@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from stripmatch.cluster import clean
 from stripmatch.functions.sky import with_position
-from stripmatch.schema import DETECTION, conform
+from stripmatch.schema import DETECTION, EXPOSURE, conform
 from stripmatch.sources.fits_table import FitsTableSource
 
 
@@ -40,12 +41,15 @@ def load_rowwise(rows: DataFrame, target: str) -> None:
 
 
 def register_exposures(headers: DataFrame, target: str) -> None:
-    """Many headers in one write: a file per image would be as dear as a statement per image."""
-    headers.coalesce(1).write.mode("append").parquet(target)
+    """Many headers in one write, checked against the schema: a file per image would be as dear as a statement per image."""
+    conform(headers, EXPOSURE).write.mode("append").parquet(target)
 
 
-def cleanup(spark: SparkSession, views: list[str] = (), frames: list[DataFrame] = ()) -> None:
+def cleanup(spark: SparkSession, views: list[str] = (), frames: list[DataFrame] = (), written: bool = False) -> None:
+    """Drop the views and cached frames of a load, and all that operators have written to the shared folder if asked."""
     for v in views:
         spark.catalog.dropTempView(v)
     for f in frames:
         f.unpersist()
+    if written:
+        clean(spark)

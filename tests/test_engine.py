@@ -9,7 +9,7 @@ from stripmatch.plans import experiments, metrics, pipeline
 from stripmatch.sources import fits_table, fixtures, ingest
 
 SF = "/root/testdata/sf0.001"
-CHECKED = ["match_strips_image", "match_cells_image", "match_strip_catalog_image", "resolve_nearest", "unmatched_sources", "missed_objects", "catalog_update_one_image", "lightcurve_points", "max_id_footer", "cone_search", "measure_backlog", "customer_supplier_match", "rows_touched", "bench_layouts"]
+CHECKED = ["match_probe_image", "match_strip_key_image", "match_tree_ratio_rebuilt_image", "match_tree_never_rebuilt_image", "match_split_catalog_all_images", "match_in_waves", "catalogue_statistics", "exposure_headers", "topology_groups", "topology_groups_all_images", "catalog_buildup_3", "bench_modules", "bench_loading", "bench_tree", "stream_ingest", "transient_candidates", "lightcurves_of_cone", "lightcurves_of_box", "match_strips_image", "match_cells_image", "match_strip_catalog_image", "resolve_nearest", "unmatched_sources", "missed_objects", "catalog_update_one_image", "lightcurve_points", "max_id_footer", "cone_search", "measure_backlog", "customer_supplier_match", "rows_touched", "bench_layouts"]
 
 
 @pytest.fixture(scope="module")
@@ -70,9 +70,67 @@ def test_build_up_invariants(spark, tmp_path):
         m = np.mean([pos[s] for s in c.source_id[c.object_id == x.object_id]], axis=0)
         assert np.abs(m / np.linalg.norm(m) - (x.x, x.y, x.z)).max() < 1e-8
     before = catalog.Catalog(spark, f"file://{tmp_path}/cat")
-    assert before.state == cat.state
-    base, _ = pipeline.build_up(spark, d, [0, 1, 2], mode="baseline", root=f"file://{tmp_path}/base")
-    assert base.all().count() == len(o)
+    assert before.state == cat.state and cat.ids.value == len(o)
+    cut = cat.split(4)  # growth control: the same rows in smaller cells, and the next image goes on from there
+    assert cut and cat.all().toPandas().sort_values("object_id").object_id.tolist() == sorted(o.object_id)
+    sizes = cat.all().withColumn("cell", cat.cell_of(F.col("mean_ra_deg"), F.col("strip"))).groupBy("strip", "cell").count().toPandas()
+    assert len(sizes) > o.strip.nunique()
+    sources = d.where("image_id = 3")
+    pipeline.step_image(cat, sources, 3, target=f"file://{tmp_path}/cat-lightcurve")
+    one, _ = pipeline.build_up(spark, d, [0, 1, 2, 3], root=f"file://{tmp_path}/one")
+    key = lambda c: sorted((x.first_source_id, x.datapoints, x.strip) for x in c.all().collect())
+    assert key(cat) == key(one) and set(cat.touched(sources)) != {(s, 0) for s, _ in cat.touched(sources)}
+
+
+def test_forking_loop(spark, tmp_path):
+    """Each source of a one-to-many pair founds an object with its parent's history; the parent goes inactive."""
+    d = fixtures.detections(spark, SF)
+    cat, curve = pipeline.build_up(spark, d, [0, 1], root=f"file://{tmp_path}/fork", one_to_many="fork")
+    o, c = cat.all().toPandas(), curve.toPandas()
+    n = c.groupby("object_id").size()
+    assert o.object_id.is_unique and (~o.active).any() and cat.ids.value == len(o)
+    assert o.set_index("object_id").datapoints.sort_index().to_dict() == n.to_dict()
+
+
+def test_forest_updates():
+    from stripmatch.operators.match import Forest, GrowingTree
+
+    rng = np.random.default_rng(5)
+    x = rng.normal(size=(900, 3))
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    f = Forest()
+    for i in range(0, 900, 100):
+        f.insert(x[i : i + 100], np.arange(i, i + 100))
+    f.remove(np.arange(0, 900, 7))
+    moved = x[1:900:7][:, [1, 2, 0]]
+    f.update(moved, np.arange(1, 900, 7))
+    now = x.copy()
+    now[1:900:7] = moved
+    left = np.setdiff1d(np.arange(900), np.arange(0, 900, 7))
+    for p in now[:40]:
+        want = left[((now[left] - p) ** 2).sum(axis=1) < 0.09]
+        assert sorted(f.near(p, 0.3)) == want.tolist()
+    for rebuild in ("never", "every", "ratio"):
+        t = GrowingTree(rebuild)
+        for i in range(0, 900, 100):
+            t.insert(x[i : i + 100], np.arange(i, i + 100))
+        assert sorted(t.near(x[0], 0.3)) == np.flatnonzero(((x - x[0]) ** 2).sum(axis=1) < 0.09).tolist()
+        assert t.rebuilt == {"never": 100, "every": 4500}.get(rebuild, t.rebuilt) and 100 <= t.rebuilt <= 4500
+
+
+def test_strips_are_joined_by_a_fine_key(spark, tmp_path):
+    cat = workloads._static_catalog(spark, SF)
+    plan = workloads.match.match_strips(fixtures.detections(spark, SF, 40), cat)._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan and "zone" in plan and "cell" in plan and "NestedLoop" not in plan
+
+
+def test_clean(spark):
+    from stripmatch import cluster
+
+    kept = cluster.written(spark.range(3), "left-over")
+    assert kept.count() == 3 and cluster.clean(spark, keep=("catalog", "other")) >= 1
+    with pytest.raises(Exception):
+        spark.read.parquet(*kept.inputFiles()).count()
 
 
 def test_full_build_up_takes_every_image(spark, monkeypatch):
