@@ -6,12 +6,15 @@ import os
 import tempfile
 import uuid
 import zipfile
+from collections.abc import Iterator
+from contextlib import contextmanager
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 _PACKAGE = Path(__file__).resolve().parent
 _shipped: set[str] = set()
+_scratch: list[list[str]] = []
 
 
 def ship(spark: SparkSession) -> None:
@@ -40,13 +43,33 @@ def shared_dir(spark: SparkSession) -> str:
     return local
 
 
+def note(path: str) -> str:
+    """Remember a folder that belongs to the scratch in force, if any."""
+    for s in _scratch[-1:]:
+        s.append(path)
+    return path
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """What operators write to the shared folder within it goes at its end. Nothing lazy that reads it may be used later."""
+    _scratch.append([])
+    try:
+        yield
+    finally:
+        jvm = spark._jvm
+        for path in _scratch.pop():
+            p = jvm.org.apache.hadoop.fs.Path(path)
+            p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
+
+
 def written(df: DataFrame, what: str) -> DataFrame:
     """Cut the lineage of df: write it as Parquet into the shared folder and read it back.
 
     Unlike a local checkpoint it outlives any executor. The folder is unique to the call.
     """
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/stripmatch/{what}-{uuid.uuid4().hex}"
+    path = note(f"{shared_dir(spark)}/stripmatch/{what}-{uuid.uuid4().hex}")
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

@@ -131,6 +131,13 @@ def test_clean(spark):
     assert kept.count() == 3 and cluster.clean(spark, keep=("catalog", "other")) >= 1
     with pytest.raises(Exception):
         spark.read.parquet(*kept.inputFiles()).count()
+    with cluster.scratch(spark):
+        inner = cluster.written(spark.range(4), "inner")
+        assert inner.count() == 4
+    outer = cluster.written(spark.range(5), "outer")
+    with pytest.raises(Exception):
+        spark.read.parquet(*inner.inputFiles()).count()
+    assert outer.count() == 5
 
 
 def test_full_build_up_takes_every_image(spark, monkeypatch):
