@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stripmatch.cluster import shared_dir, shuffle_parts
+from stripmatch.cluster import note, shared_dir, shuffle_parts
 from stripmatch.llm.textnp import U, mix, release
 
 HELD = 1_000_000
@@ -33,7 +33,7 @@ def range_bits(spark: SparkSession) -> int:
 
 
 def new_folder(spark: SparkSession, what: str) -> str:
-    return f"{shared_dir(spark)}/stripmatch/{what}-{uuid.uuid4().hex}"
+    return note(f"{shared_dir(spark)}/stripmatch/{what}-{uuid.uuid4().hex}")
 
 
 def _local(uri: str) -> str | None:
