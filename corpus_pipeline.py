@@ -14,7 +14,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stripmatch.cluster import read_table, written
+from stripmatch.cluster import read_table, scratch, written
 from stripmatch.llm import store
 from stripmatch.llm.mixing import mixed
 from stripmatch.llm.pieces import encode
@@ -33,9 +33,10 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep the smallest doc_id of each group of documents that 5-word shingles link at 0.8 or more, and rows without an id."""
-    groups = jaccard_components(docs, k=5, percent=80)
     bits, folder = store.range_bits(spark), store.new_folder(spark, "copies")
-    store.write_lookup(groups.where("doc_id <> component_id").select(F.col("doc_id").cast("long")), bits, folder)
+    with scratch(spark):  # the join's stores are several times the ids that come out of it
+        groups = jaccard_components(docs, k=5, percent=80)
+        store.write_lookup(groups.where("doc_id <> component_id").select(F.col("doc_id").cast("long")), bits, folder)
     return store.without(docs, "doc_id", folder, bits)
 
 
