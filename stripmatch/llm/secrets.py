@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from bisect import bisect_left
 from collections import Counter
 from collections.abc import Iterator
 from math import log2
@@ -40,7 +41,8 @@ _HINTS = (b"passw", b"secret", b"token", b"api")
 _HEX = np.isin(np.arange(256), list(b"0123456789abcdef"))
 _BEGIN = re.compile(rb"-----BEGIN [A-Z ]*PRIVATE KEY-----")
 _END = re.compile(rb"-----END [A-Z ]*PRIVATE KEY-----")
-_WEB = re.compile(rb"eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}")
+# Tried once in a run of its letters, at the run's first eyJ: later ones end at the same dot. So long runs cost one walk.
+_WEB = re.compile(rb"(?<![A-Za-z0-9_-])(?>[A-Za-z0-9_-]*?(?=eyJ))(eyJ[A-Za-z0-9_-]{8,}+\.[A-Za-z0-9_-]{8,}+\.[A-Za-z0-9_-]{8,}+)")
 _BEARER = re.compile(rb"bearer\x20+([A-Za-z0-9._~+/=-]{16,})", re.I)
 _MIXED = re.compile(rb"[A-Za-z0-9+/_-]{20,}={0,2}")
 Span = tuple[int, int, int, bytes]  # start, kind, end (bytes of the text), value
@@ -78,7 +80,7 @@ def further_spans(raw: bytes, words: list[tuple[int, int]], base: list[Span]) ->
     if b"PRIVATE KEY-----" in raw:
         found += private_spans(raw)
     if b"eyJ" in raw:
-        found += [(m.start(), 4, m.end(), m[0]) for m in _WEB.finditer(raw)]
+        found += [(m.start(1), 4, m.end(1), m[1]) for m in _WEB.finditer(raw)]
     if b"earer" in raw or b"EARER" in raw:
         found += [(m.start(1), 5, m.end(1), m[1]) for m in _BEARER.finditer(raw)]
     for s, e in words:
@@ -86,11 +88,18 @@ def further_spans(raw: bytes, words: list[tuple[int, int]], base: list[Span]) ->
             v = m[0]
             if re.search(rb"[0-9]", v) and re.search(rb"[a-z]", v) and re.search(rb"[A-Z]", v) and entropy(v) >= 3.5:
                 found.append((m.start(), 6, m.end(), v))
-    out, taken = [], [(s, e) for s, _, e, _ in base]
+    starts, ends = [], []  # what base spans cover, as disjoint stretches
+    for s, _, e, _ in base:
+        if ends and s <= ends[-1]:
+            ends[-1] = max(ends[-1], e)
+        else:
+            starts.append(s), ends.append(e)
+    out, end = [], 0
     for span in sorted(found):
-        if all(span[2] <= s or span[0] >= e for s, e in taken):
+        i = bisect_left(starts, span[2]) - 1  # the last stretch that begins before the span ends
+        if span[0] >= end and (i < 0 or ends[i] <= span[0]):
             out.append(span)
-            taken.append((span[0], span[2]))
+            end = span[2]
     return out
 
 
