@@ -32,6 +32,7 @@ from stripmatch.llm.textnp import U, Chunk, chunks, in_sorted
 
 MARK = "▁"
 KEPT = 300_000
+LONG = 256  # bytes; longer units are not kept, so the table's memory is bounded
 LONG = 256  # characters
 _codecs: dict[str, "Codec"] = {}
 
@@ -231,7 +232,11 @@ class Codec:
             wanted.update(u)
         self.learn(wanted)
         get = self.known.__getitem__
-        return [np.frombuffer(b"".join(map(get, u)), np.int32) for u in cut]
+        out = [np.frombuffer(b"".join(map(get, u)), np.int32) for u in cut]
+        for u in wanted:
+            if len(u) > LONG:
+                del self.known[u]
+        return out
 
     def decode(self, ids: np.ndarray) -> bytes:
         """The text of ids; a leading dummy space goes."""

@@ -25,6 +25,7 @@ from stripmatch.cluster import ship
 from stripmatch.llm.textnp import chunks
 
 KEPT = 400_000
+LONG = 256  # bytes; longer pieces are not kept, so the tables' memory is bounded
 #: The pre-tokenizer's pattern, on lower-case ASCII without white space. Fixed value.
 _ASCII = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^a-z0-9]+")
 _counters: dict[str, "WholeTokenCounter"] = {}
@@ -73,6 +74,8 @@ class WholeTokenCounter(dict):
             return 1
         n = self.merged.get(text)
         if n is None:
+            if len(text) > LONG:
+                return len(self.model.tokenize(text))
             if len(self.merged) >= KEPT:
                 self.merged.clear()
             n = self.merged[text] = len(self.model.tokenize(text))
@@ -82,6 +85,8 @@ class WholeTokenCounter(dict):
         n = self.before.get(piece)
         if n is None:
             n = self.worked_out(piece)
+        if len(piece) > LONG:
+            return n
         if len(self) >= KEPT:  # two generations: frequent pieces stay
             self.before = dict(self)
             self.clear()

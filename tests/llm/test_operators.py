@@ -69,6 +69,24 @@ def test_long_units_equal_the_library():
         assert pieces.codec(path).encode_many([t.encode()])[0].tolist() == s.encode(t)
 
 
+def test_long_units_and_pieces_are_counted_but_not_kept():
+    import sentencepiece
+    from tokenizers import Tokenizer
+
+    rng = random.Random(4)
+    word_path, piece_path = queries.tokenizer_file("word_bpe_49k.json"), queries.tokenizer_file("piece_bpe_32k.model")
+    words, t = token_counts.counter(word_path), Tokenizer.from_file(word_path)
+    codec, s = pieces.codec(piece_path), sentencepiece.SentencePieceProcessor(model_file=piece_path)
+    for alphabet in ("etaoin", "aé0-", "x1!y"):
+        long = "".join(rng.choice(alphabet) for _ in range(5000))
+        text = f"a {long} b {long} c"
+        for _ in range(2):
+            assert words.count(text.encode()) == len(t.encode(text, add_special_tokens=False).ids)
+            assert codec.encode_many([text.encode(), b"", text.encode()])[2].tolist() == s.encode(text)
+    assert max(map(len, words)) <= token_counts.LONG and max(map(len, words.merged)) <= token_counts.LONG
+    assert max(map(len, codec.known)) <= pieces.LONG
+
+
 def test_viterbi_equals_brute_force():
     from sentencepiece import sentencepiece_model_pb2 as pb
 
