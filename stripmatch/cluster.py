@@ -63,15 +63,17 @@ def scratch(spark: SparkSession) -> Iterator[None]:
             p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
-def written(df: DataFrame, what: str) -> DataFrame:
+def written(df: DataFrame, what: str, by: str | None = None) -> DataFrame:
     """Cut the lineage of df: write it as Parquet into the shared folder and read it back.
 
-    Unlike a local checkpoint it outlives any executor. The folder is unique to the call.
+    Unlike a local checkpoint it outlives any executor. The folder is unique to the call. by: a column with a directory
+    for each of its values, so that a reader of one value reads no other.
     """
     spark = df.sparkSession
     path = note(f"{shared_dir(spark)}/stripmatch/{what}-{uuid.uuid4().hex}")
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    (df.write if by is None else df.repartition(by).write.partitionBy(by)).parquet(path)
+    back = spark.read.schema(df.schema).parquet(path)
+    return back if by is None else back.select(df.columns)  # reading puts that column last
 
 
 def clean(spark: SparkSession, keep: tuple[str, ...] = ("catalog",)) -> int:

@@ -96,7 +96,10 @@ class Catalog:
         return self.strips([int(s) for s in self.state["strips"]])
 
     def commit(self, rows: DataFrame, touched: list[tuple[int, int]], next_id: int | None = None, cut: dict[int, int] | None = None) -> None:
-        """Replace the touched cells by rows (all of which lie in them). cut: new numbers of cells of strips that are replaced whole."""
+        """Replace the touched cells by rows. cut: new numbers of cells of strips that are replaced whole.
+
+        Rows may lie beyond those cells (a mean that crossed an edge): a cell that was not replaced keeps its rows and gets these.
+        """
         version, state = self.state["version"] + 1, json.loads(json.dumps(self.state))
         for strip, n in (cut or {}).items():
             state["strips"][str(strip)] = {"cells": n, "v": {}}
@@ -113,17 +116,27 @@ class Catalog:
         ready = conform(rows, SKY_OBJECT).withColumn("cell", self.cell_of(F.col("mean_ra_deg"), F.col("strip")))
         ready = ready.repartition("strip", "cell")
         ready = ready.sortWithinPartitions("strip", "cell", "mean_dec_deg") if self.sort else ready
-        out = ready.write.option("parquet.block.size", self.block_mb << 20)
-        if self.bloom:
-            out = out.option("parquet.bloom.filter.enabled#object_id", "true")
-        out.partitionBy("strip", "cell").parquet(f"{self.root}/v={version}")
+        attempt = f"{version}-{uuid.uuid4().hex[:8]}"  # what a writer that failed has left is never read
+        target = f"{self.root}/v={attempt}"
+        self._put(ready, target)
         jvm, fs = self._fs()  # a cell that has lost all its rows has no directory
-        for found in fs.globStatus(jvm.org.apache.hadoop.fs.Path(f"{self.root}/v={version}/strip=*/cell=*")) or []:
-            strip, cell = (p.split("=")[1] for p in found.getPath().toString().rsplit("/", 2)[1:])
-            state["strips"].setdefault(strip, {"cells": 1, "v": {}})["v"][cell] = version
+        found = fs.globStatus(jvm.org.apache.hadoop.fs.Path(f"{target}/strip=*/cell=*")) or []
+        has = [tuple(p.split("=")[1] for p in x.getPath().toString().rsplit("/", 2)[1:]) for x in found]
+        beyond = [(int(s), int(c)) for s, c in has if state["strips"].get(s, {"v": {}})["v"].get(c) is not None]
+        if beyond:  # rows came into cells that were not read
+            kept = self.cells(beyond).withColumn("cell", self.cell_of(F.col("mean_ra_deg"), F.col("strip")))
+            self._put(kept.repartition("strip", "cell").sortWithinPartitions("strip", "cell", "mean_dec_deg") if self.sort else kept, target)
+        for strip, cell in has:
+            state["strips"].setdefault(strip, {"cells": 1, "v": {}})["v"][cell] = attempt
         state["strips"] = {k: v for k, v in state["strips"].items() if v["v"] or v["cells"] > 1}
         self._publish(state | {"version": version, "next_id": state["next_id"] if next_id is None else next_id})
 
+    def _put(self, rows: DataFrame, target: str) -> None:
+        out = rows.write.mode("append").option("parquet.block.size", self.block_mb << 20)
+        if self.bloom:
+            out = out.option("parquet.bloom.filter.enabled#object_id", "true")
+        out.partitionBy("strip", "cell").parquet(target)
+
     def strip_stats(self) -> DataFrame:
         """Rows of each strip: growth control."""
         return self.all().groupBy("strip").agg(F.count(F.lit(1)).alias("objects"))

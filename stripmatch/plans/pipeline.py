@@ -50,11 +50,7 @@ def step_image(cat: catalog.Catalog, sources: DataFrame, image_id: int, r: float
     moved = kept.select("object_id", "source_id").join(sources.select("source_id", "ra_deg", "dec_deg", "x", "y", "z"), "source_id")
 
     def update():
-        rows = written(catalog.update_stats(old, moved, cat.width, mean_mode).unionByName(new), "objects")
-        at = rows.select("strip", cat.cell_of(F.col("mean_ra_deg"), F.col("strip")).alias("cell")).distinct().collect()  # at most the catalogue's cells
-        touched = sorted({(x["strip"], x["cell"]) for x in at} | set(near))
-        beyond = [c for c in touched if c not in near]  # a mean crossed into a cell that was not read
-        cat.commit(rows.unionByName(cat.cells(beyond)) if beyond else rows, touched, ids.value)
+        cat.commit(catalog.update_stats(old, moved, cat.width, mean_mode).unionByName(new), near, ids.value)
         return ids.value - size
 
     log.timed("associate", "update and commit", image_id, update, n_database=size)
@@ -62,12 +58,15 @@ def step_image(cat: catalog.Catalog, sources: DataFrame, image_id: int, r: float
 
 
 def build_up(spark: SparkSession, detections: DataFrame, images: list[int], r: float = 1.0, mode: str = "strips", root: str | None = None, log: QueryLog | None = None, policy: str = "nearest", one_to_many: str = "merge") -> tuple[catalog.Catalog, DataFrame]:
-    """A cold start over images in order: the catalogue and the light-curve table, to which each image appends."""
+    """A cold start over images in order: the catalogue and the light-curve table, to which each image appends.
+
+    The lists are written once, a directory an image, so that no image reads another's rows.
+    """
     root = root or f"{shared_dir(spark)}/stripmatch/catalog-{uuid.uuid4().hex}"
     cat, target = catalog.Catalog(spark, root), f"{root}-lightcurve"
+    lists = written(detections.where(F.col("image_id").isin(images)), "lists", by="image_id")
     for i in images:
-        sources = written(detections.where(F.col("image_id") == i), "list")
-        step_image(cat, sources, i, r, mode, policy, one_to_many=one_to_many, target=target, log=log)
+        step_image(cat, lists.where(F.col("image_id") == i), i, r, mode, policy, one_to_many=one_to_many, target=target, log=log)
     return cat, lightcurve.table(spark, target)
 
 

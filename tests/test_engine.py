@@ -82,6 +82,19 @@ def test_build_up_invariants(spark, tmp_path):
     assert key(cat) == key(one) and set(cat.touched(sources)) != {(s, 0) for s, _ in cat.touched(sources)}
 
 
+def test_commit_beyond_the_cells_read(spark, tmp_path):
+    """Rows that moved into a cell that was not read join those that it holds; a failed attempt's files are never read."""
+    cat = catalog.Catalog(spark, f"file://{tmp_path}/moved")
+    at = lambda k, dec: (k, k, 1, True, 10.0, dec, 0.0, 0.0, 1.0, int(dec))
+    rows = lambda *r: spark.createDataFrame(list(r), "object_id long, first_source_id long, datapoints int, active boolean, mean_ra_deg double, mean_dec_deg double, x double, y double, z double, strip int")
+    cat.commit(rows(at(0, 1.5), at(1, 1.6), at(2, 2.5), at(3, 3.5)), [], 4)
+    (tmp_path / "moved" / "v=2-dead" / "strip=1" / "cell=0").mkdir(parents=True)
+    (tmp_path / "moved" / "v=2-dead" / "strip=1" / "cell=0" / "part.parquet").write_bytes(b"cut short")
+    cat.commit(rows(at(0, 1.5), at(1, 2.1)), [(1, 0)], 4)
+    got = {(x.object_id, x.strip) for x in catalog.Catalog(spark, cat.root).all().collect()}
+    assert got == {(0, 1), (1, 2), (2, 2), (3, 3)} and cat.state["version"] == 2
+
+
 def test_forking_loop(spark, tmp_path):
     """Each source of a one-to-many pair founds an object with its parent's history; the parent goes inactive."""
     d = fixtures.detections(spark, SF)
