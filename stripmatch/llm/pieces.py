@@ -28,13 +28,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from stripmatch.cluster import ship
-from stripmatch.llm.textnp import U, Chunk, chunks, in_sorted
+from stripmatch.llm.textnp import U, Chunk, chunks, in_sorted, kept
 
 MARK = "▁"
 KEPT = 300_000
 LONG = 256  # bytes; longer units are not kept, so the table's memory is bounded
 LONG = 256  # characters
-_codecs: dict[str, "Codec"] = {}
 
 
 class Codec:
@@ -249,9 +248,7 @@ class Codec:
 
 
 def codec(path: str) -> Codec:
-    if path not in _codecs:
-        _codecs[path] = Codec(path)
-    return _codecs[path]
+    return kept(path, lambda: Codec(path))
 
 
 def encode(docs: DataFrame, model_path: str) -> DataFrame:

@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from stripmatch.cluster import ship, written
 from stripmatch.llm import store
-from stripmatch.llm.textnp import _MULT, U, Chunk, chunks, mix
+from stripmatch.llm.textnp import _MULT, U, Chunk, chunks, mix, release
 from stripmatch.operators.components import connected_components
 
 FREQUENT, SMALL, CLASSES = 24, 8, 1024
@@ -117,8 +117,8 @@ def signatures(docs: DataFrame, k: int, percent: int, bits: int, frequent: str)
     return found.withColumn("row", F.monotonically_increasing_id())
 
 
-def hot_shingles(sets: DataFrame, bits: int, folder: str) -> None:
-    """Write the shingles that are in the prefixes of more than LIMIT sets, with their number. sets: row, rep, n, prefix."""
+def hot_shingles(sets: DataFrame, bits: int, first: str, folder: str) -> None:
+    """Write the shingles that are in the prefixes of more than LIMIT sets, with their number. sets: row, rep, n, prefix, of which those with a row in first count."""
 
     def pack(cols):
         u, n = np.unique(cols["key"], return_counts=True)
@@ -126,7 +126,7 @@ def hot_shingles(sets: DataFrame, bits: int, folder: str) -> None:
 
     def run(batches):
         held = store.Held(pack, ["key"])
-        for batch in batches:
+        for batch in store.among(batches, first, bits):
             place = np.frombuffer(b"".join(batch.column(3).to_pylist()), U)
             yield from held.add(key=place[place >> U(54) >= U(LIMIT)] << U(10))
         yield from held.flush()
@@ -145,10 +145,11 @@ def block_key(key: np.ndarray, block: np.ndarray, bits: int) -> np.ndarray:
     return store.trimmed(mix(key + block.astype(U) * _MULT[33]), bits, PLACE_BYTES)
 
 
-def meeting_places(sets: DataFrame, bits: int, hot: str, paths: str, folder: str) -> None:
+def meeting_places(sets: DataFrame, bits: int, first: str, hot: str, paths: str, folder: str) -> None:
     """Write each partition's prefixes (the paths of the trees), and by shingle the paths that pass through it.
 
-    The sets of a hot shingle are dealt to blocks of about LIMIT, each a meeting place of its own. sets: row, rep, n, prefix.
+    The sets of a hot shingle are dealt to blocks of about LIMIT, each a meeting place of its own. sets: row, rep, n, prefix,
+    of which those with a row in first count.
     """
 
     def pack(cols):
@@ -160,7 +161,7 @@ def meeting_places(sets: DataFrame, bits: int, hot: str, paths: str, folder: str
     def run(batches):
         held, blocks = store.Held(pack, ["key", "idx", "pos"]), store.Store(hot, bits, {"n": "i8"})
         part, done, kept = TaskContext.get().partitionId(), 0, ([], [], [], [])
-        for batch in batches:
+        for batch in store.among(batches, first, bits):
             raw = batch.column(3).to_pylist()
             size = np.array([len(p) // 8 for p in raw], np.int64)
             tok = np.frombuffer(b"".join(raw), U)
@@ -489,6 +490,7 @@ def all_ranges(spark, bits: int, each) -> DataFrame:
         for batch in batches:
             for r in batch.column(0).to_pylist():
                 yield from edge_batches(each(int(r)))
+        release()
 
     return spark.range(0, 1 << bits, 1, 1 << bits).mapInArrow(run, "a long, b long")
 
@@ -516,6 +518,7 @@ def over_blocks(blocks: DataFrame, each) -> DataFrame:
         for batch in batches:
             for key, i, j in zip(np.asarray(batch.column(0)).view(U), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
                 yield from edge_batches(each(key, i, j))
+        release()
 
     return blocks.mapInArrow(run, "a long, b long")
 
@@ -535,7 +538,7 @@ def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int, bits: int)
         """A partition's wanted sets in one file; of repeated rows one."""
         held, seen, kept, at = store.Held(pack, ["key", "first", "size", "part"]), set(), [], 0
         part = TaskContext.get().partitionId()
-        for batch in batches:
+        for batch in store.among(batches, wanted, bits):
             ids = np.asarray(batch.column(0))
             for c in chunks(batch.column(1)):
                 doc, s = shingle_sets(c, k)
@@ -550,6 +553,8 @@ def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int, bits: int)
         yield from held.flush()
         if kept:
             store.put(sets, f"tok-{part}", np.concatenate(kept).tobytes())
+            kept.clear()
+        release()
 
     def each(r, parts):
         cols = [np.concatenate([np.frombuffer(d[i], k) for _, d in parts]) for i, k in enumerate((U, np.int64, np.int64, np.int64))]
@@ -558,8 +563,8 @@ def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int, bits: int)
         store.write_range(where, r, key, {"first": first, "size": size, "part": part})
         return {"n": len(key)}
 
-    asked = store.among(docs.select(F.col("doc_id").cast("long").alias("id"), "text"), wanted, bits)
-    store.run_ranges(asked.mapInArrow(write_sets, store.PACKED_DDL), bits, each, ["n"], [where])
+    rows = docs.select(F.col("doc_id").cast("long").alias("id"), "text")
+    store.run_ranges(rows.mapInArrow(write_sets, store.PACKED_DDL), bits, each, ["n"], [where])
 
     def check(batches):
         place, held = store.Files(where), store.Files(sets)
@@ -583,6 +588,7 @@ def verified(docs: DataFrame, pairs: DataFrame, k: int, percent: int, bits: int)
                 theirs = of(b)
                 found.append(any(linked(x, y) for x in own for y in theirs))
             yield batch.filter(pa.array(found, pa.bool_()))
+        release()
 
     return written(pairs.repartition(1 << bits, "a", "b").sortWithinPartitions("a", "b").mapInArrow(check, "a long, b long"), "links")
 
@@ -601,9 +607,9 @@ def jaccard_links(docs: DataFrame, k: int = 4, percent: int = 85) -> tuple[DataF
     usable = sets.where("n > 0 AND doc_id IS NOT NULL").withColumn("doc_id", F.col("doc_id").cast("long"))
     reps = written(usable.groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep"), F.min_by("row", "doc_id").alias("row")), "reps")
     store.write_lookup(reps.select("row"), bits, first)
-    chosen = store.among(usable.select("row", F.col("doc_id").alias("rep"), "n", "prefix"), first, bits)
-    hot_shingles(chosen, bits, hot)
-    meeting_places(chosen, bits, hot, paths, places)
+    prefixes = usable.select("row", F.col("doc_id").alias("rep"), "n", "prefix")
+    hot_shingles(prefixes, bits, first, hot)
+    meeting_places(prefixes, bits, first, hot, paths, places)
 
     pairs = all_ranges(spark, bits, lambda r: Places(places, paths, bits, percent).first(r))
     tops = over_blocks(hot_blocks(spark, bits, hot, False), lambda key, n, _: Places(places, paths, bits, percent).heads(key, n))

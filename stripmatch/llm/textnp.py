@@ -9,11 +9,13 @@ from __future__ import annotations
 
 import ctypes
 import gc
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from typing import Any
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import TaskContext
 
 CHUNK = 1 << 20
 U = np.uint64
@@ -122,8 +124,25 @@ def chunks(texts: pa.Array, size: int = CHUNK, most: int = 1000) -> Iterator[Chu
     release()
 
 
+_kept: dict[str, tuple[int, Any]] = {}
+
+
+def _stage() -> int:
+    task = TaskContext.get()
+    return -1 if task is None else task.stageId()
+
+
+def kept(name: str, make: Callable[[], Any]) -> Any:
+    """What tasks of one stage share in a worker: made by the first of them, gone once a task of another stage calls release."""
+    if name not in _kept or _kept[name][0] != _stage():
+        _kept[name] = _stage(), make()
+    return _kept[name][1]
+
+
 def release() -> None:
     """Give freed memory back to the system: an executor's idle workers count towards its limit."""
+    for name in [n for n, (stage, _) in _kept.items() if stage != _stage()]:
+        del _kept[name]
     gc.collect()
     pa.default_memory_pool().release_unused()
     try:

@@ -11,7 +11,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from stripmatch.llm import kneser_ney, mixing, pieces, quality_classifier, quality_rules, queries, repeats, secrets, shingles, token_counts, vectors
+from stripmatch.llm import kneser_ney, mixing, pieces, quality_classifier, quality_rules, queries, repeats, secrets, shingles, store, textnp, token_counts, vectors
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
@@ -87,6 +87,28 @@ def test_long_units_and_pieces_are_counted_but_not_kept():
     assert max(map(len, codec.known)) <= pieces.LONG
 
 
+def test_codecs_do_not_outlive_their_stage(spark, docs):
+    pieces.encode(docs, queries.tokenizer_file("piece_bpe_32k.model")).collect()
+
+    def left(batches):
+        import gc
+
+        for batch in batches:
+            textnp.release()
+            yield pa.RecordBatch.from_arrays([pa.array([sum(type(x).__name__ == "Codec" for x in gc.get_objects())])], ["n"])
+
+    assert {r.n for r in spark.range(0, 32, 1, 32).mapInArrow(left, "n long").collect()} == {0}
+
+
+def test_codecs_are_shared_within_a_stage(monkeypatch):
+    path = queries.tokenizer_file("piece_bpe_32k.model")
+    first = pieces.codec(path)
+    textnp.release()
+    assert pieces.codec(path) is first
+    monkeypatch.setattr(textnp, "_stage", lambda: 7)
+    assert pieces.codec(path) is not first
+
+
 def test_viterbi_equals_brute_force():
     from sentencepiece import sentencepiece_model_pb2 as pb
 
@@ -370,6 +392,18 @@ def test_jaccard_small_vocabulary_sends_few_pairs(spark, monkeypatch):
     assert sum(sent) < 10 * len(rows)
 
 
+def test_jaccard_needs_one_worker_a_core(docs, monkeypatch):
+    maps, run = [], store.run_ranges
+
+    def noted(packed, *rest):
+        maps.append(packed._jdf.queryExecution().optimizedPlan().toString().count("MapInArrow"))
+        return run(packed, *rest)
+
+    monkeypatch.setattr(store, "run_ranges", noted)
+    shingles.jaccard_components(docs).collect()
+    assert len(maps) > 5 and set(maps) == {1}  # two in one stage are two workers a task, and the texts pass both
+
+
 def test_prefix_trees():
     """What a walk leaves out is not linked; what it keeps is little more than what is."""
     rng = np.random.default_rng(3)
