@@ -37,7 +37,7 @@ def looped(spark):
 
 
 @pytest.mark.parametrize("which", ["given", "crowd"])
-@pytest.mark.parametrize("most", [10_000, 8])
+@pytest.mark.parametrize("most", [500_000, 8])
 def test_groups_are_as_the_loop(spark, looped, monkeypatch, which, most):
     """Objects, ids and light curves, also where groups of more than 8 sources are left to the loop."""
     monkeypatch.setattr(replay, "MOST", most)
@@ -72,3 +72,10 @@ def test_full_build_up_has_no_jobs_for_each_image(spark):
     assert d.image_id.nunique() > 80 and len(jobs) < 83
     assert o.datapoints.sum() >= len(d) and set(o.first_source_id) <= set(d.source_id)
     assert o.sort_values("first_source_id").object_id.tolist() == list(range(len(o)))
+
+
+def test_a_crowded_group_is_not_left_to_the_loop(spark):
+    """A group's sources are many if its images are: what one image can pair is what counts."""
+    c = spark.range(0, 12_000).select((F.col("id") % 80).cast("int").alias("image_id"), F.lit(0.001).alias("ra_deg"), (F.col("id") % 7 * 1e-6).alias("dec_deg"))
+    got = replay.groups(sky.with_position(c), 1.0).select("group_size", "most_pairs").distinct().collect()
+    assert [tuple(x) for x in got] == [(12_000, 150 * 12_000)] and 12_000 <= replay.MOST and 150 * 12_000 <= replay.PAIRS
